@@ -38,12 +38,14 @@ def chunks(docs: DataFrame, modulus: int = 4) -> DataFrame:
     cut = (
         docs.where(F.col("text").isNotNull())
         .select("doc_id", F.xxhash64("text").alias("tkey"), F.split("text", "\n", -1).alias("lines"))
-        .withColumn("ends", chunk_bounds(line_hashes(F.col("lines")), modulus))
-        .select("doc_id", "tkey", "lines", "ends", F.posexplode("ends").alias("chunk", "end"))
-        .withColumn("start", F.when(F.col("chunk") == 0, 0).otherwise(F.get("ends", F.col("chunk") - 1) + 1))
+        .withColumn("h", line_hashes(F.col("lines")))  # a column of its own: the bounds read it many times
+        .withColumn("ends", chunk_bounds(F.col("h"), modulus))
     )
-    n = F.col("end") - F.col("start") + 1
-    return cut.select("doc_id", "tkey", "chunk", n.alias("n_lines"), F.array_join(F.slice("lines", F.col("start") + 1, n), "\n").alias("body"))
+    start = lambda k: F.when(k == 0, 0).otherwise(F.get("ends", k - 1) + 1)
+    n = lambda k: F.get("ends", k) - start(k) + 1
+    piece = F.transform(F.sequence(F.lit(0), F.size("ends") - 1), lambda k: F.struct(
+        k.alias("chunk"), n(k).alias("n_lines"), F.array_join(F.slice("lines", start(k) + 1, n(k)), "\n").alias("body")))
+    return cut.select("doc_id", "tkey", F.inline(piece))  # only the pieces are exploded: no row carries all lines
 
 
 def repeated_chunks(docs: DataFrame, scratch: Scratch, modulus: int = 4, min_lines: int = 2) -> DataFrame:
@@ -63,15 +65,15 @@ def dedup_lines(docs: DataFrame, modulus: int = 4, min_lines: int = 2, scratch:
     gone = repeated_chunks(docs, scratch, modulus, min_lines).groupBy("doc_id", "tkey").agg(F.collect_set("chunk").alias("_gone"))
     gone = scratch.save(gone.select(F.col("doc_id").alias("_doc"), F.col("tkey").alias("_tkey"), "_gone"), "gone")
     rows = docs.withColumn("_key", F.xxhash64("text")).join(gone, (F.col("doc_id").eqNullSafe(F.col("_doc"))) & (F.col("_key") == F.col("_tkey")), "left").drop("_doc", "_tkey", "_key")
-    rows = rows.withColumn("_gone", F.coalesce("_gone", F.array().cast("array<int>"))).withColumn("_lines", F.split("text", "\n", -1))
-    rows = rows.withColumn("_ends", F.when(F.col("text").isNull(), F.array().cast("array<int>")).otherwise(chunk_bounds(line_hashes(F.col("_lines")), modulus)))
+    rows = rows.withColumn("_gone", F.coalesce("_gone", F.array().cast("array<int>"))).withColumn("_lines", F.split("text", "\n", -1)).withColumn("_h", line_hashes(F.col("_lines")))
+    rows = rows.withColumn("_ends", F.when(F.col("text").isNull(), F.array().cast("array<int>")).otherwise(chunk_bounds(F.col("_h"), modulus)))
     start = lambda k: F.when(k == 0, 0).otherwise(F.get("_ends", k - 1) + 1)
     left = F.filter(F.sequence(F.lit(0), F.size("_ends") - 1), lambda k: ~F.array_contains("_gone", k))
     pieces = F.transform(left, lambda k: F.array_join(F.slice("_lines", start(k) + 1, F.get("_ends", k) - start(k) + 1), "\n"))
     lost = F.aggregate("_gone", F.lit(0), lambda a, k: a + F.get("_ends", k) - start(k) + 1)
     return rows.withColumn("n_lines", F.when(F.col("text").isNull(), 0).otherwise(F.size("_lines"))).withColumn("n_chunks", F.size("_ends")).withColumn(
         "removed_chunks", F.size("_gone")).withColumn("removed_lines", lost).withColumn(
-        "kept", F.when(F.col("text").isNull(), None).when(F.size("_gone") == 0, F.col("text")).when(F.size("_gone") == F.size("_ends"), F.lit("")).otherwise(F.array_join(pieces, "\n"))).drop("_gone", "_lines", "_ends")
+        "kept", F.when(F.col("text").isNull(), None).when(F.size("_gone") == 0, F.col("text")).when(F.size("_gone") == F.size("_ends"), F.lit("")).otherwise(F.array_join(pieces, "\n"))).drop("_gone", "_lines", "_h", "_ends")
 
 
 SQL = r"""

@@ -15,7 +15,9 @@ empty table gives a store without segments. Extra columns are ignored.
 
 from __future__ import annotations
 
+import re
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -29,7 +31,7 @@ from pyspark.sql import window as W
 from .common import Scratch, in_slices, text_bytes
 
 SEGMENT = 1 << 20
-CACHE = 300_000
+CACHE = 600_000
 BATCH_BYTES = 4 << 20
 RANK_BLOCK = 512
 STORE = ("shard int, seg int, n_docs int, n_tokens long, doc_ids array<long>, doc_ends array<long>, "
@@ -44,26 +46,60 @@ def public_vocabulary(name: str = "word_bpe_49k.json") -> str:
 
 
 class WordTokenizer:
-    """bytes of a text -> little-endian uint32 ids; words are looked up in a bounded cache first."""
+    """bytes of a text -> little-endian uint32 ids; words, then their pre-tokens, are looked up in bounded caches first.
+
+    Words of printable Latin-1 only are lower-cased and cut here, as normalizer and pre-tokenizer would (NFC leaves them
+    as they are), and only unseen pre-tokens go to the library's model. Any other word goes through the whole library.
+    """
+
+    #: letter runs, single numerals, other runs and the contractions of the vocabulary's pre-tokenizer, within Latin-1
+    LETTER, NUMERAL = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff", "0-9\xb2\xb3\xb9\xbc-\xbe"
 
     def __init__(self, path: str, end_id: int):
         from tokenizers import Tokenizer
 
-        self.inner, self.end, self.cache = Tokenizer.from_file(path), np.uint32(end_id).tobytes(), {}
+        self.inner, self.end = Tokenizer.from_file(path), np.uint32(end_id).tobytes()
+        self.words: dict[bytes, bytes] = {}
+        self.runs: dict[str, list[int]] = {}
+        self.cut = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{self.LETTER}]+|[{self.NUMERAL}]|[^{self.LETTER}{self.NUMERAL}]+").findall
+        self.plain = re.compile("(?!.*<\\|)[!-~\xa1-\xff]+").fullmatch
+        self.plain_pipeline = "word_bpe" in path.rsplit("/", 1)[-1]
+        shown = [*range(33, 127), *range(161, 173), *range(174, 256)]  # the byte-level alphabet: printable bytes stand for themselves, the others follow 255 in order
+        hidden = [b for b in range(256) if b not in shown]
+        self.alphabet = {b: chr(b) for b in shown} | {b: chr(256 + i) for i, b in enumerate(hidden)}
+
+    def _run(self, run: str) -> list[int]:
+        ids = self.runs.get(run)
+        if ids is None:
+            shown = run if run.isascii() else run.encode().decode("latin-1").translate(self.alphabet)
+            ids = self.runs[run] = [t.id for t in self.inner.model.tokenize(shown)]
+        return ids
+
+    def _learn(self, new: list[bytes]) -> None:
+        if len(self.runs) > CACHE:
+            self.runs.clear()
+        other = []
+        for w in new:
+            word = w.decode("utf-8", "replace")
+            if self.plain_pipeline and self.plain(word):
+                self.words[w] = array("I", [i for r in self.cut(word.lower()) for i in self._run(r)]).tobytes()
+            else:
+                other.append((w, word))
+        for (w, _), e in zip(other, self.inner.encode_batch_fast([x for _, x in other], add_special_tokens=False)):
+            self.words[w] = array("I", e.ids).tobytes()
 
     def __call__(self, texts: list[bytes]) -> list[bytes]:
         words = [t.split() for t in texts]
-        if len(self.cache) > CACHE:
-            self.cache.clear()
         new = set()
         for w in words:
             new.update(w)
-        new = list(new.difference(self.cache))
-        known = self.cache
-        if new:
-            got = self.inner.encode_batch_fast([w.decode("utf-8", "replace") for w in new], add_special_tokens=False)
-            known.update(zip(new, (np.array(e.ids, "<u4").tobytes() for e in got)))
-        return [b"".join(map(known.__getitem__, w)) + self.end for w in words]
+        kept = self.words
+        new = list(new.difference(kept))
+        if len(kept) + len(new) > CACHE:  # the batch's own words all stay
+            new = list(set().union(*words))
+            kept.clear()
+        self._learn(new)
+        return [b"".join(map(kept.__getitem__, w)) + self.end for w in words]
 
 
 def dac_encode(ids: np.ndarray) -> tuple[list[bytes], list[bytes], list[bytes]]:
