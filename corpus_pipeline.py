@@ -1,3 +1,61 @@
-STAGES=[]
-ORACLE_SQL=None
-def run(spark,sf_dir): raise NotImplementedError
+"""A corpus pipeline of five operators; each stage works on what its predecessor kept."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from trieaccess.llm import decontamination, mixing, simhash, tokens, toxicity
+from trieaccess.llm.common import Scratch, table
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    scored = toxicity.score_toxicity(docs, table(spark, sf_dir, "labels").select("doc_id", "toxic"))
+    return scored.where("predicted = 0").select(*docs.columns)
+
+
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The document with the smallest id of each group stays; of rows with one id, one."""
+    scratch = Scratch(spark, "stage-simhash")
+    named = simhash.near_duplicates(docs, scratch)
+    keep = scratch.save(named.groupBy("component_id").agg(F.min("doc_id").alias("_keep")).select("_keep"), "keep")
+    kept = docs.join(keep, F.col("doc_id").eqNullSafe(F.col("_keep"))).drop("_keep")
+    ids = docs.agg(F.count(F.lit(1)).alias("n"), F.count_distinct(F.coalesce(F.col("doc_id").cast("string"), F.lit("")))).first()
+    return kept if ids[0] == ids[1] else kept.dropDuplicates(["doc_id"])
+
+
+def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return decontamination.decontaminate(docs, table(spark, sf_dir, "benchmark"))
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Each document as many times as the mix takes it."""
+    others = tuple(c for c in docs.columns if c not in ("doc_id", "source"))
+    mixed = mixing.mix(docs, keep=others).where("epochs > 0")
+    return mixed.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("epochs")))).select(*docs.columns)
+
+
+def write_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return tokens.tokenize_and_read(docs, tokens.public_vocabulary())
+
+
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("simhash near-dedup", drop_near_copies),
+    ("benchmark decontamination", drop_leaks),
+    ("source mixing", mix_sources),
+    ("token output", write_tokens),
+]
+
+#: Hashing with XXH64, a trained model and a tokenizer are beyond SQL; tests compare with brute force.
+ORACLE_SQL = None
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    scratch = Scratch(spark, "pipeline")
+    docs = table(spark, sf_dir, "documents")
+    for k, (_, stage) in enumerate(STAGES):
+        docs = scratch.save(stage(spark, docs, sf_dir), f"stage{k}")
+        if k:
+            scratch.drop(f"stage{k - 1}")
+    return docs

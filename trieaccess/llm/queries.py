@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import language, linededup, mixing, simhash, tokens, toxicity, urls
+from . import audio, decontamination, language, linededup, mixing, simhash, tokens, toxicity, urls
 from .common import table
 
 
@@ -17,6 +17,10 @@ def op2_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op3_chroma(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return audio.align_media(table(spark, sf_dir, "embeddings"), "vec_id", "embedding", audio.melody)
+
+
 def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents")).select("doc_id", "fingerprint", "component_id")
 
@@ -34,13 +38,18 @@ def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score_toxicity(docs, table(spark, sf_dir, "labels").select("doc_id", "toxic")).select("doc_id", "held_out", "score", "predicted")
 
 
+def op9_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontamination.find_leaks(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
+
+
 def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = linededup.dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "text"))
     return out.select("doc_id", "n_lines", "n_chunks", "removed_chunks", "removed_lines", F.md5(F.col("kept").cast("binary")).alias("kept_md5"))
 
 
 def queries():
-    return {f.__name__: f for f in (op1_token_store, op2_mix, op4_simhash, op5_url_filter, op6_language, op7_toxicity, op10_line_dedup)}
+    return {f.__name__: f for f in (op1_token_store, op2_mix, op3_chroma, op4_simhash, op5_url_filter, op6_language, op7_toxicity,
+                                       op9_decontaminate, op10_line_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
