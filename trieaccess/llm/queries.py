@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import audio, decontamination, language, linededup, mixing, simhash, tokens, toxicity, urls
+from . import audio, decontamination, language, linededup, mixing, pitmanyor, simhash, tokens, toxicity, urls
 from .common import table
 
 
@@ -38,6 +38,10 @@ def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score_toxicity(docs, table(spark, sf_dir, "labels").select("doc_id", "toxic")).select("doc_id", "held_out", "score", "predicted")
 
 
+def op8_pitman_yor(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pitmanyor.score_texts(table(spark, sf_dir, "documents"))
+
+
 def op9_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontamination.find_leaks(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
 
@@ -48,7 +52,7 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries():
-    return {f.__name__: f for f in (op1_token_store, op2_mix, op3_chroma, op4_simhash, op5_url_filter, op6_language, op7_toxicity,
+    return {f.__name__: f for f in (op1_token_store, op2_mix, op3_chroma, op4_simhash, op5_url_filter, op6_language, op7_toxicity, op8_pitman_yor,
                                        op9_decontaminate, op10_line_dedup)}
 
 
