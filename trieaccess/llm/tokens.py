@@ -15,6 +15,7 @@ empty table gives a store without segments. Extra columns are ignored.
 
 from __future__ import annotations
 
+import functools
 import re
 import zlib
 from array import array
@@ -102,6 +103,12 @@ class WordTokenizer:
         return [b"".join(map(kept.__getitem__, w)) + self.end for w in words]
 
 
+@functools.cache
+def word_tokenizer(path: str, end_id: int) -> WordTokenizer:
+    """One a Python worker: the caches stay warm from task to task."""
+    return WordTokenizer(path, end_id)
+
+
 def dac_encode(ids: np.ndarray) -> tuple[list[bytes], list[bytes], list[bytes]]:
     """Levels, bitmaps and rank directories of one segment."""
     levels, bitmaps, ranks = [], [], []
@@ -148,7 +155,7 @@ def _segments(path: str, end_id: int):
         many = {"doc_ids": pa.list_(pa.int64()), "doc_ends": pa.list_(pa.int64())}
         few = {"shard": pa.int32(), "seg": pa.int32(), "n_docs": pa.int32(), "n_tokens": pa.int64()}
         schema = pa.schema([*few.items(), *many.items(), *((k, pa.list_(pa.binary())) for k in ("levels", "bitmaps", "ranks"))])
-        shard, seg, encode = TaskContext.get().partitionId(), 0, WordTokenizer(path, end_id)
+        shard, seg, encode = TaskContext.get().partitionId(), 0, word_tokenizer(path, end_id)
         ids, parts, total = [], [], 0
 
         def flush():
