@@ -99,6 +99,15 @@ def full_expand_access(spark, d):
     return A.access_by_full_expand(codec.compress(codec.cut(seqs), "base"), A.symbol_requests(seqs, "seq_id"))
 
 
+@query(RANGES_SQL)
+def planned_access(spark, d):
+    """The planner picks point reads, co-located reads or full expansion from the sizes of store and requests."""
+    from .planner import planned_access as planned
+
+    seqs = docs(spark, d)
+    return planned(codec.compress(codec.cut(seqs), "dense"), A.range_requests(seqs, "seq_id"), K.MAX_SYMBOLS)
+
+
 @query("""SELECT req_id, CASE WHEN l1 >= 1 AND l2 <= length(text) THEN substr(text, l1, l2 - l1 + 1) END AS value, CASE WHEN l1 >= 1 AND l2 <= length(text) THEN 'ok' ELSE 'invalid' END AS status
 FROM (SELECT doc_id * 3 + k AS req_id, text, CAST(CASE k WHEN 0 THEN 0 WHEN 1 THEN length(text) ELSE 1 END AS BIGINT) AS l1, CAST(CASE k WHEN 0 THEN 3 WHEN 1 THEN length(text) + 1 ELSE length(text) END AS BIGINT) AS l2 FROM documents, range(3) r(k) WHERE length(text) > 0)""")
 def invalid_requests(spark, d):
