@@ -10,8 +10,8 @@ from trieaccess.llm.common import Scratch, table
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    scored = toxicity.score_toxicity(docs, table(spark, sf_dir, "labels").select("doc_id", "toxic"))
-    return scored.where("predicted = 0").select(*docs.columns)
+    fm = toxicity.fit(docs, table(spark, sf_dir, "labels").select("doc_id", "toxic"))
+    return docs.where(toxicity.score_column(fm) < 0.3)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -32,7 +32,8 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document as many times as the mix takes it."""
     others = tuple(c for c in docs.columns if c not in ("doc_id", "source"))
     mixed = mixing.mix(docs, keep=others).where("epochs > 0")
-    return mixed.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("epochs")))).select(*docs.columns)
+    copies = mixed.select("doc_id", "source", "_kept", F.explode(F.sequence(F.lit(1), F.col("epochs"))))
+    return copies.select("doc_id", "source", "_kept.*").select(*docs.columns)
 
 
 def write_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

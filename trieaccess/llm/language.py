@@ -8,7 +8,8 @@ centroid than all but `reject` of that centroid's own texts is marked `rejected`
 
 Nulls: a null text, or one without a letter, is `und` with score 0. Rows with null lang or id don't teach. Ties
 between centroids go to the smaller language code. Without any labelled text all are `und`. Repeated
-rows are scored each. Empty table: empty result. Extra columns are kept.
+rows are scored each. Empty table: empty result. Extra columns are kept; those
+named like an output are replaced.
 """
 
 from __future__ import annotations
@@ -135,7 +136,8 @@ def predict(docs: DataFrame, model: Centroids | None) -> DataFrame:
                 pa.array([bool(x or r) for r, x in zip(far, none)], pa.bool_())], names=["lang_pred", "score", "rejected"])
 
     worded = F.when(F.col("text").rlike(r"\p{L}"), F.col("text").cast("binary"))
-    return docs.withColumn("_j", judge(worded)).select(*docs.columns, "_j.*")
+    rest = [c for c in docs.columns if c.lower() not in ("lang_pred", "score", "rejected")]
+    return docs.withColumn("_j", judge(worded)).select(*rest, "_j.*")
 
 
 def identify(docs: DataFrame, per_lang: int = 800) -> DataFrame:

@@ -11,7 +11,8 @@ ever sees a whole source.
 
 Nulls: null text has size 0; null source is a source of its own, ranked last; null doc_id hashes as empty.
 Sources of size 0 get target 0. Ties and repeated rows: equal (doc_id, text size) rows are cut in any
-order, with the same multiset of results. An empty table gives an empty result. Extra columns are kept.
+order, with the same multiset of results. An empty table gives an empty result. Extra columns are left
+out unless named in `keep`.
 """
 
 from __future__ import annotations
@@ -62,11 +63,12 @@ def sample_key(id_col: str, seed: int) -> Column:
 
 def mix(docs: DataFrame, max_epochs: int = 3, weights: tuple[int, ...] = (1, 2, 3), seed: int = 42,
         keep: tuple[str, ...] = (), scratch: Scratch | None = None) -> DataFrame:
-    """One row per input row: doc_id, source, size, source_size, target, epochs (times taken), taken (words), and `keep`."""
+    """One row per input row: doc_id, source, size, source_size, target, epochs (times taken), taken (words); with `keep`, those columns in a struct `_kept`."""
     scratch = scratch or Scratch(docs.sparkSession, "mix")
     span = 1 << 48
+    kept = [F.struct(*keep).alias("_kept")] if keep else []
     sized = scratch.save(
-        docs.select("doc_id", F.col("source").alias("src"), word_count(F.col("text")).alias("size"), sample_key("doc_id", seed).alias("u"), *keep)
+        docs.select("doc_id", F.col("source").alias("src"), word_count(F.col("text")).alias("size"), sample_key("doc_id", seed).alias("u"), *kept)
         .withColumn("bin", F.floor(F.col("u") / (span // BINS)).cast("int")), "sized")
     bins = scratch.save(sized.groupBy("src", "bin").agg(F.sum("size").alias("bin_size")), "bins")
     targets = water_fill(bins.groupBy("src").agg(F.sum("bin_size").alias("source_size")), max_epochs, weights)
@@ -87,7 +89,7 @@ def mix(docs: DataFrame, max_epochs: int = 3, weights: tuple[int, ...] = (1, 2,
     others = rows.where(~F.col("cut")).withColumn("extra", (F.col("bin_start") + F.col("bin_size") <= F.col("wanted")).cast("long"))
     return at_cut.unionByName(others).select(
         "doc_id", F.col("src").alias("source"), "size", "source_size", "target", (F.col("whole") + F.col("extra")).alias("epochs"),
-        (F.col("size") * (F.col("whole") + F.col("extra"))).alias("taken"), *keep)
+        (F.col("size") * (F.col("whole") + F.col("extra"))).alias("taken"), *(["_kept"] if keep else []))
 
 
 SQL = r"""

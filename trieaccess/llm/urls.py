@@ -8,10 +8,10 @@ the distinct (host, shaped path) counts, never on pages. A child that holds less
 becomes '*'. A labelled child whose share of blocked labels is not significantly different (two-proportion z) from that of its
 labelled siblings is merged into '*' too. A template is rejected if it has `min_labels` labelled pages or more and its
 smoothed purity (blocked + prior_weight * base rate) / (labelled + prior_weight) is `min_purity` or more. Labels are
-a column of the input (1 block, 0 allow, null none); the query uses the verdicts of the rules.
+a column of the input (1 block, 0 allow, null none); where it has none, the verdict of a rule labels the page.
 
 Nulls: a null url or one without '://' has empty host and path and is judged as the template of the empty host. Ties
-between rules of equal length: the first in the list. Repeated rows count each. Empty table: empty result. Extra columns are kept.
+between rules of equal length: the first in the list. Repeated rows count each. Empty table: empty result. Extra columns are kept; those named like an output are replaced.
 """
 
 from __future__ import annotations
@@ -74,16 +74,18 @@ def judge_urls(pages: DataFrame, rules: tuple[tuple[str, str, str], ...] = RULES
                min_labels: int = 5, prior_weight: float = 4.0, scratch: Scratch | None = None) -> DataFrame:
     """`pages` with host, path, rule, template, purity, verdict."""
     scratch = scratch or Scratch(pages.sparkSession, "urls")
+    own = ("host", "path", "rule", "template", "purity", "verdict")
+    label = F.lit(None).cast("int") if label is None else label
     host, path = host_and_path(F.col("url"))
-    rows = pages.withColumn("host", host).withColumn("path", path)
+    rows = pages.withColumn("_label", label).drop(*own).withColumn("host", host).withColumn("path", path)
     rule, verdict = match_rules(F.col("host"), F.col("path"), rules)
-    rows = rows.withColumn("rule", rule).withColumn("_by_rule", verdict).withColumn("shaped", shape(F.col("path")))
-    rows = rows.withColumn("label", label if label is not None else F.when(F.col("_by_rule") == "block", 1).when(F.col("_by_rule") == "allow", 0))
-    tree = scratch.save(template_tree(rows.select("host", "shaped", "label"), min_labels=min_labels), "tree")
+    by_rule = F.when(F.col("_by_rule") == "block", 1).when(F.col("_by_rule") == "allow", 0)
+    rows = rows.withColumn("rule", rule).withColumn("_by_rule", verdict).withColumn("_shaped", shape(F.col("path"))).withColumn("_label", F.coalesce("_label", by_rule))
+    tree = scratch.save(template_tree(rows.select("host", F.col("_shaped").alias("shaped"), F.col("_label").alias("label")), min_labels=min_labels), "tree")
     per = tree.select("host", "template", "labelled", "blocked").distinct()
     base = per.agg((F.coalesce(F.sum("blocked"), F.lit(0)) / F.greatest(F.coalesce(F.sum("labelled"), F.lit(0)), F.lit(1))).alias("base"))
     known = tree.crossJoin(F.broadcast(base)).select(  # one row
-        F.col("host").alias("_h"), F.col("shaped").alias("_s"), "template", "labelled", ((F.col("blocked") + prior_weight * F.col("base")) / (F.col("labelled") + prior_weight)).alias("purity"))
-    out = rows.join(known, (F.col("host") == F.col("_h")) & (F.col("shaped") == F.col("_s")))
-    bad = (F.col("labelled") >= min_labels) & (F.col("purity") >= min_purity)
-    return out.withColumn("verdict", F.coalesce("_by_rule", F.when(bad, "block").otherwise("allow"))).drop("_by_rule", "_h", "_s", "label", "labelled", "shaped")
+        F.col("host").alias("_h"), F.col("shaped").alias("_s"), "template", F.col("labelled").alias("_labelled"), ((F.col("blocked") + prior_weight * F.col("base")) / (F.col("labelled") + prior_weight)).alias("purity"))
+    out = rows.join(known, (F.col("host") == F.col("_h")) & (F.col("_shaped") == F.col("_s")))
+    bad = (F.col("_labelled") >= min_labels) & (F.col("purity") >= min_purity)
+    return out.withColumn("verdict", F.coalesce("_by_rule", F.when(bad, "block").otherwise("allow"))).drop("_by_rule", "_h", "_s", "_label", "_labelled", "_shaped")
