@@ -46,8 +46,8 @@ def public_vocabulary(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
-class WordTokenizer:
-    """bytes of a text -> little-endian uint32 ids; words, then their pre-tokens, are looked up in bounded caches first.
+class WordTokenizer(dict):
+    """bytes of a text -> little-endian uint32 ids. The dictionary itself is a bounded cache: word -> ids, filled on a miss.
 
     Words of printable Latin-1 only are lower-cased and cut here, as normalizer and pre-tokenizer would (NFC leaves them
     as they are), and only unseen pre-tokens go to the library's model. Any other word goes through the whole library.
@@ -59,48 +59,39 @@ class WordTokenizer:
     def __init__(self, path: str, end_id: int):
         from tokenizers import Tokenizer
 
+        super().__init__()
         self.inner, self.end = Tokenizer.from_file(path), np.uint32(end_id).tobytes()
-        self.words: dict[bytes, bytes] = {}
-        self.runs: dict[str, list[int]] = {}
+        self.runs: dict[str, bytes] = {}
         self.cut = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{self.LETTER}]+|[{self.NUMERAL}]|[^{self.LETTER}{self.NUMERAL}]+").findall
-        self.plain = re.compile("(?!.*<\\|)[!-~\xa1-\xff]+").fullmatch
+        self.plain = re.compile("[!-~\xa1-\xff]+").fullmatch
         self.plain_pipeline = "word_bpe" in path.rsplit("/", 1)[-1]
+        self.model_ids = self.inner.model.tokenize
         shown = [*range(33, 127), *range(161, 173), *range(174, 256)]  # the byte-level alphabet: printable bytes stand for themselves, the others follow 255 in order
         hidden = [b for b in range(256) if b not in shown]
         self.alphabet = {b: chr(b) for b in shown} | {b: chr(256 + i) for i, b in enumerate(hidden)}
 
-    def _run(self, run: str) -> list[int]:
-        ids = self.runs.get(run)
-        if ids is None:
-            shown = run if run.isascii() else run.encode().decode("latin-1").translate(self.alphabet)
-            ids = self.runs[run] = [t.id for t in self.inner.model.tokenize(shown)]
-        return ids
+    def __missing__(self, w: bytes) -> bytes:
+        word = w.decode("utf-8", "replace")
+        if self.plain_pipeline and self.plain(word) and "<|" not in word:
+            runs, out = self.runs, b""
+            for run in self.cut(word.lower()):
+                ids = runs.get(run)
+                if ids is None:
+                    shown = run if run.isascii() else run.encode().decode("latin-1").translate(self.alphabet)
+                    ids = runs[run] = array("I", [t.id for t in self.model_ids(shown)]).tobytes()
+                out += ids
+        else:
+            out = array("I", self.inner.encode(word, add_special_tokens=False).ids).tobytes()
+        self[w] = out
+        return out
 
-    def _learn(self, new: list[bytes]) -> None:
+    def __call__(self, texts: list[bytes]) -> list[bytes]:
+        if len(self) > CACHE:
+            self.clear()
         if len(self.runs) > CACHE:
             self.runs.clear()
-        other = []
-        for w in new:
-            word = w.decode("utf-8", "replace")
-            if self.plain_pipeline and self.plain(word):
-                self.words[w] = array("I", [i for r in self.cut(word.lower()) for i in self._run(r)]).tobytes()
-            else:
-                other.append((w, word))
-        for (w, _), e in zip(other, self.inner.encode_batch_fast([x for _, x in other], add_special_tokens=False)):
-            self.words[w] = array("I", e.ids).tobytes()
-
-    def __call__(self, texts: list[bytes]) -> list[bytes]:
-        words = [t.split() for t in texts]
-        new = set()
-        for w in words:
-            new.update(w)
-        kept = self.words
-        new = list(new.difference(kept))
-        if len(kept) + len(new) > CACHE:  # the batch's own words all stay
-            new = list(set().union(*words))
-            kept.clear()
-        self._learn(new)
-        return [b"".join(map(kept.__getitem__, w)) + self.end for w in words]
+        ids = self.__getitem__
+        return [b"".join(map(ids, t.split())) + self.end for t in texts]
 
 
 @functools.cache
