@@ -111,7 +111,7 @@ def fit(docs: DataFrame, per_lang: int = 800, reject: float = 0.005, scratch: Sc
         raise ValueError(f"more than {MAX_LANGS} languages to learn")
     u = F.pmod(F.xxhash64("doc_id", F.lit(11)), F.lit(1 << 20))
     sample = teach.join(F.broadcast(counts), F.col("lang") == F.col("_l")).where(u * F.col("_n") < F.lit(per_lang * (1 << 20)))  # at most MAX_LANGS rows are sent
-    first = sample.select(text_bytes().alias("t"), "lang").coalesce(1).mapInArrow(_train(reject), "model binary").first()
+    first = sample.select(text_bytes().alias("t"), "lang").repartition(1).mapInArrow(_train(reject), "model binary").first()
     return pickle.loads(first.model) if first else None
 
 

@@ -129,8 +129,8 @@ def fit(docs: DataFrame, labels: DataFrame, max_rows: int = 12_000, label_col: s
     teach = labels.where(F.col("doc_id").isNotNull() & F.col(label_col).isNotNull() & (crc_mod("doc_id", 4) != 2)).groupBy("doc_id").agg(F.max(label_col).alias("_y"))
     share = min(1.0, max_rows / max(1, teach.count()))
     picked = teach.where(F.pmod(F.xxhash64(F.col("doc_id"), F.lit(7)), F.lit(1 << 20)) < int(share * (1 << 20)))
-    sample = docs.select(F.col("doc_id"), text_bytes().alias("_t")).join(F.broadcast(picked), "doc_id").select("_t", "_y")  # about max_rows rows
-    first = sample.coalesce(1).mapInArrow(_train, "model binary").first()
+    sample = docs.select(F.col("doc_id"), text_bytes().alias("_t")).join(F.broadcast(picked), "doc_id").select("_t", "_y")  # about max_rows rows; the scan stays parallel, only they move
+    first = sample.repartition(1).mapInArrow(_train, "model binary").first()
     return pickle.loads(first.model) if first else FactorizationMachine(np.zeros(0, np.int64))
 
 
