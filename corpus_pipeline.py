@@ -15,11 +15,14 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the smallest id of each group stays; of rows with one id, one."""
+    """The document with the smallest id of each group stays; of rows with one id, one.
+
+    The ids to keep grow with the corpus, so texts and ids meet by a shuffle at every size.
+    """
     scratch = Scratch(spark, "stage-simhash")
     named = simhash.near_duplicates(docs, scratch)
     keep = scratch.save(named.groupBy("component_id").agg(F.min("doc_id").alias("_keep")).select("_keep"), "keep")
-    kept = docs.join(keep, F.col("doc_id").eqNullSafe(F.col("_keep"))).drop("_keep")
+    kept = docs.join(keep.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_keep"))).drop("_keep")
     ids = docs.agg(F.count(F.lit(1)).alias("n"), F.count_distinct(F.coalesce(F.col("doc_id").cast("string"), F.lit("")))).first()
     return kept if ids[0] == ids[1] else kept.dropDuplicates(["doc_id"])
 

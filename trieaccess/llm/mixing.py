@@ -81,7 +81,8 @@ def mix(docs: DataFrame, max_epochs: int = 3, weights: tuple[int, ...] = (1, 2,
         bins.alias("b").join(per_source.alias("s"), F.col("b.src").eqNullSafe(F.col("s.src")))
         .select("b.src", "bin", "bin_size", "source_size", "target", "whole", "wanted", F.coalesce(F.sum("bin_size").over(run), F.lit(0)).alias("bin_start"))
         .withColumn("cut", (F.col("bin_start") < F.col("wanted")) & (F.col("bin_start") + F.col("bin_size") > F.col("wanted"))), "placed")
-    rows = sized.alias("d").join(placed.alias("p"), F.col("d.src").eqNullSafe(F.col("p.src")) & (F.col("d.bin") == F.col("p.bin"))).select(
+    # bins are even, so the merge join has no hot key; it is asked for to have one plan at every size
+    rows = sized.alias("d").join(placed.hint("merge").alias("p"), F.col("d.src").eqNullSafe(F.col("p.src")) & (F.col("d.bin") == F.col("p.bin"))).select(
         "d.*", "source_size", "target", "whole", "wanted", "bin_start", "bin_size", "cut")
     inside = W.Window.partitionBy("src", "bin").orderBy("u", "size").rowsBetween(W.Window.unboundedPreceding, -1)
     at_cut = rows.where("cut").withColumn("start", F.col("bin_start") + F.coalesce(F.sum("size").over(inside), F.lit(0))).withColumn(
