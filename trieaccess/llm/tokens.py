@@ -32,7 +32,7 @@ from pyspark.sql import window as W
 from .common import Scratch, in_slices, text_bytes
 
 SEGMENT = 1 << 20
-CACHE = 600_000
+CACHE, RUNS = 200_000, 250_000
 BATCH_BYTES = 4 << 20
 RANK_BLOCK = 512
 STORE = ("shard int, seg int, n_docs int, n_tokens long, doc_ids array<long>, doc_ends array<long>, "
@@ -88,7 +88,7 @@ class WordTokenizer(dict):
     def __call__(self, texts: list[bytes]) -> list[bytes]:
         if len(self) > CACHE:
             self.clear()
-        if len(self.runs) > CACHE:
+        if len(self.runs) > RUNS:
             self.runs.clear()
         ids = self.__getitem__
         return [b"".join(map(ids, t.split())) + self.end for t in texts]
