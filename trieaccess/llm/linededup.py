@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from .common import Scratch
 
-LAG1, LAG2 = 31, 961
+LAG1, LAG2, SALTS = 31, 961, 16
 
 
 def line_hashes(lines: Column) -> Column:
@@ -51,8 +51,11 @@ def chunks(docs: DataFrame, modulus: int = 4) -> DataFrame:
 def repeated_chunks(docs: DataFrame, scratch: Scratch, modulus: int = 4, min_lines: int = 2) -> DataFrame:
     """doc_id, tkey, chunk of every occurrence to remove."""
     many = chunks(docs, modulus).where((F.col("n_lines") >= min_lines) & F.col("body").rlike(r"[^\x20\x09-\x0D]")).withColumn("key", F.xxhash64("body"))
-    keys = many.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key")
-    twice = scratch.save(many.join(keys, "key", "left_semi"), "twice")
+    keys = many.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    # a chunk may occur in a third of all documents: its occurrences are dealt over SALTS tasks, its key is sent to each
+    keys = keys.select("key", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+    salted = many.withColumn("salt", F.pmod(F.xxhash64("doc_id", "tkey", "chunk"), F.lit(SALTS)).cast("int"))
+    twice = scratch.save(salted.join(keys, ["key", "salt"], "left_semi").drop("salt"), "twice")
     place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tkey", "chunk")
     first = twice.groupBy("key", "body").agg(F.min(place).alias("first"))
     hit = twice.join(first, ["key", "body"])
