@@ -57,7 +57,7 @@ def repeated_chunks(docs: DataFrame, scratch: Scratch, modulus: int = 4, min_lin
     salted = many.withColumn("salt", F.pmod(F.xxhash64("doc_id", "tkey", "chunk"), F.lit(SALTS)).cast("int"))
     twice = scratch.save(salted.join(keys, ["key", "salt"], "left_semi").drop("salt"), "twice")
     place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tkey", "chunk")
-    first = twice.groupBy("key", "body").agg(F.min(place).alias("first"))
+    first = scratch.save(twice.groupBy("key", "body").agg(F.min(place).alias("first")), "first")  # written: the join below can then split a hot key
     hit = twice.join(first, ["key", "body"])
     return hit.where((F.col("chunk") != F.col("first.chunk")) | ~F.col("doc_id").eqNullSafe(F.col("first.doc_id")) | (F.col("tkey") != F.col("first.tkey"))).select("doc_id", "tkey", "chunk").distinct()
 
