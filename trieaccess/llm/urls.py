@@ -47,8 +47,11 @@ def shape(path: Column) -> Column:
     return F.regexp_replace(path, r"[0-9]+", "#")
 
 
-def template_tree(pages: DataFrame, depth: int = 4, min_share: float = 0.05, z: float = 1.96, min_labels: int = 5) -> DataFrame:
-    """(host, shaped) -> template, labelled, blocked. `pages` has host, shaped, label; segments below `depth` stay in one tail."""
+def template_tree(pages: DataFrame, scratch: Scratch, depth: int = 4, min_share: float = 0.05, z: float = 1.96, min_labels: int = 5) -> DataFrame:
+    """(host, shaped) -> template, labelled, blocked. `pages` has host, shaped, label; segments below `depth` stay in one tail.
+
+    Each level is written: a level's plan reads the one before it three times, which would otherwise triple with every level.
+    """
     tree = pages.groupBy("host", "shaped").agg(F.count(F.lit(1)).alias("n"), F.count("label").alias("l"), F.coalesce(F.sum("label"), F.lit(0)).cast("long").alias("b"))
     tree = tree.withColumn("segs", F.split("shaped", "/", depth + 2)).withColumn("template", F.lit(""))
     for d in range(1, depth + 1):
@@ -64,6 +67,7 @@ def template_tree(pages: DataFrame, depth: int = 4, min_share: float = 0.05, z:
             "host", "template", "seg", F.when((F.col("nc") < min_share * F.col("nn")) | F.coalesce(F.when((F.col("lc") > 0) & (rest_l > 0), alike), F.lit(False)), "*").otherwise(F.col("seg")).alias("to"))
         tree = tree.join(judged, ["host", "template", "seg"], "left").withColumn(
             "template", F.when(F.col("to").isNull(), F.col("template")).otherwise(F.concat("template", F.lit("/"), "to"))).drop("to", "seg")
+        tree = scratch.save(tree, f"level{d}")
     tail = F.get("segs", F.lit(depth + 1))
     tree = tree.withColumn("template", F.when(tail.isNull(), F.col("template")).otherwise(F.concat("template", F.lit("/**"))))
     sums = tree.groupBy("host", "template").agg(F.sum("l").alias("labelled"), F.sum("b").alias("blocked"))
@@ -81,7 +85,7 @@ def judge_urls(pages: DataFrame, rules: tuple[tuple[str, str, str], ...] = RULES
     rule, verdict = match_rules(F.col("host"), F.col("path"), rules)
     by_rule = F.when(F.col("_by_rule") == "block", 1).when(F.col("_by_rule") == "allow", 0)
     rows = rows.withColumn("rule", rule).withColumn("_by_rule", verdict).withColumn("_shaped", shape(F.col("path"))).withColumn("_label", F.coalesce("_label", by_rule))
-    tree = scratch.save(template_tree(rows.select("host", F.col("_shaped").alias("shaped"), F.col("_label").alias("label")), min_labels=min_labels), "tree")
+    tree = scratch.save(template_tree(rows.select("host", F.col("_shaped").alias("shaped"), F.col("_label").alias("label")), scratch, min_labels=min_labels), "tree")
     per = tree.select("host", "template", "labelled", "blocked").distinct()
     base = per.agg((F.coalesce(F.sum("blocked"), F.lit(0)) / F.greatest(F.coalesce(F.sum("labelled"), F.lit(0)), F.lit(1))).alias("base"))
     known = tree.crossJoin(F.broadcast(base)).select(  # one row
