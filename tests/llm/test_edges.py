@@ -81,7 +81,9 @@ def test_urls(spark):
 def test_audio(spark):
     rows = [(i, [float(np.sin(i * 13.7 + k)) / 4 for k in range(64)]) for i in (0, 1, 2, 50, 50)] + [(3, None), (None, [0.1] * 64), (4, [None] * 64), (5, [])]
     d = spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumn("print", F.lit(1))
-    got = {(r.query_id, r.rec_id): r.bit_errors for r in audio.align_media(d, "vec_id", "embedding", audio.melody).collect()}
+    pairs = audio.align_media(d, "vec_id", "embedding", audio.melody)
+    got = {(r.query_id, r.rec_id): r.bit_errors for r in pairs.collect()}
+    assert {r.query_id: r.n_links for r in audio.by_query(pairs).collect()} == {q: sum(r.query_id == q for r in pairs.collect()) for q in (0, 50)}
     assert got[(0, 0)] == 0 and got[(50, 50)] == 0
     assert audio.align_media(d.where("false"), "vec_id", "embedding", audio.melody).count() == 0
 

@@ -180,3 +180,10 @@ def align_media(media: DataFrame, id_col: str, col: str, decode: Callable[..., n
     """Every row whose id is divisible by `every`, against all rows."""
     prints = Scratch(media.sparkSession, "audio").save(fingerprints(media, id_col, col, decode, rate), "prints")
     return search(prints, prints.where(F.col("rec_id") % every == 0))
+
+
+def by_query(pairs: DataFrame) -> DataFrame:
+    """One row a query: n_links (recordings that align with it, itself included) and the nearest other one. The pairs grow with the square of a group of alike recordings; this digest does not."""
+    other = F.when(F.col("rec_id") != F.col("query_id"), F.struct("bit_errors", "rec_id", "offset", "votes", "frames"))
+    found = pairs.groupBy("query_id").agg(F.count(F.lit(1)).alias("n_links"), F.min(other).alias("near"))
+    return found.select("query_id", "n_links", F.col("near.rec_id").alias("nearest_id"), *[F.col(f"near.{c}").alias(c) for c in ("offset", "votes", "frames", "bit_errors")])

@@ -18,7 +18,7 @@ def op2_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_chroma(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return audio.align_media(table(spark, sf_dir, "embeddings"), "vec_id", "embedding", audio.melody)
+    return audio.by_query(audio.align_media(table(spark, sf_dir, "embeddings"), "vec_id", "embedding", audio.melody))
 
 
 def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
