@@ -9,6 +9,7 @@ from trieaccess import kernels as K
 from trieaccess.operators import access as A
 from trieaccess.operators import codec, cost, hard, spanner
 from trieaccess.sources import corpora
+from trieaccess.session import scratch_path
 from trieaccess.sources.tables import load
 
 from . import sqlparse
@@ -487,8 +488,7 @@ def conversation_append(spark, d):
 def stream_codewords(spark, d):
     """The same by a stream whose state is the trie."""
     from trieaccess.streaming import compress_stream, replay
-    from trieaccess.streaming.online import scratch
 
     t = load(spark, d, "conversations").select("conv_id", "turn", F.concat("role", F.lit(": "), "text", F.lit("\n")).alias("line"))
-    out = replay(spark, t, lambda s: compress_stream(s, "conv_id", "turn", "line", close=True), scratch())
+    out = replay(spark, t, lambda s: compress_stream(s, "conv_id", "turn", "line", close=True), scratch_path(spark, "q"))
     return out.select("seq_id", "phrase_no", "parent_no", "symbol", "depth", "start_pos")

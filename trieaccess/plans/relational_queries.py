@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from trieaccess.sources import tables
+from trieaccess.session import scratch_path
 from trieaccess.sources.tables import load
 
 QUERIES: dict = {}
@@ -326,9 +327,7 @@ def columns_as_text(spark, d):
 
 def _format(fmt):
     def f(spark, d):
-        from trieaccess.streaming.online import scratch
-
-        out = f"{scratch()}/{fmt}"
+        out = f"{scratch_path(spark, "q")}/{fmt}"
         t = load(spark, d, "nation", "n_nationkey", "n_name", "n_regionkey")
         tables.write_any(t, fmt, out)
         return tables.read_any(spark, fmt, out, "n_nationkey int, n_name string, n_regionkey int")
@@ -346,19 +345,18 @@ def store_source(spark, d):
     """A store written as files, read back through its own data source."""
     from trieaccess.operators import codec
     from trieaccess.sources import store
-    from trieaccess.streaming.online import scratch
 
     docs = codec.sequences(load(spark, d, "documents", "doc_id", "text"), "doc_id")
-    path = f"{scratch()}/store"
+    path = f"{scratch_path(spark, "q")}/store"
     store.write(codec.compress(codec.cut(docs.where(F.length("text") >= 2)), "dense"), path)
     return store.read_ranges(spark, path, 2, 7)
 
 
 # streams: each replays a table and must equal the batch result
 def _stream(df, build, files=3):
-    from trieaccess.streaming.online import replay, scratch
+    from trieaccess.streaming import replay
 
-    return replay(df.sparkSession, df, build, scratch(), files)
+    return replay(df.sparkSession, df, build, scratch_path(df.sparkSession, "stream"), files)
 
 
 @query("SELECT event_id, event_type FROM events WHERE event_type = 'click'")
@@ -380,7 +378,7 @@ def stream_static_join(spark, d):
 
 @query("SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")
 def stream_stream_join(spark, d):
-    from trieaccess.streaming.online import replay, scratch
+    from trieaccess.streaming import replay
 
     t = load(spark, d, "events", "event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type")
 
@@ -389,4 +387,4 @@ def stream_stream_join(spark, d):
         b = s.where("event_type = 'purchase'").withWatermark("ts", "365 days").select(F.col("event_id").alias("b"), F.col("user_id").alias("ub"), F.col("ts").alias("tb"))
         return a.join(b, F.expr("ua = ub AND tb >= ta AND tb <= ta + INTERVAL 1 HOUR")).select("a", "b")
 
-    return replay(spark, t, build, scratch(), 3)
+    return replay(spark, t, build, scratch_path(spark, "q"), 3)

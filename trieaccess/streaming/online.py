@@ -8,7 +8,6 @@ cannot enter an append-only parse and come out with phrase_no -1.
 from __future__ import annotations
 
 import pickle
-import tempfile
 from collections.abc import Iterator
 
 import pandas as pd
@@ -86,7 +85,3 @@ def serve(requests: DataFrame, committed: DataFrame) -> DataFrame:
     texts = committed.where("phrase_no > 0")
     located = A.locate_asof(texts, requests).where("l1 < start_pos + depth")
     return requests.select("req_id").join(A.climb_recursive(texts, located), "req_id", "left").select("req_id", "value")
-
-
-def scratch() -> str:
-    return tempfile.mkdtemp(prefix="trieaccess-stream-")
