@@ -239,19 +239,18 @@ class Reads:
 
 
 class DenseStore:
-    def __init__(self, words: np.ndarray, n: int, B: int):
-        self.n, self.B, self.m = n, B, len(words) // 3
-        self.start, self.far, self.word = (np.ascontiguousarray(words[i::3]) for i in range(3))
+    def __init__(self, words: memoryview, n: int, B: int):
+        self.w, self.n, self.B, self.m = words, n, B, len(words) // 3  # codeword t: words 3t-3 (start), 3t-2 (far ancestor), 3t-1 (parent and symbol)
 
     def _depth(self, t: int) -> int:  # not stored: the next codeword's start tells it
-        return int((self.start[t] if t < self.m else self.n + 1) - self.start[t - 1])
+        return (self.w[3 * t] if t < self.m else self.n + 1) - self.w[3 * t - 3]
 
     def _locate(self, pos: int, r: Reads) -> int:
         lo, hi = 1, self.m
         while lo < hi:
             mid = (lo + hi + 1) // 2
             r.locate += 1
-            lo, hi = (mid, hi) if self.start[mid - 1] <= pos else (lo, mid - 1)
+            lo, hi = (mid, hi) if self.w[3 * mid - 3] <= pos else (lo, mid - 1)
         r.locate += 1
         return lo
 
@@ -259,33 +258,33 @@ class DenseStore:
         """From phrase t up to the ancestor of depth `goal`: parents to residue B-1, then far edges unless they overshoot."""
         B, d = self.B, self._depth(t)
         while d > goal and d % B != B - 1:
-            t, d = int(self.word[t - 1]) >> SYMBOL_BITS, d - 1
+            t, d = self.w[3 * t - 1] >> SYMBOL_BITS, d - 1
             r.align += 1
         while d > goal:
             reach = B << (d % B)
-            if d - reach >= goal and self.far[t - 1] >= 0:
-                t, d = int(self.far[t - 1]), d - reach
+            if d - reach >= goal and self.w[3 * t - 2] >= 0:
+                t, d = self.w[3 * t - 2], d - reach
                 r.jump += 1
             else:
-                t, d = int(self.word[t - 1]) >> SYMBOL_BITS, d - 1
+                t, d = self.w[3 * t - 1] >> SYMBOL_BITS, d - 1
                 r.parent += 1
         return t
 
     def symbol(self, pos: int) -> tuple[int, Reads]:
         r = Reads()
         t = self._locate(pos, r)
-        return int(self.word[self._climb(t, pos - int(self.start[t - 1]) + 1, r) - 1]) & SYMBOL_MASK, r
+        return self.w[3 * self._climb(t, pos - self.w[3 * t - 3] + 1, r) - 1] & SYMBOL_MASK, r
 
     def substring(self, first: int, last: int) -> tuple[list[int], Reads]:
         """Backwards: the node of `last`, up to the root, then the codewords before."""
         r, out = Reads(), []
         t = self._locate(last, r)
-        node = self._climb(t, last - int(self.start[t - 1]) + 1, r)
+        node = self._climb(t, last - self.w[3 * t - 3] + 1, r)
         while len(out) < last - first + 1:
             if node == 0:
                 t -= 1
                 node = t
-            w = int(self.word[node - 1])
+            w = self.w[3 * node - 1]
             out.append(w & SYMBOL_MASK)
             node = w >> SYMBOL_BITS
             r.parent += 1
@@ -293,7 +292,7 @@ class DenseStore:
 
 
 class SparseStore:
-    def __init__(self, words: np.ndarray, n: int, B: int, grid: int):
+    def __init__(self, words: memoryview, n: int, B: int, grid: int):
         self.w, self.n, self.B, self.grid = words, n, B, grid or 0
 
     def _next(self, o: int) -> int:
@@ -301,7 +300,7 @@ class SparseStore:
 
     def _link(self, o: int) -> tuple[int, int]:
         """(parent offset or -1, symbol) of the codeword at o."""
-        w = int(self.w[o + 1] if self.w[o] == SPECIAL else self.w[o])
+        w = self.w[o + 1] if self.w[o] == SPECIAL else self.w[o]
         return (w >> SYMBOL_BITS) - 1, w & SYMBOL_MASK
 
     def _depth(self, o: int, r: Reads) -> int:
@@ -310,7 +309,7 @@ class SparseStore:
             o, d = self._link(o)[0], d + 1
             r.locate += 1
         r.locate += 1
-        return d + (int(self.w[o + 2]) // self.B if o >= 0 else 0)
+        return d + (self.w[o + 2] // self.B if o >= 0 else 0)
 
     def _mark(self, j: int, r: Reads) -> int:
         """Offset of the position codeword of grid mark j; marks jumped over are passed on to the next delimiter."""
@@ -329,8 +328,8 @@ class SparseStore:
             while lo < hi:
                 mid = (lo + hi + 1) // 2
                 o = self._mark(mid, r)
-                if o < len(self.w) and int(self.w[o + 1]) <= pos:
-                    lo, at, start = mid, o + 2, int(self.w[o + 1])
+                if o < len(self.w) and self.w[o + 1] <= pos:
+                    lo, at, start = mid, o + 2, self.w[o + 1]
                 else:
                     hi = mid - 1
         return at, start
@@ -356,13 +355,13 @@ class SparseStore:
         while d > goal:
             if o < 0 or self.w[o] != SPECIAL:
                 break
-            residue = int(self.w[o + 2]) % B
+            residue = self.w[o + 2] % B
             aligned = aligned or residue == B - 1
-            far, near = int(self.w[o + 4]) - 1, int(self.w[o + 3]) - 1
-            step = next((x for x in ((far, near) if aligned else (near,)) if x >= 0 and int(self.w[x + 2]) // B >= goal), None)
+            far, near = self.w[o + 4] - 1, self.w[o + 3] - 1
+            step = next((x for x in ((far, near) if aligned else (near,)) if x >= 0 and self.w[x + 2] // B >= goal), None)
             if step is None:
                 break
-            o, d = step, int(self.w[step + 2]) // B
+            o, d = step, self.w[step + 2] // B
             r.jump += 1
         while d > goal:
             o, d = self._link(o)[0], d - 1
@@ -393,7 +392,7 @@ class SparseStore:
 class BaseStore:
     """Unmodified codewords: all of them before the target must be read to find it."""
 
-    def __init__(self, words: np.ndarray, n: int):
+    def __init__(self, words: memoryview, n: int):
         self.w, self.n = words, n
 
     def _walk(self, pos: int, r: Reads) -> tuple[int, list[int], int]:
@@ -417,7 +416,7 @@ class BaseStore:
     def substring(self, first: int, last: int) -> tuple[list[int], Reads]:
         r = Reads()
         self._walk(last, r)
-        return expand_base(self.w)[first - 1 : last].tolist(), r
+        return expand_base(np.asarray(self.w))[first - 1 : last].tolist(), r
 
 
 def expand_base(words: np.ndarray) -> np.ndarray:
@@ -477,7 +476,7 @@ def pack(symbols: np.ndarray, scheme: str = "dense", alphabet: str = "codepoint"
 def open_store(blob: bytes):
     """(store, alphabet)."""
     scheme, alphabet, grid, n, capacity = _HEAD.unpack_from(blob)
-    words, B = np.frombuffer(blob, "<i8", offset=_HEAD.size), block_size(capacity)
+    words, B = memoryview(blob)[_HEAD.size :].cast("q"), block_size(capacity)  # nothing is copied: only the words asked for are touched
     store = BaseStore(words, n) if scheme == 0 else DenseStore(words, n, B) if scheme == 1 else SparseStore(words, n, B, grid)
     return store, ALPHABETS[alphabet]
 

@@ -40,19 +40,18 @@ def read_pieces(blobs: pa.Array, wanted: pa.Array) -> pa.Array:
     return pa.array(out, kind)
 
 
-def route(requests: DataFrame, store: DataFrame, capacity: int) -> DataFrame:
-    """req_id, seq_id, seg_no, a, b: valid requests cut at segment borders, positions within the segment."""
-    sizes = store.where("seg_no = 0").select("seq_id", "seq_len")
-    ok = requests.join(sizes, "seq_id").where("l1 >= 1 AND l1 <= l2 AND l2 <= seq_len")
+def route(requests: DataFrame, heads: DataFrame, capacity: int) -> DataFrame:
+    """req_id, seq_id, seg_no, a, b: valid requests cut at segment borders, positions within the segment. `heads` has seq_id, seg_no, seq_len: a store, or segments not compressed yet."""
+    ok = requests.join(heads.where("seg_no = 0").select("seq_id", "seq_len"), "seq_id").where("l1 >= 1 AND l1 <= l2 AND l2 <= seq_len")
     first, last = F.floor((F.col("l1") - 1) / capacity).cast("int"), F.floor((F.col("l2") - 1) / capacity).cast("int")
     cut = ok.withColumn("seg_no", F.explode(F.sequence(first, last)))
     base = F.col("seg_no").cast("long") * capacity
     return cut.select("req_id", "seq_id", "seg_no", F.greatest(F.col("l1") - base, F.lit(1)).alias("a"), F.least(F.col("l2") - base, F.lit(capacity)).alias("b"))
 
 
-def access(store: DataFrame, requests: DataFrame, capacity: int = K.MAX_SYMBOLS, salts: int = 1) -> DataFrame:
-    """req_id, value, status, and the codewords read in each phase."""
-    asked = route(requests, store, capacity).groupBy("seq_id", "seg_no", F.pmod("req_id", F.lit(salts)).alias("salt")).agg(F.collect_list(F.struct("req_id", "a", "b")).alias("asks"))
+def access(store: DataFrame, requests: DataFrame, capacity: int = K.MAX_SYMBOLS, salts: int = 1, heads: DataFrame | None = None) -> DataFrame:
+    """req_id, value, status, and the codewords read in each phase. A store that is still a plan rather than files is read once if `heads` is given."""
+    asked = route(requests, store if heads is None else heads, capacity).groupBy("seq_id", "seg_no", F.pmod("req_id", F.lit(salts)).alias("salt")).agg(F.collect_list(F.struct("req_id", "a", "b")).alias("asks"))
     read = asked.join(store.select("seq_id", "seg_no", "blob"), ["seq_id", "seg_no"]).select("seg_no", read_pieces("blob", "asks").alias("got")).select("seg_no", F.inline("got"))
     whole = read.groupBy("req_id").agg(
         F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("seg_no", "piece"))), lambda s: s["piece"]), "").alias("value"), *[F.sum(h).alias(h) for h in _HOPS])

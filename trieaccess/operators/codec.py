@@ -23,6 +23,17 @@ def sequences(df: DataFrame, id_col: str, text_col: str = "text") -> DataFrame:
     return df.select(F.col(id_col).cast("long").alias("seq_id"), F.col(text_col).alias("text"))
 
 
+SPREAD_BYTES = 1 << 30
+
+
+def spread(rows: DataFrame, *keys: str) -> DataFrame:
+    """Deals a small input over all cores: its few row groups would keep the rest idle. A larger one is split by its files and stays where it is read."""
+    plan = rows._jdf.queryExecution().optimizedPlan()
+    if int(str(plan.stats().sizeInBytes())) >= SPREAD_BYTES:
+        return rows
+    return rows.repartition(2 * rows.sparkSession.sparkContext.defaultParallelism, *keys)
+
+
 def cut(seqs: DataFrame, capacity: int = K.MAX_SYMBOLS) -> DataFrame:
     """seq_id, seg_no, seg_start (1-based), seq_len, text; a text within the capacity stays one row."""
     n = F.length("text")
@@ -30,7 +41,7 @@ def cut(seqs: DataFrame, capacity: int = K.MAX_SYMBOLS) -> DataFrame:
     rows = seqs.where(F.col("text").isNotNull()).select("seq_id", "text", n.cast("long").alias("seq_len"), F.explode(F.sequence(F.lit(0), pieces - 1)).alias("seg_no"))
     start = F.col("seg_no").cast("long") * capacity + 1
     body = F.when(F.col("seq_len") <= capacity, F.col("text")).otherwise(F.substring("text", start, F.lit(capacity)))
-    return rows.select("seq_id", "seg_no", start.alias("seg_start"), "seq_len", body.alias("text"))
+    return spread(rows.select("seq_id", "seg_no", start.alias("seg_start"), "seq_len", body.alias("text")), "seq_id", "seg_no")
 
 
 def _arrow(names_types: list[tuple[str, pa.DataType]]):

@@ -77,9 +77,10 @@ FROM (SELECT *, CAST(1 + (doc_id * 7919 + j * 104729) % length(text) AS BIGINT)
 def _access(name: str, ranges: bool, sql: str, capacity: int = K.MAX_SYMBOLS, **how) -> None:
     def f(spark: SparkSession, d: str) -> DataFrame:
         seqs = docs(spark, d)
-        store = codec.compress(codec.cut(seqs, capacity), capacity=None if capacity == K.MAX_SYMBOLS else capacity, **how)
+        segs = codec.cut(seqs, capacity)
+        store = codec.compress(segs, capacity=None if capacity == K.MAX_SYMBOLS else capacity, **how)
         asks = (A.range_requests if ranges else A.symbol_requests)(seqs, "seq_id")
-        return A.access(store, asks, capacity).select("req_id", "value")
+        return A.access(store, asks, capacity, heads=segs).select("req_id", "value")
 
     f.__name__ = name
     query(sql)(f)
