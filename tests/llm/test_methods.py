@@ -1,5 +1,6 @@
 """The operators' methods against brute force, held-out accuracy and exact identities."""
 
+import hashlib
 import math
 import os
 import zlib
@@ -9,7 +10,7 @@ import duckdb
 import numpy as np
 import pytest
 
-from trieaccess.llm import audio, decontamination, pitmanyor, queries, tokens
+from trieaccess.llm import audio, decontamination, mixing, pitmanyor, queries, tokens
 
 D = "/root/testdata/sf0.01"
 
@@ -30,6 +31,24 @@ def test_oracle(spark, name):
     assert sorted(map(tidy, map(tuple, df.collect())), key=repr) == sorted((tidy(r[i] for i in at) for r in got.fetchall()), key=repr)
 
 
+@pytest.mark.parametrize("most_sent", [100_000, 0])
+def test_mix_cuts_ties_and_merges_as_brute_force(spark, monkeypatch, most_sent):
+    monkeypatch.setattr(mixing, "MAX_SENT", most_sent)
+    rows = [(None, "a b c", "x")] * 10 + [(7, "a b", "y")] * 9 + [(i, "w " * (i % 5), None) for i in range(40)] + [(i, "", "z") for i in range(3)]
+    out = mixing.mix(spark.createDataFrame(rows, "doc_id long, text string, source string"), keep=("text",)).collect()
+    assert len(out) == len(rows) and all(r.size == len(r["_kept"].text.split()) and r.taken == r.size * r.epochs for r in out)
+    per = {r.source: (r.source_size, r.target) for r in out}
+    keyed = sorted((int(hashlib.md5(f"42:{'' if i is None else i}".encode()).hexdigest()[:12], 16), len(t.split()), str(s), s) for i, t, s in rows)
+    want, start = Counter(), Counter()
+    for _, size, _, s in keyed:
+        total, target = per[s]
+        whole = int(target // total) if total else 0
+        want[s, size, size * (whole + (start[s] + size / 2 <= target - whole * total))] += 1
+        start[s] += size
+    assert Counter((r.source, r.size, r.taken) for r in out) == want
+    assert {s: t[0] for s, t in per.items()} == dict(start)
+
+
 def test_mix_hits_its_targets(spark):
     rows = queries.op2_mix(spark, D).collect()
     taken, target, largest = Counter(), {}, Counter()

@@ -5,13 +5,13 @@ times, and what it cannot take goes to the others by weight until no target is a
 is found without iterating: in order of cap/weight the capped sources form a prefix, so running sums suffice.
 
 Sampling: each row is taken floor(target/size of source) times, and the remaining fraction is the
-prefix of the source's rows in the order of a seeded md5 that comes nearest to the wanted words. The prefix is found in
-two levels (sums of `BINS` hash bins, then running sums inside the one bin that holds the cut), so no window
-ever sees a whole source.
+prefix of the source's rows in the order of a seeded md5 that comes nearest to the wanted words. The end of the prefix is
+found in three steps (sums of `BINS` hash bins, sums of `BINS` parts of the one bin that holds it, running sums inside that part);
+then every row only compares its key with the end of its source, so neither rows nor texts are sorted or shuffled.
 
 Nulls: null text has size 0; null source is a source of its own, ranked last; null doc_id hashes as empty.
-Sources of size 0 get target 0. Ties and repeated rows: equal (doc_id, text size) rows are cut in any
-order, with the same multiset of results. An empty table gives an empty result. Extra columns are left
+Sources of size 0 get target 0. Ties and repeated rows: rows with equal key and size at the end of a prefix are numbered
+and cut in any order, with the same multiset of results. An empty table gives an empty result. Extra columns are left
 out unless named in `keep`.
 """
 
@@ -23,7 +23,8 @@ from pyspark.sql import window as W
 
 from .common import WORD, Scratch
 
-BINS = 4096
+BINS, SPAN = 4096, 1 << 48
+MAX_SENT, SALTS = 100_000, 16
 
 
 def word_count(text: Column) -> Column:
@@ -61,34 +62,80 @@ def sample_key(id_col: str, seed: int) -> Column:
     return F.conv(F.substring(F.md5(text.cast("binary")), 1, 12), 16, 10).cast("long")
 
 
+def by_source(rows: DataFrame, per_source: DataFrame, n_sources: int) -> DataFrame:
+    """`rows` (src, u, ...) with the columns of `per_source`, which has one row a source.
+
+    Up to `MAX_SENT` sources are sent to all tasks, so rows don't move. Beyond, the sources' rows are repeated under `SALTS` salts
+    and merged, so that a source with a third of all rows is spread over tasks.
+    """
+    other = per_source.withColumnRenamed("src", "_src")
+    same = F.col("src").eqNullSafe(F.col("_src"))
+    if n_sources <= MAX_SENT:
+        return rows.join(F.broadcast(other), same).drop("_src")
+    other = other.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return rows.join(other.hint("merge"), same & (F.pmod(F.col("u"), F.lit(SALTS)) == F.col("_salt"))).drop("_src", "_salt")
+
+
+def first_over(sums: DataFrame, part: str) -> DataFrame:
+    """(src, part, words, wanted, start) -> src, at, start: of each source the first part that ends behind the wanted words."""
+    run = W.Window.partitionBy("src").orderBy(part).rowsBetween(W.Window.unboundedPreceding, -1)
+    placed = sums.withColumn("begin", F.col("start") + F.coalesce(F.sum("words").over(run), F.lit(0)))
+    over = placed.where(F.col("begin") + F.col("words") > F.col("wanted"))
+    return over.groupBy("src").agg(F.min(F.struct(F.col(part).alias("at"), "begin")).alias("hit")).select("src", "hit.at", F.col("hit.begin").alias("start"))
+
+
+def cuts(sized: DataFrame, targets: DataFrame, bins: DataFrame, n_sources: int, scratch: Scratch) -> DataFrame:
+    """Of each source where its fraction ends: cut_u, cut_size, and cut_take of the rows that are at just that place; what is before is taken.
+
+    Two levels of `BINS` parts each narrow it down to 2^-24 of a source; only the rows in there are put in order.
+    """
+    step, fine = SPAN // BINS, SPAN // BINS // BINS
+    wanted = by_source(bins.withColumn("u", F.col("bin")), targets.select("src", "wanted"), n_sources)
+    one = first_over(wanted.select("src", "bin", F.col("bin_size").alias("words"), "wanted", F.lit(0).cast("long").alias("start")), "bin")
+    one = scratch.save(by_source(one.withColumn("u", F.lit(0)), targets.select("src", "wanted"), n_sources).drop("u"), "cut1")
+    near = by_source(sized.select("src", "u", "size"), one, n_sources).where(F.floor(F.col("u") / step) == F.col("at"))
+    parts = near.groupBy("src", F.floor(F.col("u") / fine).alias("part"), "wanted", "start").agg(F.sum("size").alias("words"))
+    two = first_over(parts, "part")
+    two = scratch.save(by_source(two.withColumn("u", F.lit(0)), targets.select("src", "wanted"), n_sources).drop("u"), "cut2")
+    inside = by_source(sized.select("src", "u", "size"), two, n_sources).where(F.floor(F.col("u") / fine) == F.col("at"))
+    places = inside.groupBy("src", "u", "size", "at", "start", "wanted").agg(F.count(F.lit(1)).alias("rows"))
+    run = W.Window.partitionBy("src").orderBy("u", "size").rowsBetween(W.Window.unboundedPreceding, -1)
+    begin = F.col("start") + F.coalesce(F.sum(F.col("size") * F.col("rows")).over(run), F.lit(0))
+    fit = F.floor((F.col("wanted") - F.col("begin")) / F.col("size") - 0.5) + 1  # rows whose middle is not behind the wanted words
+    take = F.when(F.col("begin") + F.col("size") / 2 > F.col("wanted"), 0).when((F.col("rows") == 1) | (F.col("size") == 0), F.col("rows")).otherwise(F.least("rows", fit))
+    open_ = places.withColumn("begin", begin).withColumn("take", take.cast("long")).where("take < rows")
+    found = open_.groupBy("src").agg(F.min(F.struct("u", "size", "take")).alias("hit")).select("src", "hit.*")
+    ends = two.select("src", ((F.col("at") + 1) * fine).alias("end"))
+    last = ends.join(found.withColumnRenamed("src", "_src"), F.col("src").eqNullSafe(F.col("_src")), "left").select(
+        "src", F.coalesce("u", "end").alias("cut_u"), F.coalesce("size", F.lit(0)).cast("long").alias("cut_size"), F.coalesce("take", F.lit(0)).cast("long").alias("cut_take"))
+    # a source that no part ends behind is taken whole
+    return scratch.save(targets.join(last.withColumnRenamed("src", "_src"), F.col("src").eqNullSafe(F.col("_src")), "left").drop("_src").fillna(
+        {"cut_u": SPAN, "cut_size": 0, "cut_take": 0}), "cuts")
+
+
 def mix(docs: DataFrame, max_epochs: int = 3, weights: tuple[int, ...] = (1, 2, 3), seed: int = 42,
         keep: tuple[str, ...] = (), scratch: Scratch | None = None) -> DataFrame:
     """One row per input row: doc_id, source, size, source_size, target, epochs (times taken), taken (words); with `keep`, those columns in a struct `_kept`."""
     scratch = scratch or Scratch(docs.sparkSession, "mix")
-    span = 1 << 48
-    kept = [F.struct(*keep).alias("_kept")] if keep else []
-    sized = scratch.save(
-        docs.select("doc_id", F.col("source").alias("src"), word_count(F.col("text")).alias("size"), sample_key("doc_id", seed).alias("u"), *kept)
-        .withColumn("bin", F.floor(F.col("u") / (span // BINS)).cast("int")), "sized")
-    bins = scratch.save(sized.groupBy("src", "bin").agg(F.sum("size").alias("bin_size")), "bins")
+    own = ["doc_id", F.col("source").alias("src"), word_count(F.col("text")).alias("size"), sample_key("doc_id", seed).alias("u")]
+    sized = scratch.save(docs.select(*own), "sized")  # sizes and keys only: texts are never written or moved
+    bins = scratch.save(sized.groupBy("src", F.floor(F.col("u") / (SPAN // BINS)).alias("bin")).agg(F.sum("size").alias("bin_size")), "bins")
     targets = water_fill(bins.groupBy("src").agg(F.sum("bin_size").alias("source_size")), max_epochs, weights)
-    per_source = scratch.save(
+    targets = scratch.save(
         targets.withColumn("whole", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0).cast("long"))
         .withColumn("wanted", F.col("target") - F.col("whole") * F.col("source_size")), "targets")
-    # per (source, bin): words of the bins before it; a bin is taken whole, cut, or left
-    run = W.Window.partitionBy("b.src").orderBy("bin").rowsBetween(W.Window.unboundedPreceding, -1)
-    placed = scratch.save(
-        bins.alias("b").join(per_source.alias("s"), F.col("b.src").eqNullSafe(F.col("s.src")))
-        .select("b.src", "bin", "bin_size", "source_size", "target", "whole", "wanted", F.coalesce(F.sum("bin_size").over(run), F.lit(0)).alias("bin_start"))
-        .withColumn("cut", (F.col("bin_start") < F.col("wanted")) & (F.col("bin_start") + F.col("bin_size") > F.col("wanted"))), "placed")
-    # bins are even, so the merge join has no hot key; it is asked for to have one plan at every size
-    rows = sized.alias("d").join(placed.hint("merge").alias("p"), F.col("d.src").eqNullSafe(F.col("p.src")) & (F.col("d.bin") == F.col("p.bin"))).select(
-        "d.*", "source_size", "target", "whole", "wanted", "bin_start", "bin_size", "cut")
-    inside = W.Window.partitionBy("src", "bin").orderBy("u", "size").rowsBetween(W.Window.unboundedPreceding, -1)
-    at_cut = rows.where("cut").withColumn("start", F.col("bin_start") + F.coalesce(F.sum("size").over(inside), F.lit(0))).withColumn(
-        "extra", (F.col("start") + F.col("size") / 2 <= F.col("wanted")).cast("long")).drop("start")
-    others = rows.where(~F.col("cut")).withColumn("extra", (F.col("bin_start") + F.col("bin_size") <= F.col("wanted")).cast("long"))
-    return at_cut.unionByName(others).select(
+    n_sources = targets.count()
+    ends = cuts(sized, targets, bins, n_sources, scratch)
+    rows = docs.select(*own, F.struct(*keep).alias("_kept")) if keep else sized
+    rows = by_source(rows, ends, n_sources)
+    at_cut = (F.col("u") == F.col("cut_u")) & (F.col("size") == F.col("cut_size"))
+    before = (F.col("u") < F.col("cut_u")) | ((F.col("u") == F.col("cut_u")) & (F.col("size") < F.col("cut_size")))
+    if ends.where("cut_take > 0").isEmpty():
+        out = rows.withColumn("extra", before.cast("long"))
+    else:  # rows with one key and one size, some of them taken: only these are numbered
+        numbered = rows.where(at_cut).withColumn("extra", (F.row_number().over(W.Window.partitionBy("src").orderBy("doc_id")) <= F.col("cut_take")).cast("long"))
+        out = rows.where(~at_cut).withColumn("extra", before.cast("long")).unionByName(numbered)
+    return out.select(
         "doc_id", F.col("src").alias("source"), "size", "source_size", "target", (F.col("whole") + F.col("extra")).alias("epochs"),
         (F.col("size") * (F.col("whole") + F.col("extra"))).alias("taken"), *(["_kept"] if keep else []))
 
