@@ -10,7 +10,7 @@ the 70 quadruples of the 8 halves of the other 4 blocks (again a pigeonhole, so
 most 2^20 possible members, which bounds its memory. Components come from alternating large-star / small-star steps.
 
 Nulls: null and empty texts, and those of white space only, have fingerprint zero and are linked like any other. Ties and repeated
-rows share a component; a null doc_id never names a component unless no other id does. Empty table: empty result. Extra columns are kept.
+rows share a component; a null doc_id never names a component unless no other id does. Empty table: empty result. Extra columns are left out: join by doc_id.
 """
 
 from __future__ import annotations
@@ -168,7 +168,10 @@ def links(fps: DataFrame, scratch: Scratch, wide: int = WIDE) -> DataFrame:
 
 
 def components(edges: DataFrame, scratch: Scratch, rounds: int = 60) -> DataFrame:
-    """(a, b) -> (node, root), root the smallest node of its component; nodes without edges are absent, roots too."""
+    """(a, b) -> (node, root), root the smallest node of its component; nodes without edges are absent, roots too.
+
+    The rounds needed grow with the logarithm of the longest chain; if `rounds` were not enough, it raises rather than give a partial result.
+    """
 
     def mark(df):
         r = df.agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("h")).first()
@@ -189,11 +192,13 @@ def components(edges: DataFrame, scratch: Scratch, rounds: int = 60) -> DataFram
         if now == before:
             break
         before = now
+    else:
+        raise RuntimeError(f"components not settled after {rounds} rounds")
     return e.select(F.col("u").alias("node"), F.col("v").alias("root"))
 
 
 def near_duplicates(docs: DataFrame, scratch: Scratch | None = None, wide: int = WIDE) -> DataFrame:
-    """`docs` with fp (long), fingerprint (hex) and component_id (smallest doc_id reachable)."""
+    """doc_id, fp (long), fingerprint (hex) and component_id (smallest doc_id reachable): one row per input row."""
     scratch = scratch or Scratch(docs.sparkSession, "simhash")
     marked = scratch.save(docs.select("doc_id", fingerprint(text_bytes()).alias("fp")), "marked")
     fps = scratch.save(marked.groupBy("fp").agg(F.min("doc_id").alias("first")), "fps")
