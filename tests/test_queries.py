@@ -87,6 +87,28 @@ def test_late_rows_and_serving(spark, tmp_path):
     assert serve(asks, out).first().value == "b"
 
 
+def test_joined_documents_against_the_kernel(spark):
+    rows = spark.read.parquet(f"{D}/documents.parquet").select("doc_id", "source", "text").collect()
+    got = {r.source: (r.alone, r.joined) for r in core_queries.QUERIES["copies_gain"](spark, D).collect()}
+    for source in {r.source for r in rows}:
+        own = sorted((r.doc_id, r.text) for r in rows if r.source == source and r.text is not None)
+        parts = {i // 64: "".join(t for j, t in own if j // 64 == i // 64) for i, _ in own}
+        count = lambda t: K.base_parse(K.to_symbols(t)).m
+        assert got[source] == (sum(count(t) for _, t in own), sum(map(count, parts.values())))
+
+
+def test_groups_and_tokens_at_the_edges(spark):
+    from trieaccess.functions import expand_blob
+
+    rows = spark.createDataFrame([("a", 0, "xy"), ("a", 70, "z"), (None, 1, "n"), ("b", 2, None), ("c", 3, ""), ("a", 0, "ab"), ("d", None, "q")], "k string, at int, text string")
+    got = {(r.k, r.part): r.text for r in codec.compress_groups(rows, "k", "at").select("k", "part", expand_blob("blob").alias("text")).collect()}
+    assert got == {("a", 0): "abxy", ("a", 1): "z", (None, 0): "n", ("c", 0): "", ("d", None): "q"}
+    assert codec.compress_groups(rows.where("false"), "k", "at").count() == 0
+    ids = [[], [0, 5, 0xD7FF, 0xD800, 1_112_063 - 0x800], None]
+    df = spark.createDataFrame([(x,) for x in ids], "ids array<int>")
+    assert [r.ids for r in df.select(codec.text_as_tokens(codec.tokens_as_text("ids")).alias("ids")).collect()] == ids
+
+
 def test_entry_works_without_llm():
     import __spark_entry__ as e
 

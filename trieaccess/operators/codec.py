@@ -12,6 +12,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from trieaccess import kernels as K
 
@@ -111,6 +112,42 @@ def expand(store: DataFrame) -> DataFrame:
     return parts.groupBy("seq_id").agg(joined.alias("text"))
 
 
+def compress_groups(df: DataFrame, key: str, order: str, text: str = "text", rows_per_part: int = 64, scheme: str = "dense", alphabet: str = "codepoint") -> DataFrame:
+    """Rows of a key joined in the order of the integer `order` -> key, part, seg_no, n, m, blob.
+
+    A part holds the rows of one range of `rows_per_part` orders, so a key with any number of rows is spread over tasks; a part longer than
+    the capacity becomes several segments. Null texts are left out, a null key is a key of its own, rows with a null order form a part numbered null.
+    """
+
+    def run(rows: pa.Table) -> pa.Table:
+        rows = rows.sort_by([("_order", "ascending"), ("_text", "ascending")])
+        symbols = K.to_symbols("".join(rows.column("_text").to_pylist()), alphabet)
+        pieces = [symbols[i : i + K.MAX_SYMBOLS] for i in range(0, max(1, len(symbols)), K.MAX_SYMBOLS)]
+        blobs = [K.pack(x, scheme, alphabet) for x in pieces]
+        m = [len(K.base_words(scheme, np.frombuffer(b, "<i8", offset=K._HEAD.size))) for b in blobs]
+        same = lambda c: pa.chunked_array([rows.column(c).combine_chunks().take(pa.array([0] * len(blobs)))])
+        return pa.table({key: same("_key"), "part": same("_part"), "seg_no": pa.array(range(len(blobs)), pa.int32()), "n": pa.array([len(x) for x in pieces], pa.int64()),
+                         "m": pa.array(m, pa.int64()), "blob": pa.array(blobs, pa.binary())})
+
+    rows = df.where(F.col(text).isNotNull()).select(F.col(key).alias("_key"), F.floor(F.col(order) / rows_per_part).cast("long").alias("_part"), F.col(order).cast("long").alias("_order"), F.col(text).alias("_text"))
+    kind = df.schema[key].dataType.simpleString()
+    return rows.groupBy("_key", "_part").applyInArrow(run, f"`{key}` {kind}, part long, seg_no int, n long, m long, blob binary")
+
+
+SURROGATES, N_SURROGATES = 0xD800, 0x800
+
+
+@F.arrow_udf(T.StringType())
+def tokens_as_text(ids: pa.Array) -> pa.Array:
+    """Sequences of token ids (0 to 1,112,063) as text of one code point a token, so that every scheme and access path applies."""
+    return pa.array([None if x is None else "".join(chr(i + N_SURROGATES * (i >= SURROGATES)) for i in x) for x in ids.to_pylist()], pa.string())
+
+
+@F.arrow_udf(T.ArrayType(T.IntegerType()))
+def text_as_tokens(texts: pa.Array) -> pa.Array:
+    return pa.array([None if t is None else [ord(c) - N_SURROGATES * (ord(c) >= SURROGATES) for c in t] for t in texts.to_pylist()], pa.list_(pa.int32()))
+
+
 def truncate(phrases: DataFrame, upto: int) -> DataFrame:
     """The first codewords of each segment: still decodable, for nothing refers forward."""
     return phrases.where(F.col("phrase_no") <= upto)

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import zlib
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -82,3 +85,14 @@ def order0_bits(seqs: DataFrame) -> DataFrame:
     """Context only: the order-0 entropy of the symbols, in bits."""
     freq = seqs.select(F.explode(F.split("text", "")).alias("c")).where("c <> ''").groupBy("c").agg(F.count(F.lit(1)).alias("k"))
     return freq.agg(F.sum("k").alias("n"), (F.sum(F.col("k") * F.log2("k"))).alias("klogk")).select("n", (F.col("n") * F.log2("n") - F.col("klogk")).alias("bits"))
+
+
+def deflate_bytes(seqs: DataFrame, level: int = 6) -> DataFrame:
+    """seq_id, n_bytes, deflated: the size under a sliding-window coder, which the method is not compared with; for orientation only."""
+
+    @F.arrow_udf("long")
+    def deflated(texts: pa.Array) -> pa.Array:
+        return pa.array([len(zlib.compress(t.encode(), level)) for t in texts.to_pylist()], pa.int64())
+
+    text = F.col("text")
+    return seqs.where(text.isNotNull()).select("seq_id", F.octet_length(text).cast("long").alias("n_bytes"), deflated(text).alias("deflated"))

@@ -493,3 +493,69 @@ def stream_codewords(spark, d):
     t = load(spark, d, "conversations").select("conv_id", "turn", F.concat("role", F.lit(": "), "text", F.lit("\n")).alias("line"))
     out = replay(spark, t, lambda s: compress_stream(s, "conv_id", "turn", "line", close=True), scratch_path(spark, "q"))
     return out.select("seq_id", "phrase_no", "parent_no", "symbol", "depth", "start_pos")
+
+
+@query(JUMPS + "SELECT seq_id, phrase_no, start_pos, parent_no, jump_no, symbol FROM k")
+def dense_words_udtf(spark, d):
+    from trieaccess.functions import register
+
+    register(spark)
+    turns(spark, d).createOrReplaceTempView("_turns")
+    return spark.sql("SELECT t.seq_id, c.phrase_no, c.start_pos, c.parent_no, c.jump_no, c.symbol FROM _turns t, LATERAL tx_dense(t.text) c")
+
+
+@query(PARSE + "SELECT seq_id, phrase_no, parent_no, symbol FROM c")
+def sparse_words_udtf(spark, d):
+    """The sparse scheme's codewords are those of the base parse, whatever the coin says."""
+    from trieaccess.functions import register
+
+    register(spark)
+    turns(spark, d).createOrReplaceTempView("_turns")
+    return spark.sql("SELECT t.seq_id, c.phrase_no, c.parent_no, c.symbol FROM _turns t, LATERAL tx_sparse(t.text, 0.0625D, 64, 7) c")
+
+
+@query(PARSE + "SELECT seq_id, count(*) AS m FROM c GROUP BY seq_id")
+def text_sizes_sql(spark, d):
+    from trieaccess.functions import register
+
+    register(spark)
+    turns(spark, d).createOrReplaceTempView("_turns")
+    return spark.sql("SELECT seq_id, s.m FROM (SELECT seq_id, tx_size(text) AS s FROM _turns) WHERE s.m > 0")
+
+
+@query("SELECT conv_id, length(t) AS n, md5(t) AS text_md5 FROM (SELECT conv_id, string_agg(text, '' ORDER BY turn) AS t FROM conversations GROUP BY conv_id) WHERE t IS NOT NULL")
+def concat_compress(spark, d):
+    """Many rows compressed into one store a key, and read back."""
+    from trieaccess.functions import expand_blob
+
+    packed = codec.compress_groups(load(spark, d, "conversations", "conv_id", "turn", "text"), "conv_id", "turn")
+    parts = F.array_sort(F.collect_list(F.struct("part", "seg_no", expand_blob("blob").alias("text"))))
+    whole = packed.groupBy("conv_id").agg(F.array_join(F.transform(parts, lambda p: p["text"]), "").alias("text"))
+    return whole.select("conv_id", F.length("text").cast("long").alias("n"), F.md5(F.col("text").cast("binary")).alias("text_md5"))
+
+
+@query()
+def copies_gain(spark, d):
+    """Codewords of a source's documents parsed one by one, and joined 64 neighbouring ids at a time: copies meet in one trie."""
+    t = load(spark, d, "documents", "doc_id", "source", "text")
+    alone = cost.word_counts(codec.cut(docs(spark, d)), ALPHA, GRID).groupBy("seq_id").agg(F.sum("w").alias("w"))
+    alone = t.select(F.col("doc_id").alias("seq_id"), "source").join(alone, "seq_id").groupBy("source").agg(F.sum("w").alias("alone"))
+    joined = codec.compress_groups(t, "source", "doc_id", scheme="base").groupBy("source").agg(F.sum("m").alias("joined"))
+    return alone.withColumnRenamed("source", "_s").join(joined, F.col("_s").eqNullSafe(F.col("source"))).select("source", "alone", "joined", (F.col("joined") / F.col("alone")).alias("ratio"))
+
+
+@query("SELECT l_orderkey AS seq_id, count(*) AS n, md5(string_agg(CAST(l_partkey AS VARCHAR), ' ' ORDER BY l_linenumber, l_partkey)) AS ids_md5 FROM lineitem GROUP BY l_orderkey")
+def token_roundtrip(spark, d):
+    """Sequences over an alphabet of ids: the parts of an order."""
+    lines = load(spark, d, "lineitem", "l_orderkey", "l_linenumber", "l_partkey")
+    ids = F.transform(F.array_sort(F.collect_list(F.struct("l_linenumber", "l_partkey"))), lambda x: x["l_partkey"].cast("int"))  # an order has a few lines
+    seqs = lines.groupBy(F.col("l_orderkey").alias("seq_id")).agg(ids.alias("ids")).select("seq_id", codec.tokens_as_text("ids").alias("text"))
+    back = codec.expand(codec.compress(codec.cut(seqs), "dense")).select("seq_id", codec.text_as_tokens("text").alias("ids"))
+    return back.select("seq_id", F.size("ids").cast("long").alias("n"), F.md5(F.array_join(F.col("ids").cast("array<string>"), " ").cast("binary")).alias("ids_md5"))
+
+
+@query()
+def deflate_sizes(spark, d):
+    """For orientation, not a comparison of the method: bytes of a sliding-window coder beside the text's, by language."""
+    meta = load(spark, d, "documents", F.col("doc_id").alias("seq_id"), "lang")
+    return cost.deflate_bytes(docs(spark, d)).join(meta, "seq_id").groupBy("lang").agg(F.sum("n_bytes").alias("n_bytes"), F.sum("deflated").alias("deflated"))
