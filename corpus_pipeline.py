@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from trieaccess.llm import decontamination, mixing, simhash, tokens, toxicity
-from trieaccess.llm.common import Scratch, table
+from trieaccess.llm.common import Scratch, table, text_bytes
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -15,16 +15,19 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the smallest id of each group stays; of rows with one id, one.
+    """One row of each group stays: that with the smallest id, null ids last; of rows with one id, that with the smallest hash.
 
-    The ids to keep grow with the corpus, so texts and ids meet by a shuffle at every size.
+    The rows to keep grow with the corpus, so texts and keys meet by a shuffle at every size.
     """
     scratch = Scratch(spark, "stage-simhash")
-    named = simhash.near_duplicates(docs, scratch)
-    keep = scratch.save(named.groupBy("component_id").agg(F.min("doc_id").alias("_keep")).select("_keep"), "keep")
-    kept = docs.join(keep.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_keep"))).drop("_keep")
-    ids = docs.agg(F.count(F.lit(1)).alias("n"), F.count_distinct(F.coalesce(F.col("doc_id").cast("string"), F.lit("")))).first()
-    return kept if ids[0] == ids[1] else kept.dropDuplicates(["doc_id"])
+    # a hash of the whole row, nulls told apart: rows alike in it are equal, so any of them may stay
+    key = F.xxhash64(*docs.columns, *[F.col(c).isNull() for c in docs.columns])
+    marked = scratch.save(docs.select("doc_id", key.alias("_row"), simhash.fingerprint(text_bytes()).alias("fp")), "rows")
+    root = simhash.roots(marked, scratch).select("fp", "root")
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "_row"))
+    keep = scratch.save(marked.join(root, "fp").groupBy("root").agg(first.alias("first")).select(F.col("first._row").alias("_keep"), "root"), "keep")
+    kept = docs.withColumn("_row", key).join(keep.withColumnRenamed("root", "_root").hint("merge"), F.col("_row") == F.col("_keep"))
+    return kept.dropDuplicates(["_row", "_root"]).drop("_row", "_keep", "_root")
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

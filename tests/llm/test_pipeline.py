@@ -68,6 +68,15 @@ def test_repeated_ids(spark):
     assert P.drop_near_copies(spark, docs, D).where("doc_id = 1").count() == 1
 
 
+def test_one_row_a_group_whatever_its_id(spark):
+    """Different texts stay though their ids are null or equal; copies go though theirs are."""
+    far = [" ".join(f"{w}{i}" for i in range(30)) for w in "abcde"]
+    rows = [(None, far[0]), (None, far[1]), (None, far[1]), (3, far[2]), (3, far[3]), (4, far[4]), (None, far[4]), (5, far[4]), (4, far[4])]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted(((r.doc_id, r.text) for r in P.drop_near_copies(spark, docs, D).collect()), key=str)
+    assert got == sorted([(None, far[0]), (None, far[1]), (3, far[2]), (3, far[3]), (4, far[4])], key=str)
+
+
 def test_store(spark):
     from tokenizers import Tokenizer
 

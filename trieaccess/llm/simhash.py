@@ -197,13 +197,18 @@ def components(edges: DataFrame, scratch: Scratch, rounds: int = 60) -> DataFram
     return e.select(F.col("u").alias("node"), F.col("v").alias("root"))
 
 
+def roots(marked: DataFrame, scratch: Scratch, wide: int = WIDE) -> DataFrame:
+    """Rows with doc_id and fp -> fp, first (its smallest doc_id), root (smallest fingerprint of its component, never null)."""
+    fps = scratch.save(marked.groupBy("fp").agg(F.min("doc_id").alias("first")), "fps")
+    root = components(links(fps, scratch, wide), scratch)
+    return fps.join(root, F.col("fp") == F.col("node"), "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
+
+
 def near_duplicates(docs: DataFrame, scratch: Scratch | None = None, wide: int = WIDE) -> DataFrame:
     """doc_id, fp (long), fingerprint (hex) and component_id (smallest doc_id reachable): one row per input row."""
     scratch = scratch or Scratch(docs.sparkSession, "simhash")
     marked = scratch.save(docs.select("doc_id", fingerprint(text_bytes()).alias("fp")), "marked")
-    fps = scratch.save(marked.groupBy("fp").agg(F.min("doc_id").alias("first")), "fps")
-    root = components(links(fps, scratch, wide), scratch)
-    placed = fps.join(root, F.col("fp") == F.col("node"), "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
+    placed = roots(marked, scratch, wide)
     name = placed.groupBy("root").agg(F.min("first").alias("component_id"))
     group = scratch.save(placed.select("fp", "root").join(name, "root").select("fp", "component_id"), "groups")
     return marked.join(group, "fp").select("doc_id", "fp", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
