@@ -122,6 +122,17 @@ def test_predictive_probabilities_sum_to_one():
             assert math.isclose(total, 1, rel_tol=1e-9) and (tables[own] <= party[own]).all() and (tables[own] >= (party[own] > 0)).all()
 
 
+def test_a_rare_word_is_a_context(spark):
+    """`rare` is under 1/1024 of the training tokens and always followed by `next`: what follows it is scored with it."""
+    fill = " ".join(f"w{i % 97}" for i in range(400))
+    train = [i for i in range(1, 400) if zlib.crc32(str(i).encode()) % 10][:200]
+    held = [i for i in range(1, 400) if not zlib.crc32(str(i).encode()) % 10][:2]
+    rows = [(i, fill + (" rare next" if k < 40 else " w1 w2")) for k, i in enumerate(train)] + [(held[0], "rare next"), (held[1], "next rare")]
+    got = {r.doc_id: r for r in pitmanyor.score_texts(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert 40 < got[held[0]].train_tokens / 1024 and got[held[0]].base_score == pytest.approx(got[held[1]].base_score)
+    assert got[held[0]].score > got[held[1]].score + 1
+
+
 def edit_distance(a, b):
     row = np.zeros(len(b) + 1, int)
     for c in a:

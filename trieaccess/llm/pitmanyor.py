@@ -1,18 +1,20 @@
 """LM scoring with a hierarchical Pitman-Yor model of words.
 
-Restaurants: one for each context (the word before) that has at least `OPEN` of the training tokens, so at most
-1/OPEN of them at any size of the corpus, and one parent that they share; tokens after rarer words enter the parent
-directly. The parent's base is uniform over the V training words and one unknown. Seats are sampled: a sweep re-seats every
+Restaurants: one for each context (the word before) seen in training, and one parent that they share.
+The parent's base is uniform over the V training words and one unknown. Seats are sampled: a sweep re-seats every
 (context, dish) by the Chinese-restaurant rule given the other tables, and the first table of each party sends a customer to the parent. `BURN`
-sweeps are dropped, the predictive probabilities of the next `SAMPLES` are averaged.
+sweeps are dropped, the predictive probabilities of the next `SAMPLES` are averaged. A context's size is its word's training count.
 
-Plan, three exchanges of packed columns, none of tokens one by one:
+Plan, exchanges of packed columns, none of tokens one by one; the partition of a word is that of its hash:
 1. documents become chunks of about `CHUNK` tokens over a chunk vocabulary, written once;
-2. each chunk sends its distinct words and (context, word) pairs with training counts to the partition of the word's hash, where
-   all counts of a word meet, seats are sampled, and counts and tables go back to the chunks that asked;
-3. each chunk meets its answers and scores its documents. Only totals (at most 1/OPEN + 3 a sample) pass through the driver.
+2. each chunk sends its words with training counts to their partitions and gets the sums back;
+3. each chunk sends its words and (context, word) pairs with training counts and context sizes to the partition of the word,
+   where seats are sampled, and counts and tables go back to the chunks that asked. In a sweep a partition takes its own share of a context's
+   tables, scaled to the context's size, for all of them;
+4. tables of each context are summed in the partition of the context, and the exact sums go to the chunks that hold it;
+5. each chunk meets its answers and scores its documents. Only 1 + 2 totals a sample pass through the driver.
 Customers beyond the 64th of a party are seated in runs that grow by an eighth, with the rate held within a run.
-Words are told apart by 64-bit hashes.
+Words are told apart by 64-bit hashes. All pairs of one word meet in one task.
 
 Texts: A-Z lower-cased, words, then one end token, which is also the first word's context. Nulls: a null text is
 empty (the end token only); a null doc_id teaches. Repeated rows count and are scored each. Without training documents
@@ -32,10 +34,10 @@ from pyspark.sql import functions as F
 
 from .common import Scratch, crc_mod, text_bytes
 
-OPEN, CHUNK, BURN, SAMPLES, SEED = 1 / 1024, 1 << 21, 2, 3, 5
+CHUNK, BURN, SAMPLES, SEED = 1 << 21, 2, 3, 5
 D_TOP, THETA_TOP, D_CTX, THETA_CTX = 0.7, 10.0, 0.6, 2000.0
 EXACT = 64
-CHUNKS = "chunk_id long, doc_ids array<long>, held array<boolean>, sizes array<int>, words binary, counts binary, tokens binary, n_train long, often array<struct<w: long, c: long>>"
+CHUNKS = "chunk_id long, doc_ids array<long>, held array<boolean>, sizes array<int>, words binary, counts binary, tokens binary, n_train long"
 
 
 def pack(*arrays: np.ndarray) -> bytes:
@@ -87,13 +89,11 @@ class ChunkBuilder:
         tokens = rank[tokens]
         words = np.array([xxh64_intdigest(w, SEED) for w in self.place], np.uint64)[order]
         counts = np.bincount(tokens[train], minlength=len(words))
-        often = np.flatnonzero(counts >= max(1, train.sum() * OPEN / 2))
-        return [self.chunk_id, self.doc_ids, self.held, self.sizes, pack(words), pack(counts.astype(np.uint32)), pack(*_planes(tokens)), int(train.sum()),
-                [{"w": int(w), "c": int(c)} for w, c in zip(words[often].view(np.int64), counts[often])]]
+        return [self.chunk_id, self.doc_ids, self.held, self.sizes, pack(words), pack(counts.astype(np.uint32)), pack(*_planes(tokens)), int(train.sum())]
 
 
 _CHUNK_SCHEMA = pa.schema([("chunk_id", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("held", pa.list_(pa.bool_())), ("sizes", pa.list_(pa.int32())), ("words", pa.binary()),
-                           ("counts", pa.binary()), ("tokens", pa.binary()), ("n_train", pa.int64()), ("often", pa.list_(pa.struct([("w", pa.int64()), ("c", pa.int64())])))])
+                           ("counts", pa.binary()), ("tokens", pa.binary()), ("n_train", pa.int64())])
 
 
 def _chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -114,24 +114,64 @@ def _chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield done(open_chunk)
 
 
-def _exact_counts(candidates: np.ndarray):
+def _slices(words: np.ndarray, parts: int) -> Iterator[tuple[int, np.ndarray]]:
+    """(partition, its places in `words`), ascending; the same in each call."""
+    part = (words % np.uint64(parts)).astype(np.int64)
+    order = np.argsort(part, kind="stable")
+    used, first = np.unique(part[order], return_index=True)
+    yield from zip(used.tolist(), np.split(order, first[1:]))
+
+
+def _blobs(rows: list[tuple[int, int, bytes]]) -> pa.RecordBatch:
+    p, chunk, blob = list(zip(*rows)) or ((), (), ())
+    return pa.RecordBatch.from_arrays([pa.array(p, pa.int32()), pa.array(chunk, pa.int64()), pa.array(blob, pa.binary())], names=["p", "chunk_id", "blob"])
+
+
+def _word_counts(parts: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for w, c in zip(b.column(0), b.column(1)):
+            for chunk_id, w, c in zip(b.column(0), b.column(1), b.column(2)):
                 (words,), (counts,) = unpack(w.as_py()), unpack(c.as_py())
-                hit = np.isin(words, candidates)
-                yield pa.RecordBatch.from_arrays([pa.array(words[hit].view(np.int64)), pa.array(counts[hit].astype(np.int64))], names=["w", "c"])
+                yield _blobs([(p, chunk_id.as_py(), pack(words[at], counts[at])) for p, at in _slices(words, parts)])
 
     return run
 
 
+def _summed(key: tuple[pa.Scalar, ...], sent: pa.Table) -> pa.Table:
+    """Words and counts of all chunks -> to each chunk, the sums of its words."""
+    ids, got = sent.column("chunk_id").to_pylist(), [unpack(x) for x in sent.column("blob").to_pylist()]
+    words, of = np.unique(np.concatenate([g[0] for g in got]), return_inverse=True)
+    sums = np.bincount(of, np.concatenate([g[1] for g in got]), len(words)).astype(np.int64)
+    back = np.split(sums[of], np.cumsum([len(g[0]) for g in got])[:-1])
+    return pa.Table.from_batches([_blobs([(key[0].as_py(), i, pack(x)) for i, x in zip(ids, back)])])
+
+
+def _context_tables(left: pa.Table, right: pa.Table) -> pa.Table:
+    """A partition's words by chunk, and tables of contexts by partition -> to each chunk, the tables of its words as contexts, a row a sample."""
+    if not left.num_rows:
+        return pa.Table.from_batches([_blobs([])])
+    got = [unpack(x) for x in right.column("blob").to_pylist()]
+    words, of = np.unique(np.concatenate([np.zeros(0, np.uint64), *[g[0] for g in got]]), return_inverse=True)
+    sums = np.zeros((SAMPLES, len(words) + 1))  # the last column is for words that are no context
+    for s in range(SAMPLES):
+        sums[s, :-1] = np.bincount(of, np.concatenate([np.zeros(0), *[g[1 + s] for g in got]]), len(words))
+    rows = []
+    for p, i, blob in zip(left.column("p").to_pylist(), left.column("chunk_id").to_pylist(), left.column("blob").to_pylist()):
+        own = unpack(blob)[0]
+        at = np.searchsorted(words, own)
+        at[at < len(words)] = np.where(words[at[at < len(words)]] == own[at < len(words)], at[at < len(words)], len(words))
+        rows.append((p, i, pack(*sums[:, at].astype(np.int64))))
+    return pa.Table.from_batches([_blobs(rows)])
+
+
 class Chunk:
-    """A chunk's tokens with their contexts: pair_key = word * width + context, context 0 for those that are not open."""
+    """A chunk's tokens with their contexts: pair_key = word * width + context, context 0 for those that are not open; by default all are, in the order of `words`."""
 
-    def __init__(self, words: bytes, tokens: bytes, held: list[bool], sizes: list[int], opened: np.ndarray):
+    def __init__(self, words: bytes, tokens: bytes, held: list[bool], sizes: list[int], opened: np.ndarray | None = None):
         (self.words,) = unpack(words)
         self.tokens, self.sizes, self.held = _from_planes(unpack(tokens)), np.array(sizes), np.array(held, bool)
         self.train = np.repeat(~self.held, self.sizes)
+        opened = self.words if opened is None else opened
         self.width = len(opened) + 1
         order = np.argsort(opened)
         at = np.searchsorted(opened, self.words, sorter=order)
@@ -158,19 +198,37 @@ class Chunk:
             yield p, by_word[w0[i] : w1[i]], by_pair[p0[i] : p1[i]]
 
 
-def _requests(opened: np.ndarray, parts: int):
+def _requests(opened: np.ndarray | None, parts: int):
+    """Chunks -> requests to partitions. Where all contexts are open, rows have `sums`, a list of what `_summed` sent back, and contexts go by hash and size."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for r in b.to_pylist():
                 chunk = Chunk(r["words"], r["tokens"], r["held"], r["sizes"], opened)
                 (counts,) = unpack(r["counts"])
                 pair_counts = np.bincount(chunk.pair_of[chunk.train[chunk.in_open]], minlength=len(chunk.pairs)).astype(np.uint32)
+                if opened is None:
+                    size, sums = np.zeros(len(chunk.words), np.int64), {x["p"]: x["blob"] for x in r["sums"]}
+                    for p, at in _slices(chunk.words, parts):
+                        (size[at],) = unpack(sums[p])
                 rows = []
                 for p, words, pairs in chunk.slices(parts):
-                    local = np.searchsorted(words, chunk.pairs[pairs] // chunk.width).astype(np.uint32)
-                    rows.append((p, r["chunk_id"], pack(chunk.words[words], counts[words], local, (chunk.pairs[pairs] % chunk.width).astype(np.uint16), pair_counts[pairs])))
-                cols = list(zip(*rows))
-                yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.binary())], names=["p", "chunk_id", "blob"])
+                    local, ctx = np.searchsorted(words, chunk.pairs[pairs] // chunk.width).astype(np.uint32), chunk.pairs[pairs] % chunk.width
+                    if opened is None:
+                        used, ctx = np.unique(ctx - 1, return_inverse=True)
+                        named, ctx = (chunk.words[used], size[used].astype(np.uint32)), ctx.astype(np.uint32)
+                    else:
+                        named, ctx = (), ctx.astype(np.uint16)
+                    rows.append((p, r["chunk_id"], pack(chunk.words[words], counts[words], local, ctx, pair_counts[pairs], *named)))
+                yield _blobs(rows)
+
+    return run
+
+
+def _asked(parts: int):
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        row = left.to_pylist()[0] | {"sums": right.select(["p", "blob"]).to_pylist()}
+        return pa.Table.from_batches(_requests(None, parts)([pa.RecordBatch.from_pylist([row])]))
 
     return run
 
@@ -195,9 +253,8 @@ def seat(customers: np.ndarray, new: np.ndarray, discount: float, rng: np.random
     return out
 
 
-def _restaurants(context_sizes: np.ndarray, n_train: int, parts: int):
-    """All requests of a partition -> answers to each chunk, and one row of totals."""
-    width = len(context_sizes) + 1
+def _restaurants(context_sizes: np.ndarray | None, n_train: int, parts: int):
+    """All requests of a partition -> answers to each chunk, one row of totals and, where contexts go by hash, their tables to the partitions of the contexts."""
 
     def run(key: tuple[pa.Scalar, ...], requests: pa.Table) -> pa.Table:
         p = key[0].as_py()
@@ -209,7 +266,15 @@ def _restaurants(context_sizes: np.ndarray, n_train: int, parts: int):
         count = np.bincount(of, np.concatenate([g[1] for g in got]), len(words)).astype(np.int64)
         split = np.cumsum([len(g[0]) for g in got])[:-1]
         of_chunk = np.split(of, split)
-        pair_key = np.concatenate([o[g[2]] * width + g[3] for o, g in zip(of_chunk, got)])
+        if context_sizes is None:
+            contexts, of_ctx = np.unique(np.concatenate([g[5] for g in got]), return_inverse=True)
+            size = np.zeros(len(contexts) + 1)
+            size[of_ctx + 1] = np.concatenate([g[6] for g in got])
+            ctx_of = [o[g[3]] + 1 for o, g in zip(np.split(of_ctx, np.cumsum([len(g[5]) for g in got])[:-1]), got)]
+        else:
+            size, ctx_of = np.concatenate([[0], context_sizes]).astype(float), [g[3] for g in got]
+        width = len(size)
+        pair_key = np.concatenate([o[g[2]] * width + c for o, g, c in zip(of_chunk, got, ctx_of)])
         pairs, of_pair = np.unique(pair_key, return_inverse=True)
         party = np.bincount(of_pair, np.concatenate([g[4] for g in got]), len(pairs)).astype(np.int64)
         dish, ctx = pairs // width, pairs % width
@@ -217,7 +282,6 @@ def _restaurants(context_sizes: np.ndarray, n_train: int, parts: int):
         rng = np.random.default_rng([SEED, p])
         types = max(1, int((count > 0).sum()))
         share = max(1e-9, count.sum() / max(1, n_train))  # of all training tokens; scales this partition's sums up
-        size = np.concatenate([[0], context_sizes]).astype(float)
         tables, top_tables = (party > 0).astype(np.int64), (count > 0).astype(np.int64)
         kept = []
         for sweep in range(BURN + SAMPLES):
@@ -235,41 +299,49 @@ def _restaurants(context_sizes: np.ndarray, n_train: int, parts: int):
                 kept.append((tables.copy(), top_party, top_tables.copy()))
         totals = [int((count > 0).sum())]
         for tb, tp, tt in kept:
-            totals += [int(tp.sum()), int(tt.sum()), *np.bincount(ctx, tb, width).astype(np.int64).tolist()]
+            totals += [int(tp.sum()), int(tt.sum())]
+            if context_sizes is not None:
+                totals += np.bincount(ctx, tb, width).astype(np.int64).tolist()
         small = lambda x: x.astype(np.uint32)
         pair_split = np.split(of_pair, np.cumsum([len(g[2]) for g in got])[:-1])
         blobs = [pack(small(count[w]), *[small(x[w]) for _, tp, tt in kept for x in (tp, tt)], small(party[q]), *[small(tb[q]) for tb, _, _ in kept]) for w, q in zip(of_chunk, pair_split)]
-        return pa.table({"p": pa.array([p] * (len(ids) + 1), pa.int32()), "chunk_id": pa.array([*ids, None], pa.int64()),
-                         "blob": pa.array([*blobs, None], pa.binary()), "totals": pa.array([*[None] * len(ids), totals], pa.list_(pa.int64()))})
+        to, sums = [], []
+        if context_sizes is None:
+            per = np.stack([np.bincount(ctx, tb, width)[1:] for tb, _, _ in kept]).astype(np.uint32)
+            some = np.flatnonzero(per[0])
+            for q, at in _slices(contexts[some], parts):
+                to.append(q)
+                sums.append(pack(contexts[some[at]], *per[:, some[at]]))
+        return pa.table({"p": pa.array([p] * (len(ids) + 1) + to, pa.int32()), "chunk_id": pa.array([*ids, None, *[None] * len(to)], pa.int64()),
+                         "blob": pa.array([*blobs, None, *sums], pa.binary()), "totals": pa.array([*[None] * len(ids), totals, *[None] * len(to)], pa.list_(pa.int64()))})
 
     return run
 
 
-def _scores(opened: np.ndarray, context_sizes: np.ndarray, n_train: int, parts: int, totals: list[int]):
-    width = len(opened) + 1
+def _scores(n_train: int, parts: int, totals: list[int]):
     types = totals[0]
-    per = np.array(totals[1:], float).reshape(SAMPLES, width + 2)
+    per = np.array(totals[1:], float).reshape(SAMPLES, 2)
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         r = left.to_pylist()[0]
-        chunk = Chunk(r["words"], r["tokens"], r["held"], r["sizes"], opened)
-        answers = dict(zip(right.column("p").to_pylist(), right.column("blob").to_pylist()))
+        chunk = Chunk(r["words"], r["tokens"], r["held"], r["sizes"])
+        answers = {(x["p"], x["of_contexts"]): x["blob"] for x in right.to_pylist()}
         count = np.zeros(len(chunk.words))
         top = np.zeros((SAMPLES, 2, len(chunk.words)))
         party, tables = np.zeros(len(chunk.pairs)), np.zeros((SAMPLES, len(chunk.pairs)))
+        all_tables = np.zeros((SAMPLES, len(chunk.words)))  # of each word as a context
         for p, words, pairs in chunk.slices(parts):
-            got = unpack(answers[p])
+            got = unpack(answers[p, False])
             count[words] = got[0]
             for s in range(SAMPLES):
                 top[s, 0, words], top[s, 1, words] = got[1 + 2 * s], got[2 + 2 * s]
                 tables[s, pairs] = got[2 + 2 * SAMPLES + s]
             party[pairs] = got[1 + 2 * SAMPLES]
+            all_tables[:, words] = np.stack(unpack(answers[p, True]))
         p_top = np.stack([(top[s, 0] - D_TOP * top[s, 1] + (THETA_TOP + D_TOP * per[s, 1]) / (types + 1)) / (THETA_TOP + per[s, 0]) for s in range(SAMPLES)])
-        word, ctx = chunk.pairs // width, chunk.pairs % width
-        size = np.concatenate([[0], context_sizes])[ctx]
-        p_pair = np.mean([(party - D_CTX * tables[s] + (THETA_CTX + D_CTX * per[s, 2:][ctx]) * p_top[s, word]) / (THETA_CTX + size) for s in range(SAMPLES)], axis=0)
-        logs = np.log10(p_top.mean(0))[chunk.tokens]
-        logs[chunk.in_open] = np.log10(p_pair)[chunk.pair_of]
+        word, ctx = chunk.pairs // chunk.width, chunk.pairs % chunk.width - 1
+        p_pair = np.mean([(party - D_CTX * tables[s] + (THETA_CTX + D_CTX * all_tables[s, ctx]) * p_top[s, word]) / (THETA_CTX + count[ctx]) for s in range(SAMPLES)], axis=0)
+        logs = np.log10(p_pair)[chunk.pair_of]
         base = np.log10((count + 0.1) / (n_train + 0.1 * (types + 1)))[chunk.tokens]
         known = (count > 0)[chunk.tokens].astype(np.int64)
         n = len(chunk.sizes)
@@ -287,18 +359,18 @@ def score_texts(docs: DataFrame, scratch: Scratch | None = None) -> DataFrame:
     chunks = scratch.save(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_bytes().alias("t"), held.alias("held")).mapInArrow(_chunks, CHUNKS), "chunks")
     sums = chunks.agg(F.coalesce(F.sum("n_train"), F.lit(0)).alias("n"), F.coalesce(F.sum(F.aggregate("sizes", F.lit(0).cast("long"), lambda a, x: a + x)), F.lit(0)).alias("all")).first()
     n_train = int(sums.n)
-    # a word with the share OPEN of all has half of it or more in the chunks that report it; at most 2 / OPEN words pass
-    often = chunks.select(F.inline("often")).groupBy("w").agg(F.sum("c").alias("c")).where(F.col("c") >= n_train * OPEN / 2).select("w")
-    candidates = np.array(sorted(r.w for r in often.collect()), np.int64).view(np.uint64)
-    exact = chunks.select("words", "counts").mapInArrow(_exact_counts(candidates), "w long, c long").groupBy("w").agg(F.sum("c").alias("c")).where(F.col("c") >= n_train * OPEN)
-    rows = sorted((r.w, r.c) for r in exact.collect()) if n_train else []
-    opened, context_sizes = np.array([w for w, _ in rows], np.int64).view(np.uint64), np.array([c for _, c in rows], np.int64)
     parts = max(4, -(-int(sums["all"]) // CHUNK))
-    asked = chunks.select("chunk_id", "held", "sizes", "words", "counts", "tokens").mapInArrow(_requests(opened, parts), "p int, chunk_id long, blob binary")
-    answers = scratch.save(asked.groupBy("p").applyInArrow(_restaurants(context_sizes, n_train, parts), "p int, chunk_id long, blob binary, totals array<long>"), "answers")
+    sent = "p int, chunk_id long, blob binary"
+    counts = scratch.save(chunks.select("chunk_id", "words", "counts").mapInArrow(_word_counts(parts), sent), "counts")
+    sums = counts.groupBy("p").applyInArrow(_summed, sent)
+    left = chunks.select("chunk_id", "held", "sizes", "words", "counts", "tokens").groupBy("chunk_id")
+    asked = left.cogroup(sums.groupBy("chunk_id")).applyInArrow(_asked(parts), sent)
+    answers = scratch.save(asked.groupBy("p").applyInArrow(_restaurants(None, n_train, parts), f"{sent}, totals array<long>"), "answers")
     totals = [r.v for r in answers.where("totals IS NOT NULL").select(F.posexplode("totals").alias("i", "x")).groupBy("i").agg(F.sum("x").alias("v")).orderBy("i").collect()]
-    totals = totals or [0] * (1 + SAMPLES * (len(opened) + 3))
+    totals = totals or [0] * (1 + SAMPLES * 2)
+    of_contexts = answers.where("chunk_id IS NULL AND totals IS NULL").select("p", "blob")
+    context_tables = counts.groupBy("p").cogroup(of_contexts.groupBy("p")).applyInArrow(_context_tables, sent)
     left = chunks.select("chunk_id", "doc_ids", "held", "sizes", "words", "tokens").groupBy("chunk_id")
-    right = answers.where("chunk_id IS NOT NULL").select("chunk_id", "p", "blob").groupBy("chunk_id")
-    return left.cogroup(right).applyInArrow(_scores(opened, context_sizes, n_train, parts, totals),
-                                            "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+    right = answers.where("chunk_id IS NOT NULL").select("chunk_id", "p", "blob", F.lit(False).alias("of_contexts")).unionByName(context_tables.withColumn("of_contexts", F.lit(True)))
+    return left.cogroup(right.groupBy("chunk_id")).applyInArrow(_scores(n_train, parts, totals),
+                                                               "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
