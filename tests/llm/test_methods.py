@@ -9,8 +9,9 @@ from collections import Counter
 import duckdb
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
-from trieaccess.llm import audio, decontamination, mixing, pitmanyor, queries, tokens
+from trieaccess.llm import audio, decontamination, mixing, pitmanyor, queries, tokens, urls
 
 D = "/root/testdata/sf0.01"
 
@@ -133,6 +134,17 @@ def test_a_rare_word_is_a_context(spark):
     assert got[held[0]].score > got[held[1]].score + 1
 
 
+def test_small_and_deep_sections_are_judged_by_their_own_labels(spark):
+    rows = [(f"http://h.com/s{chr(97 + k)}/x1", 0) for k in range(25) for _ in range(60)]  # clean sections
+    rows += [("http://h.com/bad/x1", 1)] * 40 + [("http://h.com/bad/x2", None)]  # under 5 % of the host's pages
+    rows += [("http://only.com/bad/x1", 1)] * 30 + [("http://only.com/bad/x2", None)] + [(f"http://only.com/{chr(97 + k)}/x1", None) for k in range(20) for _ in range(60)]
+    deep = "http://deep.com/a/b/c/d/e"
+    rows += [(f"{deep}/good/x1", 0)] * 60 + [(f"{deep}/bad/x1", 1)] * 20 + [(f"{deep}/bad/x2", None), (f"{deep}/good/x2", None)]
+    df = spark.createDataFrame(rows, "url string, mark int")
+    got = {r.url: r.verdict for r in urls.judge_urls(df, (), F.col("mark")).collect()}
+    assert {u for u, v in got.items() if v == "block"} == {f"{u}/{x}" for u in ("http://h.com/bad", "http://only.com/bad", f"{deep}/bad") for x in ("x1", "x2")}
+
+
 def edit_distance(a, b):
     row = np.zeros(len(b) + 1, int)
     for c in a:

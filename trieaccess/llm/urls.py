@@ -5,8 +5,9 @@ its host and all subdomains if the path starts with the rule's path; the longest
 
 Method for the other urls: digits of a path segment become '#'; per host a tree of segments is grown level by level on
 the distinct (host, shaped path) counts, never on pages. A child that holds less than `min_share` of its node's pages
-becomes '*'. A labelled child whose share of blocked labels is not significantly different (two-proportion z) from that of its
-labelled siblings is merged into '*' too. A template is rejected if it has `min_labels` labelled pages or more and its
+and has under `min_labels` labels, too few to test, becomes '*'. A labelled child whose share of blocked labels is not significantly different (two-proportion z) from that of its
+labelled siblings is merged into '*' too. Below level `depth`
+a node is split on only where a verdict can depend on it: while it has `min_labels` labels or more and several shapes; '/**' stands for the rest. A template is rejected if it has `min_labels` labelled pages or more and its
 smoothed purity (blocked + prior_weight * base rate) / (labelled + prior_weight) is `min_purity` or more. Labels are
 a column of the input (1 block, 0 allow, null none); where it has none, the verdict of a rule labels the page.
 
@@ -16,6 +17,8 @@ between rules of equal length: the first in the list. Repeated rows count each.
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -48,28 +51,34 @@ def shape(path: Column) -> Column:
 
 
 def template_tree(pages: DataFrame, scratch: Scratch, depth: int = 4, min_share: float = 0.05, z: float = 1.96, min_labels: int = 5) -> DataFrame:
-    """(host, shaped) -> template, labelled, blocked. `pages` has host, shaped, label; segments below `depth` stay in one tail.
+    """(host, shaped) -> template, labelled, blocked. `pages` has host, shaped, label; from `depth` on only nodes that a verdict can depend on are split.
 
     Each level is written: a level's plan reads the one before it three times, which would otherwise triple with every level.
     """
     tree = pages.groupBy("host", "shaped").agg(F.count(F.lit(1)).alias("n"), F.count("label").alias("l"), F.coalesce(F.sum("label"), F.lit(0)).cast("long").alias("b"))
-    tree = tree.withColumn("segs", F.split("shaped", "/", depth + 2)).withColumn("template", F.lit(""))
-    for d in range(1, depth + 1):
+    tree = tree.withColumn("segs", F.split("shaped", "/", -1)).withColumn("template", F.lit(""))
+    for d in count(1):
         seg = F.get("segs", F.lit(d))
         sums = lambda *k: (F.sum("n").alias(f"n{len(k)}"), F.sum("l").alias(f"l{len(k)}"), F.sum("b").alias(f"b{len(k)}"))
         tree = tree.withColumn("seg", seg)
-        node = tree.groupBy("host", "template").agg(F.sum("n").alias("nn"), F.sum("l").alias("ln"), F.sum("b").alias("bn"))
+        node = tree.groupBy("host", "template").agg(F.sum("n").alias("nn"), F.sum("l").alias("ln"), F.sum("b").alias("bn"), F.count(F.lit(1)).alias("shapes"))
+        if d > depth:
+            node = node.where((F.col("ln") >= min_labels) & (F.col("shapes") > 1))
         child = tree.where(F.col("seg").isNotNull()).groupBy("host", "template", "seg").agg(F.sum("n").alias("nc"), F.sum("l").alias("lc"), F.sum("b").alias("bc"))
         rest_l, rest_b, pool = F.col("ln") - F.col("lc"), F.col("bn") - F.col("bc"), F.col("bn") / F.col("ln")
         spread = F.sqrt(pool * (1 - pool) * (1 / F.col("lc") + 1 / rest_l))
         alike = (F.col("lc") >= min_labels) & (rest_l >= min_labels) & (F.abs(F.col("bc") / F.col("lc") - rest_b / rest_l) <= z * spread)
         judged = child.join(node, ["host", "template"]).select(
-            "host", "template", "seg", F.when((F.col("nc") < min_share * F.col("nn")) | F.coalesce(F.when((F.col("lc") > 0) & (rest_l > 0), alike), F.lit(False)), "*").otherwise(F.col("seg")).alias("to"))
+            "host", "template", "seg", F.when(((F.col("nc") < min_share * F.col("nn")) & (F.col("lc") < min_labels)) | F.coalesce(F.when((F.col("lc") > 0) & (rest_l > 0), alike), F.lit(False)), "*").otherwise(F.col("seg")).alias("to"))
+        if d > depth:
+            judged = scratch.save(judged, f"judged{d}")
+            if judged.isEmpty():
+                break
         tree = tree.join(judged, ["host", "template", "seg"], "left").withColumn(
             "template", F.when(F.col("to").isNull(), F.col("template")).otherwise(F.concat("template", F.lit("/"), "to"))).drop("to", "seg")
         tree = scratch.save(tree, f"level{d}")
-    tail = F.get("segs", F.lit(depth + 1))
-    tree = tree.withColumn("template", F.when(tail.isNull(), F.col("template")).otherwise(F.concat("template", F.lit("/**"))))
+    whole = F.size("segs") <= F.size(F.split("template", "/", -1))
+    tree = tree.withColumn("template", F.when(whole, F.col("template")).otherwise(F.concat("template", F.lit("/**"))))
     sums = tree.groupBy("host", "template").agg(F.sum("l").alias("labelled"), F.sum("b").alias("blocked"))
     return tree.select("host", "shaped", "template").join(sums, ["host", "template"])
 
