@@ -11,7 +11,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from trieaccess.llm import audio, decontamination, mixing, pitmanyor, queries, tokens, urls
+from trieaccess.llm import audio, decontamination, language, mixing, pitmanyor, queries, tokens, urls
 
 D = "/root/testdata/sf0.01"
 
@@ -145,6 +145,12 @@ def test_small_and_deep_sections_are_judged_by_their_own_labels(spark):
     assert {u for u, v in got.items() if v == "block"} == {f"{u}/{x}" for u in ("http://h.com/bad", "http://only.com/bad", f"{deep}/bad") for x in ("x1", "x2")}
 
 
+def test_texts_without_letters_take_no_share_of_the_teachers(spark):
+    empty = spark.range(100_000, 150_000).select(F.col("id").alias("doc_id"), F.lit(None).cast("string").alias("text"), F.lit("aa").alias("lang"))
+    texts = spark.range(200).select(F.col("id").alias("doc_id"), F.when(F.col("id") < 100, "saluton amiko").otherwise("good morning friend").alias("text"), F.when(F.col("id") < 100, "aa").otherwise("bb").alias("lang"))
+    assert set(language.fit(empty.unionByName(texts), per_lang=20).langs) == {"aa", "bb"}
+
+
 def edit_distance(a, b):
     row = np.zeros(len(b) + 1, int)
     for c in a:

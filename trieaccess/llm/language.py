@@ -3,6 +3,7 @@
 A text becomes the vector of its byte trigrams (A-Z lower-cased, other ASCII but letters as one blank each, runs kept),
 hashed to `DIMS` slots, weighted (1 + log tf) * idf and normalised. Each language has up to `CLUSTERS` centroids from spherical
 k-means on a sample of at most about `per_lang` labelled texts of it (a documented bound; at most `MAX_LANGS` languages).
+The idf is that of the sample.
 The prediction is the language of the centroid with the largest cosine, which is the score. A text further from its
 centroid than all but `reject` of that centroid's own texts is marked `rejected`.
 
@@ -105,7 +106,7 @@ def _train(reject: float):
 def fit(docs: DataFrame, per_lang: int = 800, reject: float = 0.005, scratch: Scratch | None = None) -> Centroids | None:
     scratch = scratch or Scratch(docs.sparkSession, "lang")
     teach = docs.where(F.col("lang").isNotNull() & F.col("text").rlike(r"\p{L}") & (crc_mod("doc_id", 4) != 2))
-    seen = docs.where(F.col("lang").isNotNull() & (crc_mod("doc_id", 4) != 2)).groupBy("lang").agg(F.count(F.lit(1)).alias("_n"))
+    seen = teach.groupBy("lang").agg(F.count(F.lit(1)).alias("_n"))  # usable texts only: the rate is over what can teach
     counts = scratch.save(seen.select(F.col("lang").alias("_l"), "_n"), "counts")
     if counts.count() > MAX_LANGS:
         raise ValueError(f"more than {MAX_LANGS} languages to learn")
