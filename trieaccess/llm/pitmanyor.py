@@ -7,14 +7,16 @@ sweeps are dropped, the predictive probabilities of the next `SAMPLES` are avera
 
 Plan, exchanges of packed columns, none of tokens one by one; the partition of a word is that of its hash:
 1. documents become chunks of about `CHUNK` tokens over a chunk vocabulary, written once;
-2. each chunk sends its words with training counts to their partitions and gets the sums back;
-3. each chunk sends its words and (context, word) pairs with training counts and context sizes to the partition of the word,
-   where seats are sampled, and counts and tables go back to the chunks that asked. In a sweep a partition takes its own share of a context's
-   tables, scaled to the context's size, for all of them;
-4. tables of each context are summed in the partition of the context, and the exact sums go to the chunks that hold it;
+2. each chunk sends its words with training counts to their partitions; each partition ranks its words by count and sends sums and ranks back.
+   (partition, rank) is a word's number from here on: small for frequent words, so that pairs pack into few bytes;
+3. each chunk sends its (word, context) pairs with training counts to the partition of the word, where seats are sampled; sums, parties
+   and tables go back to the chunks that asked. In a sweep a partition takes its own share of a context's
+   tables, scaled to the context's size, for all of them, and its own share of the parent likewise; every kept sample ends with the parent seated on the tables just sampled;
+4. tables of each context are summed in the partition of the context, and the exact sums go to the chunks that hold it: scores
+   use exact sums only, so that the probabilities of each context add up to 1;
 5. each chunk meets its answers and scores its documents. Only 1 + 2 totals a sample pass through the driver.
 Customers beyond the 64th of a party are seated in runs that grow by an eighth, with the rate held within a run.
-Words are told apart by 64-bit hashes. All pairs of one word meet in one task.
+Words are told apart by 64-bit hashes. All pairs of one word meet in one task. A chunk sends one packed row to each partition it has words of.
 
 Texts: A-Z lower-cased, words, then one end token, which is also the first word's context. Nulls: a null text is
 empty (the end token only); a null doc_id teaches. Repeated rows count and are scored each. Without training documents
@@ -41,24 +43,21 @@ CHUNKS = "chunk_id long, doc_ids array<long>, held array<boolean>, sizes array<i
 
 
 def pack(*arrays: np.ndarray) -> bytes:
+    """Integers are cut to the width they need and laid out in byte planes, which compress well."""
     import zstandard
 
-    return zstandard.compress(pickle.dumps(arrays, 5), 1)
+    out = []
+    for a in arrays:
+        a = a.astype(np.min_scalar_type(int(a.max())) if len(a) and a.dtype.kind in "iu" else a.dtype)
+        out.append((a.dtype.str, np.frombuffer(a.tobytes(), np.uint8).reshape(-1, a.dtype.itemsize).T.tobytes()))
+    return zstandard.compress(pickle.dumps(out, 5), 1)
 
 
 def unpack(blob: bytes) -> tuple[np.ndarray, ...]:
     import zstandard
 
-    return pickle.loads(zstandard.decompress(blob))
-
-
-def _planes(ids: np.ndarray) -> list[np.ndarray]:
-    """Byte planes: ids are ranks, so the upper planes are nearly all zero and compress away."""
-    return [(ids >> s).astype(np.uint8) for s in (0, 8, 16, 24)]
-
-
-def _from_planes(planes) -> np.ndarray:
-    return sum(p.astype(np.int64) << s for p, s in zip(planes, (0, 8, 16, 24)))
+    parts = pickle.loads(zstandard.decompress(blob))
+    return tuple(np.frombuffer(np.frombuffer(raw, np.uint8).reshape(np.dtype(kind).itemsize, -1).T.tobytes(), kind) for kind, raw in parts)
 
 
 class ChunkBuilder:
@@ -89,7 +88,7 @@ class ChunkBuilder:
         tokens = rank[tokens]
         words = np.array([xxh64_intdigest(w, SEED) for w in self.place], np.uint64)[order]
         counts = np.bincount(tokens[train], minlength=len(words))
-        return [self.chunk_id, self.doc_ids, self.held, self.sizes, pack(words), pack(counts.astype(np.uint32)), pack(*_planes(tokens)), int(train.sum())]
+        return [self.chunk_id, self.doc_ids, self.held, self.sizes, pack(words), pack(counts), pack(tokens), int(train.sum())]
 
 
 _CHUNK_SCHEMA = pa.schema([("chunk_id", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("held", pa.list_(pa.bool_())), ("sizes", pa.list_(pa.int32())), ("words", pa.binary()),
@@ -138,53 +137,43 @@ def _word_counts(parts: int):
 
 
 def _summed(key: tuple[pa.Scalar, ...], sent: pa.Table) -> pa.Table:
-    """Words and counts of all chunks -> to each chunk, the sums of its words."""
+    """Words and counts of all chunks -> to each chunk, the sums and the ranks of its words; ties of rank go by hash."""
     ids, got = sent.column("chunk_id").to_pylist(), [unpack(x) for x in sent.column("blob").to_pylist()]
     words, of = np.unique(np.concatenate([g[0] for g in got]), return_inverse=True)
     sums = np.bincount(of, np.concatenate([g[1] for g in got]), len(words)).astype(np.int64)
-    back = np.split(sums[of], np.cumsum([len(g[0]) for g in got])[:-1])
-    return pa.Table.from_batches([_blobs([(key[0].as_py(), i, pack(x)) for i, x in zip(ids, back)])])
+    rank = np.empty(len(words), np.int64)
+    rank[np.argsort(-sums, kind="stable")] = np.arange(len(words))
+    cuts = np.cumsum([len(g[0]) for g in got])[:-1]
+    back = [(key[0].as_py(), i, pack(x, r)) for i, x, r in zip(ids, np.split(sums[of], cuts), np.split(rank[of], cuts))]
+    return pa.Table.from_batches([_blobs(back)])
 
 
 def _context_tables(left: pa.Table, right: pa.Table) -> pa.Table:
-    """A partition's words by chunk, and tables of contexts by partition -> to each chunk, the tables of its words as contexts, a row a sample."""
+    """Ranks of a partition's words by chunk, and tables of contexts by partition -> to each chunk, the tables of its words as contexts, a row a sample."""
     if not left.num_rows:
         return pa.Table.from_batches([_blobs([])])
+    asked = [unpack(x)[1] for x in left.column("blob").to_pylist()]
     got = [unpack(x) for x in right.column("blob").to_pylist()]
-    words, of = np.unique(np.concatenate([np.zeros(0, np.uint64), *[g[0] for g in got]]), return_inverse=True)
-    sums = np.zeros((SAMPLES, len(words) + 1))  # the last column is for words that are no context
-    for s in range(SAMPLES):
-        sums[s, :-1] = np.bincount(of, np.concatenate([np.zeros(0), *[g[1 + s] for g in got]]), len(words))
-    rows = []
-    for p, i, blob in zip(left.column("p").to_pylist(), left.column("chunk_id").to_pylist(), left.column("blob").to_pylist()):
-        own = unpack(blob)[0]
-        at = np.searchsorted(words, own)
-        at[at < len(words)] = np.where(words[at[at < len(words)]] == own[at < len(words)], at[at < len(words)], len(words))
-        rows.append((p, i, pack(*sums[:, at].astype(np.int64))))
-    return pa.Table.from_batches([_blobs(rows)])
+    size = 1 + max(int(a.max()) for a in asked if len(a))
+    none = np.zeros(0, np.int64)
+    sums = [np.bincount(np.concatenate([none, *[g[0] for g in got]]).astype(np.int64), np.concatenate([none, *[g[1 + s] for g in got]]), size) for s in range(SAMPLES)]
+    return pa.Table.from_batches([_blobs([(p, i, pack(*[x[a].astype(np.int64) for x in sums])) for p, i, a in zip(left.column("p").to_pylist(), left.column("chunk_id").to_pylist(), asked)])])
 
 
 class Chunk:
-    """A chunk's tokens with their contexts: pair_key = word * width + context, context 0 for those that are not open; by default all are, in the order of `words`."""
+    """A chunk's tokens and their contexts, the words before; a pair is word * width + context, both local."""
 
-    def __init__(self, words: bytes, tokens: bytes, held: list[bool], sizes: list[int], opened: np.ndarray | None = None):
-        (self.words,) = unpack(words)
-        self.tokens, self.sizes, self.held = _from_planes(unpack(tokens)), np.array(sizes), np.array(held, bool)
+    def __init__(self, words: bytes, tokens: bytes, held: list[bool], sizes: list[int]):
+        (self.words,), (self.tokens,) = unpack(words), unpack(tokens)
+        self.tokens, self.sizes, self.held = self.tokens.astype(np.int64), np.array(sizes), np.array(held, bool)
         self.train = np.repeat(~self.held, self.sizes)
-        opened = self.words if opened is None else opened
-        self.width = len(opened) + 1
-        order = np.argsort(opened)
-        at = np.searchsorted(opened, self.words, sorter=order)
-        at = np.where(at < len(opened), at, 0)
-        context = np.where(opened[order][at] == self.words, order[at] + 1, 0) if len(opened) else np.zeros(len(self.words), np.int64)
+        self.width = len(self.words)
         end = self.tokens[-1]
         self.starts = np.concatenate([[0], np.cumsum(self.sizes)[:-1]])
         before = np.empty_like(self.tokens)
         before[1:], before[0] = self.tokens[:-1], end
         before[self.starts] = end
-        self.context = context[before]
-        self.in_open = self.context > 0
-        self.pairs, self.pair_of = np.unique(self.tokens[self.in_open] * self.width + self.context[self.in_open], return_inverse=True)
+        self.pairs, self.pair_of = np.unique(self.tokens * self.width + before, return_inverse=True)
 
     def slices(self, parts: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
         """(partition, its local words, its pairs), both ascending; the same in each call."""
@@ -198,37 +187,24 @@ class Chunk:
             yield p, by_word[w0[i] : w1[i]], by_pair[p0[i] : p1[i]]
 
 
-def _requests(opened: np.ndarray | None, parts: int):
-    """Chunks -> requests to partitions. Where all contexts are open, rows have `sums`, a list of what `_summed` sent back, and contexts go by hash and size."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for r in b.to_pylist():
-                chunk = Chunk(r["words"], r["tokens"], r["held"], r["sizes"], opened)
-                (counts,) = unpack(r["counts"])
-                pair_counts = np.bincount(chunk.pair_of[chunk.train[chunk.in_open]], minlength=len(chunk.pairs)).astype(np.uint32)
-                if opened is None:
-                    size, sums = np.zeros(len(chunk.words), np.int64), {x["p"]: x["blob"] for x in r["sums"]}
-                    for p, at in _slices(chunk.words, parts):
-                        (size[at],) = unpack(sums[p])
-                rows = []
-                for p, words, pairs in chunk.slices(parts):
-                    local, ctx = np.searchsorted(words, chunk.pairs[pairs] // chunk.width).astype(np.uint32), chunk.pairs[pairs] % chunk.width
-                    if opened is None:
-                        used, ctx = np.unique(ctx - 1, return_inverse=True)
-                        named, ctx = (chunk.words[used], size[used].astype(np.uint32)), ctx.astype(np.uint32)
-                    else:
-                        named, ctx = (), ctx.astype(np.uint16)
-                    rows.append((p, r["chunk_id"], pack(chunk.words[words], counts[words], local, ctx, pair_counts[pairs], *named)))
-                yield _blobs(rows)
-
-    return run
-
-
 def _asked(parts: int):
+    """A chunk and what `_summed` sent back -> its pairs to the partitions of the words: ranks and numbers of pairs of its words, numbers and sizes of contexts, pairs' contexts and counts."""
+
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        row = left.to_pylist()[0] | {"sums": right.select(["p", "blob"]).to_pylist()}
-        return pa.Table.from_batches(_requests(None, parts)([pa.RecordBatch.from_pylist([row])]))
+        r = left.to_pylist()[0]
+        chunk = Chunk(r["words"], r["tokens"], r["held"], r["sizes"])
+        size, rank, sums = np.zeros(chunk.width, np.int64), np.zeros(chunk.width, np.int64), {x["p"]: x["blob"] for x in right.to_pylist()}
+        for p, at in _slices(chunk.words, parts):
+            size[at], rank[at] = unpack(sums[p])
+        number = rank * parts + (chunk.words % np.uint64(parts)).astype(np.int64)
+        counts = np.bincount(chunk.pair_of[chunk.train], minlength=len(chunk.pairs))
+        rows = []
+        for p, words, pairs in chunk.slices(parts):
+            of_word = np.bincount(np.searchsorted(words, chunk.pairs[pairs] // chunk.width), minlength=len(words))
+            ctx = chunk.pairs[pairs] % chunk.width
+            contexts, first, local = np.unique(number[ctx], return_index=True, return_inverse=True)
+            rows.append((p, r["chunk_id"], pack(rank[words], of_word, np.diff(contexts, prepend=0), size[ctx[first]], local, counts[pairs])))
+        return pa.Table.from_batches([_blobs(rows)])
 
     return run
 
@@ -253,71 +229,75 @@ def seat(customers: np.ndarray, new: np.ndarray, discount: float, rng: np.random
     return out
 
 
-def _restaurants(context_sizes: np.ndarray | None, n_train: int, parts: int):
-    """All requests of a partition -> answers to each chunk, one row of totals and, where contexts go by hash, their tables to the partitions of the contexts."""
+def sample_seats(party: np.ndarray, dish: np.ndarray, ctx: np.ndarray, n_dishes: int, size: np.ndarray, types: int, share: float, parts: int,
+                 rng: np.random.Generator) -> list[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Gibbs sweeps over the restaurants of a partition -> SAMPLES times (tables of each pair, the parent's customers and tables of each dish).
+
+    `size` has all customers of each context, `share` of all training tokens and one in `parts` of all words are here; sums over the other partitions are
+    scaled up from these. A sweep seats the contexts given the parent, then the parent on their tables, so that each sample is consistent. With one partition nothing is scaled.
+    """
+    uniform, n_contexts = 1 / (types + 1), len(size)
+    scale = size / np.maximum(1, np.bincount(ctx, party, n_contexts))
+    tables, top_tables = (party > 0).astype(np.int64), (np.bincount(dish, party, n_dishes) > 0).astype(np.int64)
+    kept = []
+    for sweep in range(BURN + SAMPLES):
+        top_party = np.bincount(dish, tables, n_dishes).astype(np.int64)
+        new = (THETA_TOP + D_TOP * top_tables.sum() * parts) * uniform
+        p_top = (top_party - D_TOP * top_tables + new) / (THETA_TOP + top_party.sum() / share)
+        own = np.bincount(ctx, tables, n_contexts) * scale
+        tables = seat(party, (THETA_CTX + D_CTX * own[ctx]) * p_top[dish], D_CTX, rng)
+        top_party = np.bincount(dish, tables, n_dishes).astype(np.int64)
+        top_tables = seat(top_party, np.full(n_dishes, new), D_TOP, rng)
+        if sweep >= BURN:
+            kept.append((tables, top_party, top_tables))
+    return kept
+
+
+def _restaurants(n_train: int, parts: int):
+    """All requests of a partition -> answers to each chunk, one row of totals, and tables of contexts to the partitions of the contexts."""
 
     def run(key: tuple[pa.Scalar, ...], requests: pa.Table) -> pa.Table:
         p = key[0].as_py()
-        ids = requests.column("chunk_id").to_pylist()
-        got = [unpack(x) for x in requests.column("blob").to_pylist()]
+        ids, got = requests.column("chunk_id").to_pylist(), [unpack(x) for x in requests.column("blob").to_pylist()]
         order = np.argsort(ids)
         ids, got = [ids[i] for i in order], [got[i] for i in order]
-        words, of = np.unique(np.concatenate([g[0] for g in got]), return_inverse=True)
-        count = np.bincount(of, np.concatenate([g[1] for g in got]), len(words)).astype(np.int64)
-        split = np.cumsum([len(g[0]) for g in got])[:-1]
-        of_chunk = np.split(of, split)
-        if context_sizes is None:
-            contexts, of_ctx = np.unique(np.concatenate([g[5] for g in got]), return_inverse=True)
-            size = np.zeros(len(contexts) + 1)
-            size[of_ctx + 1] = np.concatenate([g[6] for g in got])
-            ctx_of = [o[g[3]] + 1 for o, g in zip(np.split(of_ctx, np.cumsum([len(g[5]) for g in got])[:-1]), got)]
-        else:
-            size, ctx_of = np.concatenate([[0], context_sizes]).astype(float), [g[3] for g in got]
-        width = len(size)
-        pair_key = np.concatenate([o[g[2]] * width + c for o, g, c in zip(of_chunk, got, ctx_of)])
-        pairs, of_pair = np.unique(pair_key, return_inverse=True)
-        party = np.bincount(of_pair, np.concatenate([g[4] for g in got]), len(pairs)).astype(np.int64)
-        dish, ctx = pairs // width, pairs % width
-        direct = count - np.bincount(dish, party, len(words)).astype(np.int64)
-        rng = np.random.default_rng([SEED, p])
-        types = max(1, int((count > 0).sum()))
-        share = max(1e-9, count.sum() / max(1, n_train))  # of all training tokens; scales this partition's sums up
-        tables, top_tables = (party > 0).astype(np.int64), (count > 0).astype(np.int64)
-        kept = []
-        for sweep in range(BURN + SAMPLES):
-            top_party = direct + np.bincount(dish, tables, len(words)).astype(np.int64)
-            new = (THETA_TOP + D_TOP * top_tables.sum() / share) / (types * parts + 1)
-            top_tables = seat(top_party, np.full(len(words), new), D_TOP, rng)
-            p_top = (top_party - D_TOP * top_tables + new) / (THETA_TOP + top_party.sum() / share)
-            own_size = np.bincount(ctx, party, width)
-            own_tables = np.bincount(ctx, tables, width) * size / np.maximum(1, own_size)
-            tables = seat(party, (THETA_CTX + D_CTX * own_tables[ctx]) * p_top[dish], D_CTX, rng)
-            if sweep >= BURN:
-                # the parent's customers of this sample are the tables just seated
-                top_party = direct + np.bincount(dish, tables, len(words)).astype(np.int64)
-                top_tables = np.minimum(np.maximum(top_tables, (top_party > 0).astype(np.int64)), top_party)
-                kept.append((tables.copy(), top_party, top_tables.copy()))
-        totals = [int((count > 0).sum())]
-        for tb, tp, tt in kept:
-            totals += [int(tp.sum()), int(tt.sum())]
-            if context_sizes is not None:
-                totals += np.bincount(ctx, tb, width).astype(np.int64).tolist()
-        small = lambda x: x.astype(np.uint32)
-        pair_split = np.split(of_pair, np.cumsum([len(g[2]) for g in got])[:-1])
-        blobs = [pack(small(count[w]), *[small(x[w]) for _, tp, tt in kept for x in (tp, tt)], small(party[q]), *[small(tb[q]) for tb, _, _ in kept]) for w, q in zip(of_chunk, pair_split)]
+        ranks = np.concatenate([np.repeat(g[0], g[1]) for g in got]).astype(np.int64)
+        named = [np.cumsum(g[2].astype(np.int64)) for g in got]
+        pairs, of_pair = np.unique(ranks << 40 | np.concatenate([c[g[4]] for c, g in zip(named, got)]), return_inverse=True)
+        party = np.bincount(of_pair, np.concatenate([g[5] for g in got]), len(pairs)).astype(np.int64)
+        dishes, dish = np.unique(pairs >> 40, return_inverse=True)
+        contexts, ctx = np.unique(pairs & ((1 << 40) - 1), return_inverse=True)
+        size = np.zeros(len(contexts))
+        size[np.searchsorted(contexts, np.concatenate(named))] = np.concatenate([g[3] for g in got])
+        count = np.bincount(dish, party, len(dishes)).astype(np.int64)
+        types = int((count > 0).sum())
+        share = max(1e-9, count.sum() / max(1, n_train))
+        kept = sample_seats(party, dish, ctx, len(dishes), size, max(1, types) * parts, share, parts, np.random.default_rng([SEED, p]))
+        totals = [types, *[int(x.sum()) for _, tp, tt in kept for x in (tp, tt)]]
+        blobs = []
+        for g, q in zip(got, np.split(of_pair, np.cumsum([len(g[4]) for g in got])[:-1])):
+            w, many = np.searchsorted(dishes, g[0]), q[party[q] > 1]  # a party of one has one table
+            blobs.append(pack(count[w], *[x[w] for _, tp, tt in kept for x in (tp, tt)], party[q], *[tb[many] for tb, _, _ in kept]))
+        per = np.stack([np.bincount(ctx, tb, len(contexts)) for tb, _, _ in kept]).astype(np.int64)
         to, sums = [], []
-        if context_sizes is None:
-            per = np.stack([np.bincount(ctx, tb, width)[1:] for tb, _, _ in kept]).astype(np.uint32)
-            some = np.flatnonzero(per[0])
-            for q, at in _slices(contexts[some], parts):
-                to.append(q)
-                sums.append(pack(contexts[some[at]], *per[:, some[at]]))
+        some = np.flatnonzero(per.any(0))
+        for q, at in _slices(contexts[some].astype(np.uint64), parts):
+            to.append(q)
+            sums.append(pack(contexts[some[at]] // parts, *per[:, some[at]]))
         return pa.table({"p": pa.array([p] * (len(ids) + 1) + to, pa.int32()), "chunk_id": pa.array([*ids, None, *[None] * len(to)], pa.int64()),
                          "blob": pa.array([*blobs, None, *sums], pa.binary()), "totals": pa.array([*[None] * len(ids), totals, *[None] * len(to)], pa.list_(pa.int64()))})
 
     return run
 
 
+def parent_probability(party: np.ndarray, tables: np.ndarray, all_party: float, all_tables: float, types: int) -> np.ndarray:
+    return (party - D_TOP * tables + (THETA_TOP + D_TOP * all_tables) / (types + 1)) / (THETA_TOP + all_party)
+
+
+def context_probability(party: np.ndarray, tables: np.ndarray, size: np.ndarray, all_tables: np.ndarray, parent: np.ndarray) -> np.ndarray:
+    return (party - D_CTX * tables + (THETA_CTX + D_CTX * all_tables) * parent) / (THETA_CTX + size)
+
+
 def _scores(n_train: int, parts: int, totals: list[int]):
     types = totals[0]
     per = np.array(totals[1:], float).reshape(SAMPLES, 2)
@@ -326,21 +306,21 @@ def _scores(n_train: int, parts: int, totals: list[int]):
         r = left.to_pylist()[0]
         chunk = Chunk(r["words"], r["tokens"], r["held"], r["sizes"])
         answers = {(x["p"], x["of_contexts"]): x["blob"] for x in right.to_pylist()}
-        count = np.zeros(len(chunk.words))
-        top = np.zeros((SAMPLES, 2, len(chunk.words)))
+        count = np.zeros(chunk.width)
+        top = np.zeros((SAMPLES, 2, chunk.width))
         party, tables = np.zeros(len(chunk.pairs)), np.zeros((SAMPLES, len(chunk.pairs)))
-        all_tables = np.zeros((SAMPLES, len(chunk.words)))  # of each word as a context
+        all_tables = np.zeros((SAMPLES, chunk.width))  # of each word as a context
         for p, words, pairs in chunk.slices(parts):
             got = unpack(answers[p, False])
             count[words] = got[0]
+            party[pairs] = got[1 + 2 * SAMPLES]
+            single, many = pairs[party[pairs] == 1], pairs[party[pairs] > 1]
             for s in range(SAMPLES):
                 top[s, 0, words], top[s, 1, words] = got[1 + 2 * s], got[2 + 2 * s]
-                tables[s, pairs] = got[2 + 2 * SAMPLES + s]
-            party[pairs] = got[1 + 2 * SAMPLES]
+                tables[s, single], tables[s, many] = 1, got[2 + 2 * SAMPLES + s]
             all_tables[:, words] = np.stack(unpack(answers[p, True]))
-        p_top = np.stack([(top[s, 0] - D_TOP * top[s, 1] + (THETA_TOP + D_TOP * per[s, 1]) / (types + 1)) / (THETA_TOP + per[s, 0]) for s in range(SAMPLES)])
-        word, ctx = chunk.pairs // chunk.width, chunk.pairs % chunk.width - 1
-        p_pair = np.mean([(party - D_CTX * tables[s] + (THETA_CTX + D_CTX * all_tables[s, ctx]) * p_top[s, word]) / (THETA_CTX + count[ctx]) for s in range(SAMPLES)], axis=0)
+        word, ctx = chunk.pairs // chunk.width, chunk.pairs % chunk.width
+        p_pair = np.mean([context_probability(party, tables[s], count[ctx], all_tables[s, ctx], parent_probability(*top[s], *per[s], types)[word]) for s in range(SAMPLES)], axis=0)
         logs = np.log10(p_pair)[chunk.pair_of]
         base = np.log10((count + 0.1) / (n_train + 0.1 * (types + 1)))[chunk.tokens]
         known = (count > 0)[chunk.tokens].astype(np.int64)
@@ -361,15 +341,15 @@ def score_texts(docs: DataFrame, scratch: Scratch | None = None) -> DataFrame:
     n_train = int(sums.n)
     parts = max(4, -(-int(sums["all"]) // CHUNK))
     sent = "p int, chunk_id long, blob binary"
-    counts = scratch.save(chunks.select("chunk_id", "words", "counts").mapInArrow(_word_counts(parts), sent), "counts")
-    sums = counts.groupBy("p").applyInArrow(_summed, sent)
-    left = chunks.select("chunk_id", "held", "sizes", "words", "counts", "tokens").groupBy("chunk_id")
+    sums = chunks.select("chunk_id", "words", "counts").mapInArrow(_word_counts(parts), sent).groupBy("p").applyInArrow(_summed, sent)
+    sums = scratch.save(sums, "sums")
+    left = chunks.select("chunk_id", "held", "sizes", "words", "tokens").groupBy("chunk_id")
     asked = left.cogroup(sums.groupBy("chunk_id")).applyInArrow(_asked(parts), sent)
-    answers = scratch.save(asked.groupBy("p").applyInArrow(_restaurants(None, n_train, parts), f"{sent}, totals array<long>"), "answers")
+    answers = scratch.save(asked.groupBy("p").applyInArrow(_restaurants(n_train, parts), f"{sent}, totals array<long>"), "answers")
     totals = [r.v for r in answers.where("totals IS NOT NULL").select(F.posexplode("totals").alias("i", "x")).groupBy("i").agg(F.sum("x").alias("v")).orderBy("i").collect()]
     totals = totals or [0] * (1 + SAMPLES * 2)
     of_contexts = answers.where("chunk_id IS NULL AND totals IS NULL").select("p", "blob")
-    context_tables = counts.groupBy("p").cogroup(of_contexts.groupBy("p")).applyInArrow(_context_tables, sent)
+    context_tables = sums.groupBy("p").cogroup(of_contexts.groupBy("p")).applyInArrow(_context_tables, sent)
     left = chunks.select("chunk_id", "doc_ids", "held", "sizes", "words", "tokens").groupBy("chunk_id")
     right = answers.where("chunk_id IS NOT NULL").select("chunk_id", "p", "blob", F.lit(False).alias("of_contexts")).unionByName(context_tables.withColumn("of_contexts", F.lit(True)))
     return left.cogroup(right.groupBy("chunk_id")).applyInArrow(_scores(n_train, parts, totals),
