@@ -80,14 +80,29 @@ def test_urls(spark):
 
 def test_audio(spark):
     rows = [(i, [float(np.sin(i * 13.7 + k)) / 4 for k in range(64)]) for i in (0, 1, 2, 50, 50)] + [(3, None), (None, [0.1] * 64), (4, [None] * 64), (5, [])]
-    d = spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumn("print", F.lit(1))
-    pairs = audio.align_media(d, "vec_id", "embedding", audio.melody)
-    got = {(r.query_id, r.rec_id): r.bit_errors for r in pairs.collect()}
-    assert {r.query_id: r.n_links for r in audio.by_query(pairs).collect()} == {q: sum(r.query_id == q for r in pairs.collect()) for q in (0, 50)}
-    assert got[(0, 0)] == 0 and got[(50, 50)] == 0
+    d = spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumn("print", F.lit(1)).withColumn("key", F.lit(1))
+    out = audio.align_media(d, "vec_id", "embedding", audio.melody)
+    got = out.collect()
+    assert len(got) == len(rows) and {r.class_id for r in got if r.rec_id in (3, 5)} == {None}
+    pairs = audio.pairs_of(out).collect()
+    errors = {(r.query_id, r.rec_id): r.bit_errors for r in pairs}
+    assert errors[(0, 0)] == 0 and errors[(50, 50)] == 0
+    for r in got:
+        if r.is_query and r.rec_id == 0:
+            assert r.n_links == sum(p.query_id == 0 for p in pairs)
+        if r.rec_id == 50:
+            assert r.members == 2 and r.n_links == sum(p.query_id == 50 for p in pairs) / 2
     assert audio.align_media(d.where("false"), "vec_id", "embedding", audio.melody).count() == 0
 
 
+def test_silence_and_steady_tones(spark):
+    """Two minutes of silence match nothing; two minutes of one tone match each other at a bounded cost."""
+    quiet, tone = np.zeros(120 * audio.RATE, np.int16), (8000 * np.sin(np.arange(120 * audio.RATE) * 0.7)).astype(np.int16)
+    rows = [(50 * i, quiet.tobytes()) for i in range(20)] + [(50 * i + 5000, tone[i * 4096 :].tobytes()) for i in range(8)]
+    got = {r.rec_id: r for r in audio.align_media(spark.createDataFrame(rows, "id long, pcm binary"), "id", "pcm").collect()}
+    assert all(got[50 * i].n_links == 0 and got[50 * i].class_id is None for i in range(20)) and all(got[50 * i + 5000].n_links == 8 for i in range(8))
+
+
 def test_values(spark):
     tok = {r.doc_id: r for r in OPS["tokens"](spark, docs(spark)).collect()}
     assert tok[2].n_tokens == tok[3].n_tokens == tok[4].n_tokens == 1 and tok[None].start == 0

@@ -214,17 +214,36 @@ def test_edited_passages():
             assert (i in found) == (near <= k) and (i not in found or found[i] == near)
 
 
-def test_audio_offsets():
+def brute_votes(a, b):
+    """(offset, votes) with the most equal frames of a and b, the smallest of several."""
+    n = Counter(j - i for i, x in enumerate(a) for j, y in enumerate(b) if x == y)
+    return min(n.items(), key=lambda kv: (-kv[1], kv[0])) if n else (0, 0)
+
+
+def test_audio_offsets(spark):
     rng = np.random.default_rng(3)
-    v = (rng.random(64) - 0.5) / 2
-    whole = audio.melody(v.tolist())
-    a = audio.packed_fingerprint(audio.chroma(whole))
-    late = audio.packed_fingerprint(audio.chroma((whole[audio.HOP * 20 :] * 0.6 + rng.normal(0, 100, len(whole) - audio.HOP * 20)).astype(np.int16)))
-    block = audio.QueryBlock([(7, a.astype("<u4").tobytes())])
-    (q, offset, votes, frames, errors), = block.matches(late, 6, 0.2, 24)
-    assert (q, offset) == (7, -20) and errors < 0.1
-    other = audio.packed_fingerprint(audio.chroma(audio.melody(((rng.random(64) - 0.5) / 2).tolist())))
-    assert not block.matches(other, 6, 0.2, 24)
+    whole = audio.melody(((rng.random(64) - 0.5) / 2).tolist())
+    late = (whole[audio.HOP * 20 :] * 0.6 + rng.normal(0, 100, len(whole) - audio.HOP * 20)).astype(np.int16)
+    other = audio.melody(((rng.random(64) - 0.5) / 2).tolist())
+    rows = [(50, whole.tobytes()), (51, late.tobytes()), (52, other.tobytes())]
+    pairs = audio.pairs_of(audio.align_media(spark.createDataFrame(rows, "id long, pcm binary"), "id", "pcm")).collect()
+    assert {(r.query_id, r.rec_id, r.offset) for r in pairs} == {(50, 50, 0), (50, 51, -20)}
+
+
+def test_audio_search_by_brute_force(spark):
+    vectors = spark.read.parquet(f"{D.replace('sf0.01', 'sf0.001')}/embeddings.parquet").select("vec_id", "embedding").limit(150).collect()
+    vectors = [(r.vec_id, r.embedding) for r in vectors] + [(1000, vectors[0].embedding), (1050, [0.1] * 64), (1051, [0.1] * 60 + [0.2] * 4)]
+    out = audio.align_media(spark.createDataFrame(vectors, "vec_id long, embedding array<float>"), "vec_id", "embedding", audio.melody)
+    got = {(r.query_id, r.rec_id): (r.offset, r.votes, r.frames, round(r.bit_errors, 9)) for r in audio.pairs_of(out).collect()}
+    prints = {i: audio.packed_fingerprint(audio.chroma(audio.melody(v))) for i, v in vectors}
+    want = {}
+    for q in [i for i, _ in vectors if i % 50 == 0]:
+        for i, b in prints.items():
+            offset, n = brute_votes(prints[q].tolist(), b.tolist())
+            frames, errors = audio.align(prints[q], b, offset)
+            if n >= 6 and frames >= 24 and errors <= 0.2:
+                want[q, i] = (offset, n, frames, round(errors, 9))
+    assert got == want and len(want) > 4
 
 
 def test_box_filters_by_brute_force():

@@ -6,10 +6,15 @@ ratio that is quantised to two Gray-coded bits; the 32 bits are one packed integ
 equal integers vote for a time offset; the offset with the most votes is kept if the bit error rate over the
 overlap is small enough.
 
+Votes are counted by an inverted join on the integers. A run of equal integers is one row, and a pair of runs adds a
+trapezoid to the histogram of offsets, which four second differences describe: long steady tones cost as much as short ones. Frames without any energy
+in their window (silence) cast no votes, but count as frames. Recordings with equal prints form a class and are compared once.
+Query rows are repeated under `SALTS` salts, so that an integer that a third of all recordings share is spread over tasks.
+
 The media of the given tables: each `embeddings` row is rendered as a melody of 64 notes (`melody`).
 
-Nulls: null or too short media have no frames and match nothing, nor do they appear as matches. Rows with null id are fingerprinted.
-Ties between offsets: the smaller one. Repeated rows match each other. Empty table: empty result. Extra columns are ignored.
+Nulls: null or too short media, and media that are silent throughout, have no voting frames: they match nothing and have a null class. Rows with null
+id are fingerprinted. Ties between offsets: the smaller one. Repeated rows are of one class. Empty table: empty result. Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -20,12 +25,14 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+from pyspark.sql import window as W
 
 from .common import Scratch
 
 RATE, FRAME, HOP, SPAN, SLICE = 4096, 1024, 256, 16, 64
 NOTE, LOWEST = 512, 220.0
-QUERY_BLOCK = 1024
+SALTS = 8
 _SMOOTH = np.array([0.25, 0.75, 1.0, 0.75, 0.25])
 _GRAY = np.array([0, 1, 3, 2], np.uint32)
 
@@ -92,6 +99,13 @@ def packed_fingerprint(frames: np.ndarray, cuts: tuple[float, float, float] = (-
     return out
 
 
+def runs(prints: np.ndarray, voiced: np.ndarray) -> list[dict]:
+    """Runs of equal integers among the frames that may vote: value, first frame, frames."""
+    edge = np.flatnonzero(np.r_[True, (prints[1:] != prints[:-1]) | (voiced[1:] != voiced[:-1])]) if len(prints) else np.zeros(0, np.int64)
+    size = np.diff(np.r_[edge, len(prints)])
+    return [{"value": int(v), "at": int(a), "n": int(n)} for v, a, n, ok in zip(prints[edge], edge, size, voiced[edge]) if ok]
+
+
 def pcm16(value: bytes) -> np.ndarray:
     return np.frombuffer(value[: len(value) // 2 * 2], "<i2")
 
@@ -104,18 +118,27 @@ def melody(vector: list[float | None]) -> np.ndarray:
     return waves[np.clip(np.floor((v + 0.3) * 20), 0, 11).astype(int)].ravel().astype(np.int16)
 
 
+RUNS = "array<struct<value: bigint, at: int, n: int>>"
+
+
 def fingerprints(media: DataFrame, id_col: str, col: str, decode: Callable[..., np.ndarray] = pcm16, rate: int = RATE) -> DataFrame:
-    """rec_id, print (binary, little-endian uint32 a frame)."""
+    """rec_id, print (binary, little-endian uint32 a frame), runs (of equal integers that may vote)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fold = _fold(rate)
+        kind = pa.list_(pa.struct([("value", pa.int64()), ("at", pa.int32()), ("n", pa.int32())]))
         for batch in batches:
             for a in range(0, batch.num_rows, SLICE):  # decoded sound is large: few rows at a time
-                part = batch.slice(a, SLICE)
-                prints = [b"" if v is None else packed_fingerprint(chroma(decode(v), rate, fold)).astype("<u4").tobytes() for v in part.column(1).to_pylist()]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(prints, pa.binary())], names=["rec_id", "print"])
+                part, prints, found = batch.slice(a, SLICE), [], []
+                for v in part.column(1).to_pylist():
+                    frames = np.zeros((0, 12)) if v is None else chroma(decode(v), rate, fold)
+                    p = packed_fingerprint(frames)
+                    sounding = np.r_[0, np.cumsum(frames.any(axis=1))]
+                    prints.append(p.astype("<u4").tobytes())
+                    found.append(runs(p, sounding[SPAN : SPAN + len(p)] > sounding[: len(p)]))
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(prints, pa.binary()), pa.array(found, kind)], names=["rec_id", "print", "runs"])
 
-    return media.select(F.col(id_col).cast("long").alias("rec_id"), F.col(col)).mapInArrow(run, "rec_id long, print binary")
+    return media.select(F.col(id_col).cast("long").alias("rec_id"), F.col(col)).mapInArrow(run, f"rec_id long, print binary, runs {RUNS}")
 
 
 def align(a: np.ndarray, b: np.ndarray, offset: int) -> tuple[int, float]:
@@ -126,64 +149,65 @@ def align(a: np.ndarray, b: np.ndarray, offset: int) -> tuple[int, float]:
     return hi - lo, float(np.bitwise_count(a[lo:hi] ^ b[lo + offset : hi + offset]).sum()) / (32 * (hi - lo))
 
 
-class QueryBlock:
-    def __init__(self, rows: list[tuple[int, bytes]]):
-        self.ids, self.prints = [r[0] for r in rows], [np.frombuffer(r[1], "<u4") for r in rows]
-        value = np.concatenate(self.prints) if rows else np.zeros(0, np.uint32)
-        owner = np.repeat(np.arange(len(rows)), [len(p) for p in self.prints])
-        at = np.concatenate([np.arange(len(p)) for p in self.prints]) if rows else np.zeros(0, np.int64)
-        order = np.argsort(value, kind="stable")
-        self.value, self.owner, self.at = value[order], owner[order], at[order]
-
-    def matches(self, b: np.ndarray, least_votes: int, most_errors: float, least_frames: int) -> list[tuple[int, int, int, int, float]]:
-        lo, hi = np.searchsorted(self.value, b, "left"), np.searchsorted(self.value, b, "right")
-        n = hi - lo
-        if not n.sum():
-            return []
-        g = np.repeat(lo - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
-        shift = np.repeat(np.arange(len(b)), n) - self.at[g]
-        base = 1 << 32
-        key, votes = np.unique(self.owner[g] * base + shift + (base >> 1), return_counts=True)
-        order = np.lexsort((key, -votes, key // base))
-        first = order[np.concatenate([[True], np.diff(key[order] // base) > 0])]
-        out = []
-        for x in first[votes[first] >= least_votes]:
-            q, offset = int(key[x] // base), int(key[x] % base) - (base >> 1)
-            frames, errors = align(self.prints[q], b, offset)
-            if frames >= least_frames and errors <= most_errors:
-                out.append((self.ids[q], offset, int(votes[x]), frames, errors))
-        return out
+@F.arrow_udf(T.StructType([T.StructField("frames", T.IntegerType()), T.StructField("bit_errors", T.DoubleType())]))
+def aligned(a: pa.Array, b: pa.Array, offset: pa.Array) -> pa.Array:
+    got = [align(np.frombuffer(x, "<u4"), np.frombuffer(y, "<u4"), o) for x, y, o in zip(a.to_pylist(), b.to_pylist(), offset.to_pylist())]
+    return pa.StructArray.from_arrays([pa.array([g[0] for g in got], pa.int32()), pa.array([g[1] for g in got], pa.float64())], names=["frames", "bit_errors"])
 
 
-def search(prints: DataFrame, queries: DataFrame, least_votes: int = 6, most_errors: float = 0.2, least_frames: int = 24) -> DataFrame:
-    """query_id, rec_id, offset, votes, frames, bit_errors for every recording that aligns with a query; queries go in blocks."""
-    schema = "query_id long, rec_id long, offset int, votes int, frames int, bit_errors double"
-    n = max(1, -(-queries.count() // QUERY_BLOCK))
-    out = None
-    for k in range(n):
-        block = QueryBlock([tuple(r) for r in queries.where(F.pmod(F.xxhash64("rec_id", "print"), F.lit(n)) == k).select("rec_id", "print").orderBy("rec_id").collect()])  # about QUERY_BLOCK rows
-
-        def run(batches: Iterator[pa.RecordBatch], block=block) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                rows = [(q, rec, o, v, f, e) for rec, p in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist())
-                        for q, o, v, f, e in block.matches(np.frombuffer(p, "<u4"), least_votes, most_errors, least_frames)]
-                cols = list(zip(*rows)) if rows else [[]] * 6
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.float64()))],
-                                                 names=["query_id", "rec_id", "offset", "votes", "frames", "bit_errors"])
-
-        part = prints.select("rec_id", "print").mapInArrow(run, schema)
-        out = part if out is None else out.unionByName(part)
-    return out
-
+def votes(queries: DataFrame, recordings: DataFrame, least_votes: int) -> DataFrame:
+    """(key, runs) twice -> q, r, offset, votes: of each pair the offset at which most frames are equal, where these are `least_votes` or more."""
+    asked = queries.select(F.col("key").alias("q"), F.inline("runs")).select(
+        "q", "value", F.col("at").alias("qa"), F.col("n").alias("qn"), F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+    held = recordings.select(F.col("key").alias("r"), F.inline("runs")).select("r", "value", F.col("at").alias("ra"), F.col("n").alias("rn"), F.pmod(F.xxhash64("r", "at"), F.lit(SALTS)).cast("int").alias("salt"))
+    low, short, long_ = F.col("ra") - F.col("qa") - F.col("qn"), F.least("qn", "rn"), F.greatest("qn", "rn")
+    corners = F.array(*[F.struct(at.alias("offset"), F.lit(d).cast("long").alias("bend")) for at, d in ((low, 1), (low + short, -1), (low + long_, -1), (low + F.col("qn") + F.col("rn"), 1))])
+    bends = held.join(asked, ["value", "salt"]).select("q", "r", F.inline(corners)).groupBy("q", "r", "offset").agg(F.sum("bend").alias("bend"))
+    before = W.Window.partitionBy("q", "r").orderBy("offset").rowsBetween(W.Window.unboundedPreceding, 0)
+    height = F.col("offset") * F.sum("bend").over(before) - F.sum(F.col("bend") * F.col("offset")).over(before)
+    best = bends.select("q", "r", "offset", height.alias("votes")).groupBy("q", "r").agg(F.max(F.struct("votes", (-F.col("offset")).alias("back"))).alias("best"))
+    return best.select("q", "r", (-F.col("best.back")).cast("int").alias("offset"), F.col("best.votes").alias("votes")).where(F.col("votes") >= least_votes)
 
-def align_media(media: DataFrame, id_col: str, col: str, decode: Callable[..., np.ndarray] = pcm16, rate: int = RATE, every: int = 50) -> DataFrame:
-    """Every row whose id is divisible by `every`, against all rows."""
-    prints = Scratch(media.sparkSession, "audio").save(fingerprints(media, id_col, col, decode, rate), "prints")
-    return search(prints, prints.where(F.col("rec_id") % every == 0))
 
-
-def by_query(pairs: DataFrame) -> DataFrame:
-    """One row a query: n_links (recordings that align with it, itself included) and the nearest other one. The pairs grow with the square of a group of alike recordings; this digest does not."""
-    other = F.when(F.col("rec_id") != F.col("query_id"), F.struct("bit_errors", "rec_id", "offset", "votes", "frames"))
-    found = pairs.groupBy("query_id").agg(F.count(F.lit(1)).alias("n_links"), F.min(other).alias("near"))
-    return found.select("query_id", "n_links", F.col("near.rec_id").alias("nearest_id"), *[F.col(f"near.{c}").alias(c) for c in ("offset", "votes", "frames", "bit_errors")])
+def search(prints: DataFrame, queries: DataFrame, least_votes: int = 6, most_errors: float = 0.2, least_frames: int = 24) -> DataFrame:
+    """(key, print, runs) twice -> q, r, offset, votes, frames, bit_errors for every pair that aligns."""
+    found = votes(queries, prints, least_votes)
+    with_q = found.join(queries.select(F.col("key").alias("q"), F.col("print").alias("a")), "q")
+    both = with_q.join(prints.select(F.col("key").alias("r"), F.col("print").alias("b")), "r")
+    judged = both.select("q", "r", "offset", "votes", aligned("a", "b", "offset").alias("x")).select("q", "r", "offset", "votes", "x.*")
+    return judged.where((F.col("frames") >= least_frames) & (F.col("bit_errors") <= most_errors))
+
+
+def align_media(media: DataFrame, id_col: str, col: str, decode: Callable[..., np.ndarray] = pcm16, rate: int = RATE, every: int = 50, scratch: Scratch | None = None) -> DataFrame:
+    """One row a recording: rec_id, class_id (smallest id with an equal print; null where nothing can match), members, is_query, n_links (a query's number of recordings
+    that align with it, itself included) and links, the classes that align with this one (class_id, members, offset, votes, frames, bit_errors), on one row of each class that holds a query.
+
+    Queries are the rows whose id is divisible by `every`. Pairs of recordings are the pairs of classes times membership; they are never listed.
+    """
+    scratch = scratch or Scratch(media.sparkSession, "audio")
+    marked = scratch.save(fingerprints(media, id_col, col, decode, rate).withColumn("key", F.xxhash64("print")), "prints")
+    asks = F.coalesce(F.col("rec_id") % every == 0, F.lit(False))
+    # rows of one class meet in one partial sum a task: the print itself, not its hash, is the key
+    classes = marked.where(F.size("runs") > 0).groupBy("print").agg(F.min("rec_id").alias("class_id"), F.count(F.lit(1)).alias("members"), F.max(asks).alias("asked"), F.first("runs").alias("runs"), F.min("key").alias("hash"))
+    classes = scratch.save(classes.withColumn("key", F.struct("hash", "class_id")), "classes")
+    pairs = scratch.save(search(classes, classes.where("asked")), "pairs")
+    sizes = classes.select(F.col("key").alias("r"), F.col("class_id").alias("to"), "members")
+    link = F.struct(F.col("to").alias("class_id"), "members", "offset", "votes", "frames", "bit_errors")
+    per = pairs.join(sizes, "r").groupBy("q").agg(F.sum("members").alias("n_links"), F.array_sort(F.collect_list(link)).alias("links"))  # as many as there are other classes alike
+    known = classes.select("key", "hash", "print", "class_id", "members").join(per, F.col("key") == F.col("q"), "left").select("hash", F.col("print").alias("p"), "class_id", "members", "n_links", "links")
+    known = scratch.save(known, "known")
+    rows = marked.select("rec_id", "print", F.col("key").alias("hash"), asks.alias("is_query"))
+    # a class may hold a third of all rows: its row is repeated under salts
+    salted = known.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    rows = rows.withColumn("salt", F.pmod(F.xxhash64("rec_id"), F.lit(SALTS)).cast("int"))
+    out = rows.join(salted, (rows.hash == salted.hash) & (rows.salt == salted.salt) & (rows.print == salted.p), "left")
+    first = F.col("rec_id").eqNullSafe(F.col("class_id"))
+    return out.select("rec_id", "class_id", "members", "is_query", F.when(F.col("is_query"), F.coalesce("n_links", F.lit(0).cast("long"))).alias("n_links"), F.when(first, F.col("links")).alias("links"))
+
+
+def pairs_of(media: DataFrame) -> DataFrame:
+    """The aligned pairs listed, for tests and small results: query_id, rec_id, offset, votes, frames, bit_errors."""
+    links = media.where("links IS NOT NULL").select(F.col("class_id").alias("q"), F.explode("links").alias("l")).select("q", "l.*").dropDuplicates(["q", "class_id"])
+    asked = media.where("is_query").select(F.col("class_id").alias("q"), F.col("rec_id").alias("query_id"))
+    held = media.select("class_id", "rec_id")
+    return asked.join(links, "q").join(held, "class_id").select("query_id", "rec_id", "offset", "votes", "frames", "bit_errors")
