@@ -14,8 +14,9 @@ ROWS = [
     (1, "the cat sat on the mat", "en", "a", 22), (2, None, "en", "a", None), (3, "", None, None, 0), (4, "   \n\t ", "de", "b", 6), (None, "no id here", "en", None, 10), (5, "der hund und die katze", "de", "b", 22),
     (6, "the cat sat on the mat", "en", "a", 22), (6, "the cat sat on the mat", "en", "a", 22), (7, LONG, "en", "c", len(LONG)), (8, "\x00 nul \x85 \xa0 ÅÄÖ 日本 😀", None, "c", 9), (9, "12345 67", "en", "é", 8), (10, "you idiot", "en", "a", 9),
 ]
-CLASH = ["held_out", "score", "predicted", "rejected", "lang_pred", "size", "epochs", "taken", "target", "fp", "fingerprint", "component_id", "host", "path", "rule", "verdict", "template", "purity", "label", "shaped",
-         "kept", "n_lines", "n_chunks", "hits", "src", "bin", "u", "whole", "wanted", "key", "h", "first", "root", "_copy", "seg", "n", "l", "b", "t", "Text_", "labelled", "blocked", "cut", "weight"]
+CLASH = ["held_out", "score", "predicted", "rejected", "lang_pred", "size", "epochs", "taken", "target", "fp", "fingerprint", "component_id", "host", "path", "rule", "verdict", "template", "purity", "shaped",
+         "kept", "n_lines", "n_chunks", "hits", "src", "bin", "u", "whole", "wanted", "key", "h", "first", "root", "_copy", "seg", "n", "l", "b", "t", "Text_", "labelled", "blocked", "cut", "weight",
+         "_h", "_s", "_j", "_keep", "_lines", "_ends", "_gone", "_doc", "_tkey", "_key", "_row", "_root", "_label", "row", "doc", "own", "lost", "lines", "given", "by_rule", "label", "a", "s", "x", "_kept"]
 
 
 def docs(spark, rows=ROWS, clash=False):

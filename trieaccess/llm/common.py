@@ -54,6 +54,17 @@ def text_bytes(c: str = "text") -> Column:
     return F.coalesce(F.col(c).cast("binary"), F.lit(b""))
 
 
+def boxed(df: DataFrame) -> Column:
+    """All columns of `df` as one struct: whatever they are called, they cannot meet a name of an operator."""
+    return F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("row")
+
+
+def unboxed(df: DataFrame, rows: DataFrame, **made: Column) -> DataFrame:
+    """The columns that `boxed(df)` holds in `rows`, then those made; a made one replaces one of its name. In two steps: no made column sees a user's name."""
+    rows = rows.select("row", F.struct(*[c.alias(name) for name, c in made.items()]).alias("made"))
+    return rows.select(*[F.col("row").getField(c).alias(c) for c in df.columns if c.lower() not in made], *[F.col("made").getField(c).alias(c) for c in made])
+
+
 def in_slices(sizes: list[int], most: int) -> Iterator[tuple[int, int]]:
     """Consecutive ranges whose sizes sum to about `most`; one item is never cut."""
     start = total = 0

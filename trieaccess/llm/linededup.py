@@ -1,12 +1,17 @@
 """Line dedup by content-defined chunks of lines (DataFrame functions only).
 
-A chunk ends after a line where a rolling hash of the last three line hashes is divisible by `modulus`, so an
-inserted or removed line moves only the boundaries near it. A chunk of two lines or more, not only white space,
-whose bytes occur elsewhere in the corpus is removed everywhere but at its first place (smallest doc_id, then
-chunk number). A 64-bit hash only preselects; equality is decided by grouping on the text itself.
+Two boundary rules file chunks. The sparse one ends a chunk after a line where a rolling hash of the last three line hashes is divisible by
+`modulus`, so an inserted or removed line moves only the boundaries near it. The dense one ends a chunk after every line that is not blank, and
+begins it at the one before: these chunks of two worded lines overlap, and a repeated passage of two lines or more is covered by them whatever surrounds it.
+A chunk of two lines or more, not only white space, whose bytes occur elsewhere in the corpus is removed everywhere but at its first place
+(smallest doc_id, then line). A 64-bit hash only preselects; equality is decided by grouping on the text itself.
+Each different line of a removed chunk stays at its own first place at least.
+
+Chunks travel as hash and place; texts move once, to cut the bodies of chunks whose hash repeats.
 
 Nulls: a null text has no lines and stays null; an empty text is one empty line. Rows with the same doc_id and
-text are one document with the same result. Null doc_ids come last as first places. Extra columns are kept.
+text are one document with the same result. Null doc_ids come last as first places. Ties: places are different for different rows, else the rows are alike.
+Very long texts are whole; work grows with their lines. Empty table: empty result. Extra columns are kept; those named like an output are replaced.
 """
 
 from __future__ import annotations
@@ -14,7 +19,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch
+from .common import Scratch, boxed, unboxed
 
 LAG1, LAG2, SALTS = 31, 961, 16
 
@@ -33,66 +38,85 @@ def chunk_bounds(h: Column, modulus: int) -> Column:
     return F.filter(F.sequence(F.lit(0), n - 1), lambda i: (i == n - 1) | ((at(i) + LAG1 * at(i - 1) + LAG2 * at(i - 2)) % modulus == 0))
 
 
-def chunks(docs: DataFrame, modulus: int = 4) -> DataFrame:
-    """doc_id, tkey (hash of the text), chunk, n_lines, body: one row a chunk."""
+WORDED = r"[^\x20\x09-\x0D]"
+
+
+def body(lines: Column, a: Column, b: Column) -> Column:
+    return F.array_join(F.slice(lines, a + 1, b - a + 1), "\n")
+
+
+def chunks(docs: DataFrame, modulus: int = 4, min_lines: int = 2) -> DataFrame:
+    """doc_id, tkey (hash of the text), a, b (first and last line), key (hash of the body): one row a chunk of either rule."""
     cut = (
         docs.where(F.col("text").isNotNull())
         .select("doc_id", F.xxhash64("text").alias("tkey"), F.split("text", "\n", -1).alias("lines"))
         .withColumn("h", line_hashes(F.col("lines")))  # a column of its own: the bounds read it many times
         .withColumn("ends", chunk_bounds(F.col("h"), modulus))
+        .withColumn("worded", F.filter(F.sequence(F.lit(0), F.size("lines") - 1), lambda i: F.get("lines", i).rlike(WORDED)))
     )
-    start = lambda k: F.when(k == 0, 0).otherwise(F.get("ends", k - 1) + 1)
-    n = lambda k: F.get("ends", k) - start(k) + 1
-    piece = F.transform(F.sequence(F.lit(0), F.size("ends") - 1), lambda k: F.struct(
-        k.alias("chunk"), n(k).alias("n_lines"), F.array_join(F.slice("lines", start(k) + 1, n(k)), "\n").alias("body")))
-    return cut.select("doc_id", "tkey", F.inline(piece))  # only the pieces are exploded: no row carries all lines
+    span = lambda a, b: F.struct(a.alias("a"), b.alias("b"))
+    sparse = F.transform(F.sequence(F.lit(0), F.size("ends") - 1), lambda k: span(F.when(k == 0, 0).otherwise(F.get("ends", k - 1) + 1), F.get("ends", k)))
+    dense = F.when(F.size("worded") > 1, F.transform(F.sequence(F.lit(1), F.size("worded") - 1), lambda k: span(F.get("worded", k - 1), F.get("worded", k)))).otherwise(
+        F.array().cast("array<struct<a: int, b: int>>"))
+    spans = F.array_union(F.filter(sparse, lambda s: (s["b"] - s["a"] + 1 >= min_lines) & F.exists("worded", lambda i: i.between(s["a"], s["b"]))), dense)
+    return cut.select("doc_id", "tkey", F.inline(F.transform(spans, lambda s: F.struct(s["a"].alias("a"), s["b"].alias("b"), F.xxhash64(body(F.col("lines"), s["a"], s["b"])).alias("key")))))
 
 
 def repeated_chunks(docs: DataFrame, scratch: Scratch, modulus: int = 4, min_lines: int = 2) -> DataFrame:
-    """doc_id, tkey, chunk of every occurrence to remove."""
-    many = chunks(docs, modulus).where((F.col("n_lines") >= min_lines) & F.col("body").rlike(r"[^\x20\x09-\x0D]")).withColumn("key", F.xxhash64("body"))
+    """doc_id, tkey, a, b of every occurrence to remove."""
+    many = scratch.save(chunks(docs, modulus, min_lines), "chunks")
     keys = many.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
     # a chunk may occur in a third of all documents: its occurrences are dealt over SALTS tasks, its key is sent to each
     keys = keys.select("key", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
-    salted = many.withColumn("salt", F.pmod(F.xxhash64("doc_id", "tkey", "chunk"), F.lit(SALTS)).cast("int"))
-    twice = scratch.save(salted.join(keys, ["key", "salt"], "left_semi").drop("salt"), "twice")
-    place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tkey", "chunk")
-    first = scratch.save(twice.groupBy("key", "body").agg(F.min(place).alias("first")), "first")  # written: the join below can then split a hot key
-    hit = twice.join(first, ["key", "body"])
-    return hit.where((F.col("chunk") != F.col("first.chunk")) | ~F.col("doc_id").eqNullSafe(F.col("first.doc_id")) | (F.col("tkey") != F.col("first.tkey"))).select("doc_id", "tkey", "chunk").distinct()
+    salted = many.withColumn("salt", F.pmod(F.xxhash64("doc_id", "tkey", "a"), F.lit(SALTS)).cast("int"))
+    twice = salted.join(keys, ["key", "salt"], "left_semi").groupBy("doc_id", "tkey").agg(F.collect_set(F.struct("a", "b")).alias("spans"))  # of one document
+    twice = twice.select(F.col("doc_id").alias("doc"), F.col("tkey").alias("own"), "spans", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+    texts = docs.where(F.col("text").isNotNull()).select("doc_id", "text", F.xxhash64("text").alias("tkey"), F.pmod(F.monotonically_increasing_id(), F.lit(SALTS)).cast("int").alias("s"))
+    whole = texts.join(twice, F.col("doc_id").eqNullSafe(F.col("doc")) & (F.col("tkey") == F.col("own")) & (F.col("s") == F.col("salt")))
+    pieces = F.transform("spans", lambda x: F.struct(x["a"].alias("a"), x["b"].alias("b"), body(F.split("text", "\n", -1), x["a"], x["b"]).alias("body")))
+    bodies = scratch.save(whole.select("doc_id", "tkey", F.inline(pieces)).withColumn("key", F.xxhash64("body")), "twice")
+    place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tkey", "a")
+    first = scratch.save(bodies.groupBy("key", "body").agg(F.min(place).alias("first")), "first")  # written: the join below can then split a hot key
+    hit = bodies.join(first, ["key", "body"])
+    return hit.where((F.col("a") != F.col("first.a")) | ~F.col("doc_id").eqNullSafe(F.col("first.doc_id")) | (F.col("tkey") != F.col("first.tkey"))).select("doc_id", "tkey", "a", "b").distinct()
 
 
 def dedup_lines(docs: DataFrame, modulus: int = 4, min_lines: int = 2, scratch: Scratch | None = None) -> DataFrame:
-    """`docs` with n_lines, n_chunks, removed_chunks, removed_lines and `kept`, the text without the removed chunks."""
+    """`docs` with n_lines, n_chunks (of the sparse rule), removed_chunks (of both), removed_lines and `kept`, the text without the removed lines."""
     scratch = scratch or Scratch(docs.sparkSession, "lines")
-    gone = repeated_chunks(docs, scratch, modulus, min_lines).groupBy("doc_id", "tkey").agg(F.collect_set("chunk").alias("_gone"))
-    gone = scratch.save(gone.select(F.col("doc_id").alias("_doc"), F.col("tkey").alias("_tkey"), "_gone"), "gone")
-    rows = docs.withColumn("_key", F.xxhash64("text")).join(gone, (F.col("doc_id").eqNullSafe(F.col("_doc"))) & (F.col("_key") == F.col("_tkey")), "left").drop("_doc", "_tkey", "_key")
-    rows = rows.withColumn("_gone", F.coalesce("_gone", F.array().cast("array<int>"))).withColumn("_lines", F.split("text", "\n", -1)).withColumn("_h", line_hashes(F.col("_lines")))
-    rows = rows.withColumn("_ends", F.when(F.col("text").isNull(), F.array().cast("array<int>")).otherwise(chunk_bounds(F.col("_h"), modulus)))
-    start = lambda k: F.when(k == 0, 0).otherwise(F.get("_ends", k - 1) + 1)
-    left = F.filter(F.sequence(F.lit(0), F.size("_ends") - 1), lambda k: ~F.array_contains("_gone", k))
-    pieces = F.transform(left, lambda k: F.array_join(F.slice("_lines", start(k) + 1, F.get("_ends", k) - start(k) + 1), "\n"))
-    lost = F.aggregate("_gone", F.lit(0), lambda a, k: a + F.get("_ends", k) - start(k) + 1)
-    return rows.withColumn("n_lines", F.when(F.col("text").isNull(), 0).otherwise(F.size("_lines"))).withColumn("n_chunks", F.size("_ends")).withColumn(
-        "removed_chunks", F.size("_gone")).withColumn("removed_lines", lost).withColumn(
-        "kept", F.when(F.col("text").isNull(), None).when(F.size("_gone") == 0, F.col("text")).when(F.size("_gone") == F.size("_ends"), F.lit("")).otherwise(F.array_join(pieces, "\n"))).drop("_gone", "_lines", "_h", "_ends")
+    gone = repeated_chunks(docs.select("doc_id", "text"), scratch, modulus, min_lines).groupBy("doc_id", "tkey").agg(F.collect_set(F.struct("a", "b")).alias("spans"))
+    lost = F.array_distinct(F.flatten(F.transform("spans", lambda x: F.sequence(x["a"], x["b"]))))
+    gone = scratch.save(gone.select(F.col("doc_id").alias("doc"), F.col("tkey").alias("own"), F.size("spans").alias("removed_chunks"), lost.alias("lost")), "gone")
+    rows = docs.select(boxed(docs), "doc_id", "text", F.xxhash64("text").alias("tkey")).join(gone, F.col("doc_id").eqNullSafe(F.col("doc")) & (F.col("tkey") == F.col("own")), "left")
+    rows = rows.withColumn("lines", F.split("text", "\n", -1)).withColumn("h", line_hashes(F.col("lines")))
+    left = F.array_except(F.sequence(F.lit(0), F.size("lines") - 1), F.col("lost"))
+    none = F.col("text").isNull()
+    return unboxed(
+        docs, rows, n_lines=F.when(none, 0).otherwise(F.size("lines")), n_chunks=F.when(none, 0).otherwise(F.size(chunk_bounds(F.col("h"), modulus))),
+        removed_chunks=F.coalesce("removed_chunks", F.lit(0)), removed_lines=F.when(F.col("lost").isNull(), 0).otherwise(F.size("lost")),
+        kept=F.when(F.col("lost").isNull(), F.col("text")).otherwise(F.array_join(F.transform(left, lambda i: F.get("lines", i)), "\n")))
 
 
 SQL = r"""
 WITH d AS (SELECT DISTINCT doc_id, text FROM documents),
 l AS (SELECT doc_id, text, unnest(string_split(text, chr(10))) AS line, unnest(range(len(string_split(text, chr(10))))) AS i FROM d WHERE text IS NOT NULL),
-h AS (SELECT *, CAST('0x' || substr(md5(line), 1, 7) AS BIGINT) AS v FROM l),
+h AS (SELECT *, CAST('0x' || substr(md5(line), 1, 7) AS BIGINT) AS v, regexp_matches(line, '[^\x20\x09-\x0D]') AS worded FROM l),
 b AS (SELECT *, ((v + 31 * coalesce(lag(v, 1) OVER w, 0) + 961 * coalesce(lag(v, 2) OVER w, 0)) % 4 = 0) AS ends,
         lead(i) OVER w IS NULL AS last FROM h WINDOW w AS (PARTITION BY doc_id, text ORDER BY i)),
 c AS (SELECT *, coalesce(sum(CASE WHEN ends OR last THEN 1 ELSE 0 END) OVER
         (PARTITION BY doc_id, text ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS chunk FROM b),
-k AS (SELECT doc_id, text, chunk, count(*) AS n_lines, string_agg(line, chr(10) ORDER BY i) AS body FROM c GROUP BY ALL),
-r AS (SELECT *, row_number() OVER (PARTITION BY body ORDER BY doc_id, chunk) > 1 AND n_lines >= 2
-        AND regexp_matches(body, '[^\x20\x09-\x0D]') AS gone FROM k),
-a AS (SELECT doc_id, text, CAST(sum(n_lines) AS INTEGER) AS n_lines, CAST(count(*) AS INTEGER) AS n_chunks,
-        CAST(count(*) FILTER (gone) AS INTEGER) AS removed_chunks, CAST(coalesce(sum(n_lines) FILTER (gone), 0) AS INTEGER) AS removed_lines,
-        md5(coalesce(string_agg(body, chr(10) ORDER BY chunk) FILTER (NOT gone), '')) AS kept_md5 FROM r GROUP BY doc_id, text)
-SELECT s.doc_id, coalesce(a.n_lines, 0) AS n_lines, coalesce(a.n_chunks, 0) AS n_chunks, coalesce(a.removed_chunks, 0) AS removed_chunks,
-    coalesce(a.removed_lines, 0) AS removed_lines, a.kept_md5 FROM documents s LEFT JOIN a ON s.doc_id = a.doc_id AND s.text = a.text
+k AS (SELECT doc_id, text, chunk, min(i) AS a, max(i) AS b, bool_or(worded) AS worded FROM c GROUP BY ALL),
+p AS (SELECT doc_id, text, lag(i) OVER (PARTITION BY doc_id, text ORDER BY i) AS a, i AS b FROM h WHERE worded),
+u AS (SELECT doc_id, text, a, b FROM k WHERE b > a AND worded UNION SELECT doc_id, text, a, b FROM p WHERE a IS NOT NULL),
+r AS (SELECT *, row_number() OVER (PARTITION BY array_to_string(list_slice(string_split(text, chr(10)), a + 1, b + 1), chr(10)) ORDER BY doc_id, a) > 1 AS gone FROM u),
+g AS (SELECT doc_id, text, a, b FROM r WHERE gone),
+x AS (SELECT DISTINCT doc_id, text, unnest(range(a, b + 1)) AS i FROM g),
+y AS (SELECT l.doc_id, l.text, CAST(count(*) AS INTEGER) AS n_lines, CAST(count(x.i) AS INTEGER) AS removed_lines,
+        md5(coalesce(string_agg(line, chr(10) ORDER BY l.i) FILTER (x.i IS NULL), '')) AS kept_md5
+      FROM l LEFT JOIN x ON l.doc_id = x.doc_id AND l.text = x.text AND l.i = x.i GROUP BY l.doc_id, l.text),
+n AS (SELECT doc_id, text, CAST(count(*) AS INTEGER) AS n_chunks FROM k GROUP BY ALL),
+m AS (SELECT doc_id, text, CAST(count(*) AS INTEGER) AS removed_chunks FROM g GROUP BY ALL)
+SELECT s.doc_id, coalesce(y.n_lines, 0) AS n_lines, coalesce(n.n_chunks, 0) AS n_chunks, coalesce(m.removed_chunks, 0) AS removed_chunks,
+    coalesce(y.removed_lines, 0) AS removed_lines, y.kept_md5 FROM documents s LEFT JOIN y ON s.doc_id = y.doc_id AND s.text = y.text
+    LEFT JOIN n ON s.doc_id = n.doc_id AND s.text = n.text LEFT JOIN m ON s.doc_id = m.doc_id AND s.text = m.text
 """
