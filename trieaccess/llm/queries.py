@@ -57,4 +57,4 @@ def queries():
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_mix": mixing.SQL, "op10_line_dedup": linededup.SQL}
+    return {"op2_mix": mixing.SQL, "op5_url_filter": urls.oracle(), "op10_line_dedup": linededup.SQL}
