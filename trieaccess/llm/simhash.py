@@ -1,49 +1,84 @@
 """SimHash near-dedup with pigeonhole blocks.
 
-Fingerprint: the bitwise majority of the XXH64 values (seed 42) of a text's 4-word shingles. Two fingerprints that differ in at most
-4 of 64 bits agree on at least 3 of 7 blocks, so each distinct fingerprint is filed under its 35 triples of
-blocks and only fingerprints filed together are compared. Inside a bucket no pairs are listed: a flood fill from its smallest
+Fingerprint: the bitwise majority of the XXH64 values (seed 42) of a text's word shingles. How many words a shingle has, how many bits may differ
+and into how many blocks a fingerprint is split is a `Rule`. Two fingerprints that differ in at most `radius` bits agree on at least
+blocks - radius blocks, so each distinct fingerprint is filed under every choice of that many blocks (4 bits, 7 blocks: 35
+triples) and only fingerprints filed together are compared. Inside a bucket no pairs are listed: a flood fill from its smallest
 fingerprint removes what it reaches, so a dense bucket of m members costs few scans and gives at most m - 1 links.
 
+With `check` bits allowed, links must also agree in all but that many bits of a second, independent fingerprint of 32 bits (the smallest
+among texts with one first fingerprint): a wide radius would else link strangers in a large corpus.
+
 A bucket of more than `WIDE` distinct fingerprints is not kept in one task: its members stream out and are filed anew under
-the 70 quadruples of the 8 halves of the other 4 blocks (again a pigeonhole, so no link is lost). Such a bucket has at
-most 2^20 possible members, which bounds its memory. Components come from alternating large-star / small-star steps.
+the choices of half of the halves of the other blocks (again a pigeonhole, so no link is lost). Components come from alternating
+large-star / small-star steps; a node with very many links is salted.
 
 Nulls: null and empty texts, and those of white space only, have fingerprint zero and are linked like any other. Ties and repeated
-rows share a component; a null doc_id never names a component unless no other id does. Empty table: empty result. Extra columns are left out: join by doc_id.
+rows share a component; a null doc_id never names a component unless no other id does. Very long texts are whole, hashed in slices. Empty
+table: empty result. Extra columns are left out: join by doc_id.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
+from functools import cached_property
 from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import Scratch, text_bytes
 
-SHINGLE, SEED, NEAR, WIDE = 4, 42, 4, 4096
-BLOCKS = ((0, 9), (9, 9), (18, 9), (27, 9), (36, 9), (45, 9), (54, 10))  # (first bit, bits)
-TRIPLES = tuple(combinations(range(7), 3))
+SEED, WIDE, SALTS = 42, 4096, 16
+
+
+@dataclass(frozen=True)
+class Rule:
+    """What counts as near: shingles of `shingle` words, at most `radius` of 64 bits, and `check` of the second 32 where it is not None."""
+
+    shingle: int = 4
+    radius: int = 4
+    blocks: int = 7
+    check: int | None = None
+
+    @cached_property
+    def spans(self) -> tuple[tuple[int, int], ...]:
+        """(first bit, bits) of each block."""
+        at = [64 * i // self.blocks for i in range(self.blocks + 1)]
+        return tuple((x, y - x) for x, y in zip(at, at[1:]))
+
+    @cached_property
+    def keys(self) -> tuple[tuple[int, ...], ...]:
+        """The choices of blocks that two near fingerprints may agree on."""
+        return tuple(combinations(range(self.blocks), self.blocks - self.radius))
+
+    def halves(self, i: int) -> list[tuple[int, int]]:
+        """Half blocks of those that choice i leaves out: 2 * radius of them, of which near fingerprints agree on `radius`."""
+        rest = [self.spans[x] for x in range(self.blocks) if x not in self.keys[i]]
+        return [h for at, n in rest for h in ((at, n // 2), (at + n // 2, n - n // 2))]
+
+
+EXACT = Rule()  # what the fingerprint query states
+CORPUS = Rule(shingle=5, radius=6, blocks=10, check=9)  # for a corpus stage: five words, similarity of about 0.8 and more
 BATCH_SHINGLES = 1 << 17
 
 
-def shingle_hashes(text: bytes) -> np.ndarray:
+def shingle_hashes(text: bytes, shingle: int = EXACT.shingle) -> np.ndarray:
     from xxhash import xxh64_intdigest
 
     words = text.lower().split()
     if not words:
         return np.zeros(0, np.uint64)
     joined = b" ".join(words)
-    if len(words) <= SHINGLE:
+    if len(words) <= shingle:
         return np.array([xxh64_intdigest(joined, SEED)], np.uint64)
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1) - 1
-    starts = [0, *(ends[: len(words) - SHINGLE] + 1).tolist()]
-    return np.array([xxh64_intdigest(joined[a:b], SEED) for a, b in zip(starts, ends[SHINGLE - 1 :].tolist())], np.uint64)
+    starts = [0, *(ends[: len(words) - shingle] + 1).tolist()]
+    return np.array([xxh64_intdigest(joined[a:b], SEED) for a, b in zip(starts, ends[shingle - 1 :].tolist())], np.uint64)
 
 
 def simhash(h: np.ndarray) -> int:
@@ -56,30 +91,55 @@ def simhash(h: np.ndarray) -> int:
     return int(np.packbits(2 * ones > len(h), bitorder="little").view(np.uint64)[0])
 
 
-@F.arrow_udf(T.LongType())
-def fingerprint(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
-    for batch in texts:
-        yield pa.array(np.array([simhash(shingle_hashes(t.as_py())) for t in batch], np.uint64).view(np.int64))
+def second_hash(h: np.ndarray) -> np.ndarray:
+    """Other 64 bits of the same shingles: a finaliser of the multiply-shift kind."""
+    x = (h ^ (h >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
+    return (x ^ (x >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
+
+
+MARK = T.StructType([T.StructField("fp", T.LongType()), T.StructField("more", T.LongType())])
+
 
+def fingerprint(text: Column, rule: Rule = EXACT) -> Column:
+    """(fp, more): 64 bits, and the second 32 or 0."""
 
-def spanning_links(a: np.ndarray, near: int = NEAR) -> tuple[np.ndarray, np.ndarray]:
-    """Links (smallest of its group, member) that connect the distinct fingerprints `a` exactly as all close pairs would."""
-    left, low, high = np.sort(a), [], []
+    @F.arrow_udf(MARK)
+    def marks(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for batch in texts:
+            fp, more = [], []
+            for t in batch:
+                h = shingle_hashes(t.as_py(), rule.shingle)
+                fp.append(simhash(h))
+                more.append(0 if rule.check is None else simhash(second_hash(h)) & 0xFFFFFFFF)
+            yield pa.StructArray.from_arrays([pa.array(np.array(fp, np.uint64).view(np.int64)), pa.array(more, pa.int64())], names=["fp", "more"])
+
+    return marks(text)
+
+
+def spanning_links(a: np.ndarray, more: np.ndarray, rule: Rule) -> tuple[np.ndarray, np.ndarray]:
+    """Links (smallest of its group, member) that connect the distinct fingerprints `a` exactly as all near pairs would."""
+    order = np.argsort(a, kind="stable")
+    left, mark, low, high = a[order], more[order], [], []
     while len(left) > 1:
-        root, left = left[0], left[1:]
-        todo = [root]
+        root, todo, left, mark = left[0], [(left[0], mark[0])], left[1:], mark[1:]
         while todo and len(left):
-            close = np.bitwise_count(left ^ todo.pop()) <= near
+            x, m = todo.pop()
+            close = near(left, mark, x, m, rule)
             if close.any():
                 found = left[close]
                 low.append(np.full(len(found), root))
                 high.append(found)
-                todo.extend(found)
-                left = left[~close]
+                todo.extend(zip(found, mark[close]))
+                left, mark = left[~close], mark[~close]
     empty = np.zeros(0, a.dtype)
     return (np.concatenate(low), np.concatenate(high)) if low else (empty, empty)
 
 
+def near(a, more_a, b, more_b, rule: Rule) -> np.ndarray:
+    out = np.bitwise_count(a ^ b) <= rule.radius
+    return out if rule.check is None else out & (np.bitwise_count(more_a ^ more_b) <= rule.check)
+
+
 def _bits(fp: np.ndarray, spans) -> np.ndarray:
     out = np.zeros(len(fp), np.uint64)
     for at, n in spans:
@@ -87,86 +147,106 @@ def _bits(fp: np.ndarray, spans) -> np.ndarray:
     return out
 
 
-def _file(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """fp -> (key, key2, fp) for each triple of blocks."""
-    for b in batches:
-        fp = b.column(0).to_numpy().view(np.uint64)
-        for i, t in enumerate(TRIPLES):
-            key = _bits(fp, [BLOCKS[x] for x in t]) | np.uint64(i << 32)
-            yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(np.zeros(len(fp), np.int64)), pa.array(fp.view(np.int64))], names=["key", "key2", "fp"])
+FILED = "key long, key2 long, fp long, more long"
+
+
+def _file(rule: Rule):
+    """(fp, more) -> (key, key2, fp, more) for each choice of blocks."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            fp = b.column(0).to_numpy().view(np.uint64)
+            for i, t in enumerate(rule.keys):
+                key = _bits(fp, [rule.spans[x] for x in t]) | np.uint64(i << 32)
+                yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(np.zeros(len(fp), np.int64)), b.column(0), b.column(1)], names=["key", "key2", "fp", "more"])
+
+    return run
+
+
+def _file_again(rule: Rule):
+    """(key, fp, more) of wide buckets -> (key, key2, fp, more) for each choice of half of the half blocks that the key leaves out."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            key, fp, more = b.column(0).to_numpy(), b.column(1).to_numpy().view(np.uint64), b.column(2).to_numpy()
+            for i in np.unique(key >> 32):
+                own = (key >> 32) == i
+                for j, some in enumerate(combinations(rule.halves(i), rule.radius)):
+                    key2 = _bits(fp[own], some) | np.uint64((j + 1) << 40)
+                    yield pa.RecordBatch.from_arrays([pa.array(key[own]), pa.array(key2.view(np.int64)), pa.array(fp[own].view(np.int64)), pa.array(more[own])], names=["key", "key2", "fp", "more"])
 
-def _file_again(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(key, fp) of wide buckets -> (key, key2, fp) for each quadruple of halves of the blocks that the key leaves out."""
-    for b in batches:
-        key, fp = b.column(0).to_numpy(), b.column(1).to_numpy().view(np.uint64)
-        for i in np.unique(key >> 32):
-            own = (key >> 32) == i
-            rest = [BLOCKS[x] for x in range(7) if x not in TRIPLES[i]]
-            halves = [h for at, n in rest for h in ((at, n // 2), (at + n // 2, n - n // 2))]
-            for j, four in enumerate(combinations(halves, 4)):
-                key2 = _bits(fp[own], four) | np.uint64((j + 1) << 32)
-                yield pa.RecordBatch.from_arrays([pa.array(key[own]), pa.array(key2.view(np.int64)), pa.array(fp[own].view(np.int64))], names=["key", "key2", "fp"])
+    return run
 
 
-def _bucket_links(wide: int):
-    """Sorted (key, key2, fp) -> (key, a, b): links where key is null, members of wide buckets where b is null."""
+def _bucket_links(wide: int, rule: Rule):
+    """Sorted (key, key2, fp, more) -> (key, a, b, more): links where key is null, members of wide buckets where b is null."""
 
-    def out(key, a, b):
+    def out(key, a, b, more):
         n = len(a)
         return pa.RecordBatch.from_arrays([
             pa.array(np.full(n, key)) if key is not None else pa.nulls(n, pa.int64()), pa.array(a.view(np.int64)),
-            pa.array(b.view(np.int64)) if b is not None else pa.nulls(n, pa.int64())], names=["key", "a", "b"])
+            pa.array(b.view(np.int64)) if b is not None else pa.nulls(n, pa.int64()), pa.array(more) if more is not None else pa.nulls(n, pa.int64())], names=["key", "a", "b", "more"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[np.ndarray] = []  # the open bucket; None once it is wide
+        held: list[tuple[np.ndarray, np.ndarray]] = []  # the open bucket, empty while a wide one streams out
         open_key, size, streaming = None, 0, False
 
+        def joined():
+            return np.concatenate([h[0] for h in held]), np.concatenate([h[1] for h in held])
+
         def close():
             if not streaming and size > 1:
-                a, b = spanning_links(np.concatenate(held))
+                a, b = spanning_links(*joined(), rule)
                 if len(a):
-                    yield out(None, a, b)
+                    yield out(None, a, b, None)
 
         for batch in batches:
-            key, key2, fp = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2).to_numpy().view(np.uint64)
+            key, key2, fp, more = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2).to_numpy().view(np.uint64), batch.column(3).to_numpy()
             if not len(key):
                 continue
             cut = np.flatnonzero((key[1:] != key[:-1]) | (key2[1:] != key2[:-1])) + 1
             starts, ends = np.r_[0, cut], np.r_[cut, len(key)]
             inner = (ends - starts == 2) & (starts > 0) & (ends < len(key))  # whole buckets of two, the common case
-            x, y = fp[starts[inner]], fp[starts[inner] + 1]
-            close_two = np.bitwise_count(x ^ y) <= NEAR
+            x, y = starts[inner], starts[inner] + 1
+            close_two = near(fp[x], more[x], fp[y], more[y], rule)
             if close_two.any():
-                yield out(None, np.minimum(x, y)[close_two], np.maximum(x, y)[close_two])
+                yield out(None, np.minimum(fp[x], fp[y])[close_two], np.maximum(fp[x], fp[y])[close_two], None)
             skip = inner | ((ends - starts == 1) & (starts > 0) & (ends < len(key)))
             for s, e in zip(starts[~skip], ends[~skip]):
                 k = (key[s], key2[s])
                 if k != open_key:
                     yield from close()
                     held, open_key, size, streaming = [], k, 0, False
-                held.append(fp[s:e])
+                held.append((fp[s:e], more[s:e]))
                 size += e - s
                 if streaming or (key2[s] == 0 and size > wide):
                     streaming = True
-                    yield out(key[s], np.concatenate(held), None)
+                    a, m = joined()
+                    yield out(key[s], a, None, m)
                     held = []
         yield from close()
 
     return run
 
 
-def links(fps: DataFrame, scratch: Scratch, wide: int = WIDE) -> DataFrame:
-    """Distinct fingerprints -> (a, b), a < b: links whose components are those of all pairs within distance."""
+def links(fps: DataFrame, scratch: Scratch, wide: int = WIDE, rule: Rule = EXACT) -> DataFrame:
+    """Distinct fingerprints (fp, more) -> (a, b), a < b: links whose components are those of all near pairs."""
 
     def bucketed(filed: DataFrame) -> DataFrame:
-        return filed.repartition("key", "key2").sortWithinPartitions("key", "key2", "fp").mapInArrow(_bucket_links(wide), "key long, a long, b long")
+        return filed.repartition("key", "key2").sortWithinPartitions("key", "key2", "fp").mapInArrow(_bucket_links(wide, rule), "key long, a long, b long, more long")
 
-    first = scratch.save(bucketed(fps.select("fp").mapInArrow(_file, "key long, key2 long, fp long")), "links")
-    again = bucketed(first.where("key IS NOT NULL").select("key", "a").mapInArrow(_file_again, "key long, key2 long, fp long"))
+    first = scratch.save(bucketed(fps.select("fp", "more").mapInArrow(_file(rule), FILED)), "links")
+    again = bucketed(first.where("key IS NOT NULL").select("key", "a", "more").mapInArrow(_file_again(rule), FILED))
     return first.where("key IS NULL").select("a", "b").unionByName(again.where("key IS NULL").select("a", "b")).distinct()
 
 
+def salted(many: DataFrame, on: str, few: DataFrame) -> DataFrame:
+    """`many` (u, v) joined with one row a node `few` (k, m), rows of a node dealt over SALTS tasks."""
+    few = few.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    many = many.withColumn("s", F.pmod(F.xxhash64("u", "v"), F.lit(SALTS)).cast("int"))
+    return many.join(few, (F.col(on) == F.col("k")) & (F.col("s") == F.col("salt"))).drop("s", "salt", "k")
+
+
 def components(edges: DataFrame, scratch: Scratch, rounds: int = 60) -> DataFrame:
     """(a, b) -> (node, root), root the smallest node of its component; nodes without edges are absent, roots too.
 
@@ -182,9 +262,9 @@ def components(edges: DataFrame, scratch: Scratch, rounds: int = 60) -> DataFram
     for i in range(1, rounds):
         both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("k"), F.least("u", "m").alias("m"))
-        large = both.where("v > u").join(low, F.col("u") == F.col("k")).select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        large = salted(both.where("v > u"), "u", low).select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         down = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(down.withColumnRenamed("u", "k"), F.col("u") == F.col("k")).select("u", "v", "m")
+        small = salted(large, "u", down.withColumnRenamed("u", "k"))
         small = small.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(small.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
         e = scratch.save(small, f"edges{i}")
         scratch.drop(f"edges{i - 1}")
@@ -197,18 +277,25 @@ def components(edges: DataFrame, scratch: Scratch, rounds: int = 60) -> DataFram
     return e.select(F.col("u").alias("node"), F.col("v").alias("root"))
 
 
-def roots(marked: DataFrame, scratch: Scratch, wide: int = WIDE) -> DataFrame:
-    """Rows with doc_id and fp -> fp, first (its smallest doc_id), root (smallest fingerprint of its component, never null)."""
-    fps = scratch.save(marked.groupBy("fp").agg(F.min("doc_id").alias("first")), "fps")
-    root = components(links(fps, scratch, wide), scratch)
+def roots(marked: DataFrame, scratch: Scratch, wide: int = WIDE, rule: Rule = EXACT) -> DataFrame:
+    """Rows with doc_id, fp and more -> fp, first (its smallest doc_id), root (smallest fingerprint of its component, never null)."""
+    fps = scratch.save(marked.groupBy("fp").agg(F.min("doc_id").alias("first"), F.min("more").alias("more")), "fps")
+    root = components(links(fps, scratch, wide, rule), scratch)
     return fps.join(root, F.col("fp") == F.col("node"), "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
 
 
-def near_duplicates(docs: DataFrame, scratch: Scratch | None = None, wide: int = WIDE) -> DataFrame:
+def by_fp(marked: DataFrame, group: DataFrame) -> DataFrame:
+    """Rows with a fingerprint (fp) joined with one row a fingerprint: copies of one text may be a third of all rows and are dealt over SALTS tasks."""
+    group = group.withColumnRenamed("fp", "own").withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    rows = marked.withColumn("s", F.pmod(F.monotonically_increasing_id(), F.lit(SALTS)).cast("int"))  # any salt will do
+    return rows.join(group, (F.col("fp") == F.col("own")) & (F.col("s") == F.col("salt"))).drop("own", "s", "salt")
+
+
+def near_duplicates(docs: DataFrame, scratch: Scratch | None = None, wide: int = WIDE, rule: Rule = EXACT) -> DataFrame:
     """doc_id, fp (long), fingerprint (hex) and component_id (smallest doc_id reachable): one row per input row."""
     scratch = scratch or Scratch(docs.sparkSession, "simhash")
-    marked = scratch.save(docs.select("doc_id", fingerprint(text_bytes()).alias("fp")), "marked")
-    placed = roots(marked, scratch, wide)
+    marked = scratch.save(docs.select("doc_id", fingerprint(text_bytes(), rule).alias("mark")).select("doc_id", "mark.*"), "marked")
+    placed = roots(marked, scratch, wide, rule)
     name = placed.groupBy("root").agg(F.min("first").alias("component_id"))
     group = scratch.save(placed.select("fp", "root").join(name, "root").select("fp", "component_id"), "groups")
-    return marked.join(group, "fp").select("doc_id", "fp", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    return by_fp(marked.select("doc_id", "fp"), group).select("doc_id", "fp", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
