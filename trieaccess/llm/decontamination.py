@@ -6,7 +6,8 @@ So shared q-grams are counted in diagonal bands of width 2 (k + 1) that overlap
 discarded, the others are verified by a banded alignment with free ends. k is `edits` of the length, lowered where
 the bound would fall under one gram. Passages shorter than q must occur exactly, on word boundaries.
 
-The benchmark is taken in blocks of about `BLOCK_BYTES` of text, each sent to all tasks; every block reads all documents.
+The benchmark is taken in blocks of about `BLOCK_BYTES` of text, each sent to all tasks; one scan of the documents meets all of them. Shared
+q-grams are expanded `EXPAND` at a time, so that a gram that repeats in passage and document costs time, not memory.
 
 Nulls: null and empty texts or passages never match; a null item_id is kept as the id of its passage. Repeated passages count under each
 id; repeated documents are judged each. Ties: the first band with the fewest edits. Empty tables: no rows. Extra columns are kept.
@@ -23,7 +24,7 @@ from pyspark.sql import functions as F
 
 from .common import in_slices, text_bytes
 
-Q, BLOCK_BYTES, SLICE, BLOOM_BITS = 12, 1 << 20, 2 << 20, 22
+Q, BLOCK_BYTES, SLICE, BLOOM_BITS, EXPAND = 12, 1 << 20, 2 << 20, 22, 1 << 20
 _K1, _K2, _K3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9)
 HITS = "array<struct<item_id: bigint, edits: int, shared: int, start_word: int>>"
 
@@ -81,6 +82,28 @@ class Passages:
         self.bloom = np.zeros(1 << BLOOM_BITS, bool)
         self.bloom[flat >> np.uint64(64 - BLOOM_BITS)] = True
 
+    def _bands(self, pos: np.ndarray, owner: np.ndarray, lo: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Hits (position in its document, document, first index entry, entries) -> (document * passages + passage, band, shared grams), `EXPAND` at a time."""
+        total: tuple[np.ndarray, ...] = ()
+        ends = np.cumsum(n)
+        for a in range(0, int(ends[-1]), EXPAND):
+            b = min(a + EXPAND, int(ends[-1]))
+            i, j = np.searchsorted(ends, a, "right"), np.searchsorted(ends, b, "left") + 1
+            first = np.maximum(ends[i:j] - n[i:j], a)  # the part of each hit that lies in a..b
+            some = np.minimum(ends[i:j], b) - first
+            g = np.repeat(lo[i:j] + first - (ends[i:j] - n[i:j]) - np.concatenate([[0], np.cumsum(some)[:-1]]), some) + np.arange(b - a)
+            item = self.item[g]
+            diag = np.repeat(pos[i:j], some) - self.at[g]
+            pair = np.repeat(owner[i:j], some) * len(self.ids) + item
+            band = np.floor_divide(diag, self.k[item] + 1)
+            key, count = np.unique(np.r_[pair, pair] << 32 | (np.r_[band, band - 1] + (1 << 31)), return_counts=True)
+            if total:
+                merged, at = np.unique(np.r_[total[0], key], return_inverse=True)
+                key, count = merged, np.bincount(at, np.r_[total[1], count]).astype(np.int64)
+            total = key, count
+        key, count = total
+        return key >> 32, (key & 0xFFFFFFFF) - (1 << 31), count
+
     def find(self, texts: list[bytes]) -> list[list[dict]]:
         docs = [normal(t) for t in texts]
         out: list[list[dict]] = [[] for _ in docs]
@@ -103,19 +126,7 @@ class Passages:
         pos, lo, n, owner = pos[within], lo[within], n[within], owner[within]
         if not len(pos):
             return out
-        g = np.repeat(lo - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
-        item, diag, owner = self.item[g], np.repeat(pos - start[owner], n) - self.at[g], np.repeat(owner, n)
-        pair = owner * len(self.ids) + item
-        which, inverse, count = np.unique(pair, return_inverse=True, return_counts=True)
-        enough = (count >= self.least[which % len(self.ids)])[inverse]
-        pair, diag, item = pair[enough], diag[enough], item[enough]
-        if not len(pair):
-            return out
-        band = np.floor_divide(diag, self.k[item] + 1)
-        pair, band = np.r_[pair, pair], np.r_[band, band - 1]
-        span = int(band.max() - band.min()) + 1
-        keys, count = np.unique(pair * span + (band - band.min()), return_counts=True)
-        pair, band = keys // span, keys % span + band.min()
+        pair, band, count = self._bands(pos - start[owner], owner, lo, n)
         good = count >= self.least[pair % len(self.ids)]
         best: dict[int, dict] = {}
         for p, j, shared in zip(pair[good].tolist(), band[good].tolist(), count[good].tolist()):
@@ -156,17 +167,16 @@ def hits_column(block: Passages) -> Column:
     return leaks(text_bytes())
 
 
+def all_hits(benchmark: DataFrame, edits: float) -> Column:
+    """The hits of all blocks of the benchmark: one scan of the documents meets them all."""
+    return F.concat(*[hits_column(b) for b in blocks(benchmark, edits)])
+
+
 def find_leaks(docs: DataFrame, benchmark: DataFrame, edits: float = 0.05) -> DataFrame:
     """doc_id, item_id, edits, shared, start_word: one row for each passage found in a document."""
-    parts = [docs.select("doc_id", hits_column(b).alias("hits")).where(F.size("hits") > 0).select("doc_id", F.inline("hits")) for b in blocks(benchmark, edits)]
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+    return docs.select("doc_id", all_hits(benchmark, edits).alias("hits")).where(F.size("hits") > 0).select("doc_id", F.inline("hits"))
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, edits: float = 0.05) -> DataFrame:
     """`docs` without the documents that hold a passage."""
-    for b in blocks(benchmark, edits):
-        docs = docs.where(F.size(hits_column(b)) == 0)
-    return docs
+    return docs.where(F.size(all_hits(benchmark, edits)) == 0)
