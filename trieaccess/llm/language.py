@@ -2,8 +2,8 @@
 
 A text becomes the vector of its byte trigrams (A-Z lower-cased, other ASCII but letters as one blank each, runs kept),
 hashed to `DIMS` slots, weighted (1 + log tf) * idf and normalised. Each language has up to `CLUSTERS` centroids from spherical
-k-means on a sample of at most about `per_lang` labelled texts of it (a documented bound; at most `MAX_LANGS` languages).
-The idf is that of the sample.
+k-means on a sample of at most about `per_lang` labelled texts of it (a documented bound), each language in a task of its own.
+The idf is that of the sample. Languages are scored in groups of `GROUP`, so that any number of them can be told apart.
 The prediction is the language of the centroid with the largest cosine, which is the score. A text further from its
 centroid than all but `reject` of that centroid's own texts is marked `rejected`.
 
@@ -15,19 +15,24 @@ named like an output are replaced.
 
 from __future__ import annotations
 
-import pickle
+import functools
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .common import Scratch, crc_mod, in_slices, text_bytes
+from .common import Scratch, boxed, crc_mod, in_slices, text_bytes, unboxed
 
-DIMS, CLUSTERS, MAX_LANGS = 4096, 3, 256
+DIMS, CLUSTERS, GROUP = 4096, 3, 256
 _TABLE = bytes(b + 32 if 65 <= b <= 90 else b if 97 <= b <= 122 or b > 127 else 32 for b in range(256))
-SLICE = 1 << 20
+SLICE, ROWS = 1 << 20, 64  # texts are counted at most 64 at a time: a row of counts is dense
+
+
+def slices(texts: list[bytes]) -> Iterator[tuple[int, int]]:
+    return in_slices([max(len(t), SLICE // ROWS) for t in texts], SLICE)
 
 
 def trigram_counts(texts: list[bytes]) -> np.ndarray:
@@ -75,73 +80,88 @@ class Centroids:
         return [self.langs[i] for i in best], np.clip(score, 0, 1).astype(float), score < self.floor[best]
 
 
-def _train(reject: float):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts, langs = [], []
-        for b in batches:
-            texts = b.column(0).to_pylist()
-            langs += b.column(1).to_pylist()
-            for i, j in in_slices([len(t) for t in texts], SLICE):
-                counts.append(trigram_counts(texts[i:j]).astype(np.int32))
-        if not langs:
-            return
-        counts, langs = np.concatenate(counts), np.array(langs, object)
-        idf = np.log((1 + len(counts)) / (1 + (counts > 0).sum(0))).astype(np.float32) + 1
-        x = vectors(counts, idf)
-        names, cents, floor = [], [], []
-        for lang in sorted(set(langs)):
-            own = x[langs == lang]
-            c = spherical_kmeans(own, CLUSTERS)
-            cos = own @ c.T
-            near = cos.argmax(1)
-            for j in range(len(c)):
-                names.append(lang)
-                cents.append(c[j])
-                floor.append(np.quantile(cos[near == j, j], reject) if (near == j).any() else 0.0)
-        yield pa.RecordBatch.from_pydict({"model": pa.array([pickle.dumps(Centroids(idf, names, np.stack(cents), np.array(floor)))], pa.binary())})
+def _frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """In how many texts each slot occurs: one row a task."""
+    n, df = 0, np.zeros(DIMS, np.int64)
+    for b in batches:
+        texts = b.column(0).to_pylist()
+        for i, j in slices(texts):
+            df += (trigram_counts(texts[i:j]) > 0).sum(0)
+            n += j - i
+    yield pa.RecordBatch.from_pydict({"n": pa.array([n], pa.int64()), "df": pa.array([df.tolist()], pa.list_(pa.int64()))})
+
+
+def _train(idf: np.ndarray, reject: float):
+    """The texts of one language -> its centroids and the cosine below which a text is rejected."""
+
+    def run(key: tuple[pa.Scalar, ...], rows: pa.Table) -> pa.Table:
+        texts = sorted(rows.column("t").to_pylist())
+        x = np.concatenate([vectors(trigram_counts(texts[i:j]), idf) for i, j in slices(texts)])
+        c = spherical_kmeans(x, CLUSTERS)
+        cos = x @ c.T
+        near = cos.argmax(1)
+        floor = [float(np.quantile(cos[near == j, j], reject)) if (near == j).any() else 0.0 for j in range(len(c))]
+        return pa.table({"lang": pa.array([key[0].as_py()] * len(c), pa.string()), "centroid": pa.array(c.astype(float).tolist(), pa.list_(pa.float64())), "floor": pa.array(floor, pa.float64())})
 
     return run
 
 
-def fit(docs: DataFrame, per_lang: int = 800, reject: float = 0.005, scratch: Scratch | None = None) -> Centroids | None:
+def fit(docs: DataFrame, per_lang: int = 800, reject: float = 0.005, scratch: Scratch | None = None) -> list[Centroids]:
+    """Groups of languages in the order of their codes; none without labelled texts."""
     scratch = scratch or Scratch(docs.sparkSession, "lang")
-    teach = docs.where(F.col("lang").isNotNull() & F.col("text").rlike(r"\p{L}") & (crc_mod("doc_id", 4) != 2))
-    seen = teach.groupBy("lang").agg(F.count(F.lit(1)).alias("_n"))  # usable texts only: the rate is over what can teach
-    counts = scratch.save(seen.select(F.col("lang").alias("_l"), "_n"), "counts")
-    if counts.count() > MAX_LANGS:
-        raise ValueError(f"more than {MAX_LANGS} languages to learn")
+    teach = docs.where(F.col("lang").isNotNull() & F.col("text").rlike(r"\p{L}") & (crc_mod("doc_id", 4) != 2)).select("doc_id", "lang", text_bytes().alias("t"))
+    seen = scratch.save(teach.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).withColumnRenamed("lang", "l"), "counts")  # usable texts only: the rate is over what can teach
     u = F.pmod(F.xxhash64("doc_id", F.lit(11)), F.lit(1 << 20))
-    sample = teach.join(F.broadcast(counts), F.col("lang") == F.col("_l")).where(u * F.col("_n") < F.lit(per_lang * (1 << 20)))  # at most MAX_LANGS rows are sent
-    first = sample.select(text_bytes().alias("t"), "lang").repartition(1).mapInArrow(_train(reject), "model binary").first()
-    return pickle.loads(first.model) if first else None
+    sample = teach.join(seen, F.col("lang") == F.col("l")).where(u * F.col("n") < F.lit(per_lang * (1 << 20))).select("t", "lang")
+    sample = scratch.save(sample, "sample")
+    df = sample.select("t").mapInArrow(_frequencies, "n long, df array<long>").select("n", F.posexplode("df").alias("slot", "df"))
+    df = df.groupBy("slot").agg(F.sum("n").alias("n"), F.sum("df").alias("df")).orderBy("slot").collect()  # DIMS rows
+    if not df or not df[0].n:
+        return []
+    idf = np.log((1 + df[0].n) / (1 + np.array([r.df for r in df]))).astype(np.float32) + 1
+    rows = sample.groupBy("lang").applyInArrow(_train(idf, reject), "lang string, centroid array<double>, floor double").orderBy("lang").collect()  # CLUSTERS a language
+    langs = sorted({r.lang for r in rows})
+    groups = [set(langs[a : a + GROUP]) for a in range(0, len(langs), GROUP)]
+    return [Centroids(idf, [r.lang for r in rows if r.lang in g], np.array([r.centroid for r in rows if r.lang in g], np.float32), np.array([r.floor for r in rows if r.lang in g])) for g in groups]
 
 
-def predict(docs: DataFrame, model: Centroids | None) -> DataFrame:
-    """`docs` with lang_pred, score, rejected."""
+JUDGED = T.StructType([T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType()), T.StructField("rejected", T.BooleanType())])
+
 
-    @F.arrow_udf("struct<lang_pred: string, score: double, rejected: boolean>")
+def judge_column(model: Centroids, text: Column) -> Column:
+    """Struct of the nearest language, its cosine and whether it is too far; null for a null text."""
+
+    @F.arrow_udf(JUDGED)
     def judge(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for batch in texts:
             raw = batch.to_pylist()
             names, scores, far = [], [], []
-            for i, j in in_slices([len(t or b"") for t in raw], SLICE):
-                part = [t or b"" for t in raw[i:j]]
-                n, s, r = model.nearest(part) if model is not None else (["und"] * len(part), np.zeros(len(part)), np.ones(len(part), bool))
+            for i, j in slices([t or b"" for t in raw]):
+                n, s, r = model.nearest([t or b"" for t in raw[i:j]])
                 names += n
                 scores += s.tolist()
                 far += r.tolist()
-            none = [t is None for t in raw]
-            yield pa.StructArray.from_arrays([
-                pa.array(["und" if x else n for n, x in zip(names, none)], pa.string()),
-                pa.array([0.0 if x else s for s, x in zip(scores, none)], pa.float64()),
-                pa.array([bool(x or r) for r, x in zip(far, none)], pa.bool_())], names=["lang_pred", "score", "rejected"])
+            none = pa.array([t is None for t in raw])
+            yield pa.StructArray.from_arrays([pa.array(names, pa.string()), pa.array(scores, pa.float64()), pa.array(far, pa.bool_())], names=["lang_pred", "score", "rejected"], mask=none)
+
+    return judge(text)
+
 
+def judged(model: list[Centroids]) -> Column:
     worded = F.when(F.col("text").rlike(r"\p{L}"), F.col("text").cast("binary"))
-    rest = [c for c in docs.columns if c.lower() not in ("lang_pred", "score", "rejected")]
-    return docs.withColumn("_j", judge(worded)).select(*rest, "_j.*")
+    none = F.struct(F.lit("und").alias("lang_pred"), F.lit(0.0).alias("score"), F.lit(True).alias("rejected"))
+    found = [judge_column(m, worded) for m in model]
+    best = functools.reduce(lambda a, b: F.when(b["score"] > a["score"], b).otherwise(a), found) if found else none
+    return F.coalesce(best, none)
+
+
+def predict(docs: DataFrame, model: list[Centroids]) -> DataFrame:
+    """`docs` with lang_pred, score, rejected."""
+    rows = docs.select(boxed(docs), judged(model).alias("j"))
+    return unboxed(docs, rows, **{c: F.col("j")[c] for c in ("lang_pred", "score", "rejected")})
 
 
 def identify(docs: DataFrame, per_lang: int = 800) -> DataFrame:
     """`docs` with held_out, lang_pred, score, rejected."""
-    out = predict(docs, fit(docs, per_lang))
-    return out.withColumn("held_out", F.coalesce(crc_mod("doc_id", 4) == 2, F.lit(False)))
+    rows = docs.select(boxed(docs), F.coalesce(crc_mod("doc_id", 4) == 2, F.lit(False)).alias("held_out"), judged(fit(docs, per_lang)).alias("j"))
+    return unboxed(docs, rows, held_out=F.col("held_out"), **{c: F.col("j")[c] for c in ("lang_pred", "score", "rejected")})
