@@ -5,7 +5,8 @@ which of them continue, and a rank directory (set bits before each block of 512)
 on the next level. Any token is read by at most as many steps as its id has chunks; no block is decoded.
 
 A store is a Parquet table in the shared folder, one row a segment of whole documents (about `SEGMENT` tokens),
-written in ascending doc_id order: shard = range partition, seg = number within it.
+written in ascending doc_id order: shard = range partition, seg = number within it. It is not compressed, so that no page is inflated for one
+token; pages are of about a segment.
 
 The tokenizer drops white space between pre-tokens and never joins across it, so ids(text) is the concatenation of
 the ids of its white-space words; a bounded cache of words saves most calls. Null text: empty. Every document ends
@@ -16,6 +17,7 @@ empty table gives a store without segments. Extra columns are ignored.
 from __future__ import annotations
 
 import functools
+import json
 import re
 import zlib
 from array import array
@@ -27,11 +29,12 @@ import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql import window as W
 
 from .common import Scratch, in_slices, text_bytes
 
-SEGMENT = 1 << 20
+SEGMENT = 1 << 16
 CACHE, RUNS = 200_000, 250_000
 BATCH_BYTES = 4 << 20
 RANK_BLOCK = 512
@@ -46,6 +49,20 @@ def public_vocabulary(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
+#: fixed values: the steps that `WordTokenizer` does itself, as vocabulary files describe them
+NORMALIZER = {"type": "Sequence", "normalizers": [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}, {"type": "Lowercase"}]}
+PRE_TOKENIZER = {"type": "Sequence", "pretokenizers": [
+    {"type": "Split", "pattern": {"Regex": "'s|'t|'re|'ve|'m|'ll|'d|[\\p{L}]+|[\\p{N}]|[^\\s\\p{L}\\p{N}]+"}, "behavior": "Removed", "invert": True},
+    {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False}]}
+
+
+def plain_pipeline(path: str) -> bool:
+    """Whether the vocabulary's own normalizer and pre-tokenizer are those that are done here; its added tokens must hold "<|"."""
+    with open(path, encoding="utf-8") as f:
+        own = json.load(f)
+    return own["normalizer"] == NORMALIZER and own["pre_tokenizer"] == PRE_TOKENIZER and all("<|" in t["content"] for t in own["added_tokens"])
+
+
 class WordTokenizer(dict):
     """bytes of a text -> little-endian uint32 ids. The dictionary itself is a bounded cache: word -> ids, filled on a miss.
 
@@ -64,7 +81,7 @@ class WordTokenizer(dict):
         self.runs: dict[str, bytes] = {}
         self.cut = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{self.LETTER}]+|[{self.NUMERAL}]|[^{self.LETTER}{self.NUMERAL}]+").findall
         self.plain = re.compile("[!-~\xa1-\xff]+").fullmatch
-        self.plain_pipeline = "word_bpe" in path.rsplit("/", 1)[-1]
+        self.plain_pipeline = plain_pipeline(path)
         self.model_ids = self.inner.model.tokenize
         shown = [*range(33, 127), *range(161, 173), *range(174, 256)]  # the byte-level alphabet: printable bytes stand for themselves, the others follow 255 in order
         hidden = [b for b in range(256) if b not in shown]
@@ -176,7 +193,7 @@ def write_tokens(docs: DataFrame, store: str, tokenizer: str, end_id: int = 2) -
     """Tokenize whole texts and write them as a store, in ascending doc_id order."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_bytes().alias("text"), F.xxhash64("text").alias("h"))
     dealt = rows.repartitionByRange("doc_id", "h").sortWithinPartitions("doc_id", "h").select("doc_id", "text")
-    dealt.mapInArrow(_segments(tokenizer, end_id), STORE).write.option("compression", "zstd").parquet(store)
+    dealt.mapInArrow(_segments(tokenizer, end_id), STORE).write.option("compression", "none").option("parquet.page.size", 1 << 17).option("parquet.enable.dictionary", "false").parquet(store)
 
 
 def read_store(spark: SparkSession, store: str) -> DataFrame:
@@ -228,16 +245,22 @@ def read_ids(spark: SparkSession, store: str) -> DataFrame:
     return read_store(spark, store).select("doc_ids", "doc_ends", "levels", "bitmaps").mapInArrow(_ids, "doc_id long, ids array<long>")
 
 
-def tokens_at(spark: SparkSession, store: str, positions: list[int]) -> dict[int, int]:
-    """The ids at a short list of global positions. Only the segments that hold them are read, and no block of them is decoded."""
-    out = {}
+@F.arrow_udf(T.LongType())
+def _one(levels: pa.Array, bitmaps: pa.Array, ranks: pa.Array, at: pa.Array) -> pa.Array:
+    return pa.array([dac_get(l.as_py(), b.as_py(), r.as_py(), i.as_py()) for l, b, r, i in zip(levels, bitmaps, ranks, at)], pa.int64())
+
+
+def tokens_at(spark: SparkSession, store: str, positions: DataFrame) -> DataFrame:
+    """(pos) -> pos, id: the ids at global positions, which may be many. No block is decoded; a position outside the store has no row.
+
+    Segments are found by steps of the directory's mean size: each is filed under the steps it touches, so that a position meets few.
+    """
     where = directory(spark, store)
-    for pos in positions:
-        found = where.where((F.col("seg_start") <= pos) & (F.col("seg_start") + F.col("n_tokens") > pos)).first()
-        if found:
-            row = read_store(spark, store).where((F.col("shard") == found.shard) & (F.col("seg") == found.seg)).select("levels", "bitmaps", "ranks").first()
-            out[pos] = dac_get(row.levels, row.bitmaps, row.ranks, pos - found.seg_start)
-    return out
+    step = where.agg(F.greatest(F.avg("n_tokens"), F.lit(1.0)).cast("long")).first()[0] or 1
+    filed = where.select("shard", "seg", "seg_start", "n_tokens", F.explode(F.sequence(F.floor(F.col("seg_start") / step), F.floor((F.col("seg_start") + F.col("n_tokens") - 1) / step))).alias("step"))
+    found = positions.select("pos", F.floor(F.col("pos") / step).alias("step")).join(filed, "step").where((F.col("pos") >= F.col("seg_start")) & (F.col("pos") < F.col("seg_start") + F.col("n_tokens")))
+    found = found.select("pos", "shard", "seg", (F.col("pos") - F.col("seg_start")).cast("long").alias("at"))
+    return found.join(read_store(spark, store).select("shard", "seg", "levels", "bitmaps", "ranks"), ["shard", "seg"]).select("pos", _one("levels", "bitmaps", "ranks", "at").alias("id"))
 
 
 def tokenize_and_read(docs: DataFrame, tokenizer: str, end_id: int = 2) -> DataFrame:
