@@ -181,7 +181,46 @@ def test_small_and_deep_sections_are_judged_by_their_own_labels(spark):
 def test_texts_without_letters_take_no_share_of_the_teachers(spark):
     empty = spark.range(100_000, 150_000).select(F.col("id").alias("doc_id"), F.lit(None).cast("string").alias("text"), F.lit("aa").alias("lang"))
     texts = spark.range(200).select(F.col("id").alias("doc_id"), F.when(F.col("id") < 100, "saluton amiko").otherwise("good morning friend").alias("text"), F.when(F.col("id") < 100, "aa").otherwise("bb").alias("lang"))
-    assert set(language.fit(empty.unionByName(texts), per_lang=20).langs) == {"aa", "bb"}
+    assert {l for m in language.fit(empty.unionByName(texts), per_lang=20) for l in m.langs} == {"aa", "bb"}
+
+
+def test_groups_of_languages_and_their_vectors(spark, monkeypatch):
+    """The prediction in groups equals that in one group, and the cosine that of dictionaries of trigrams."""
+    docs = spark.read.parquet(f"{D.replace('sf0.01', 'sf0.001')}/documents.parquet").select("doc_id", "text", "lang")
+    whole = {r.doc_id: (r.lang_pred, round(r.score, 5)) for r in language.identify(docs).collect()}
+    monkeypatch.setattr(language, "GROUP", 1)
+    assert {r.doc_id: (r.lang_pred, round(r.score, 5)) for r in language.identify(docs).collect()} == whole
+    model = language.fit(docs)[0]
+    for text in (b"Hello, World 42", b"a", "äöü".encode()):
+        raw = b" " + bytes(b + 32 if 65 <= b <= 90 else b if 97 <= b <= 122 or b > 127 else 32 for b in text) + b" "
+        tf = Counter(((raw[i] << 16 | raw[i + 1] << 8 | raw[i + 2]) * 2654435761 % 2**32 >> 20) % language.DIMS for i in range(len(raw) - 2))
+        v = {k: (1 + math.log(n)) * float(model.idf[k]) for k, n in tf.items()}
+        norm = math.sqrt(sum(x * x for x in v.values()))
+        best = max(sum(x / norm * float(c[k]) for k, x in v.items()) for c in model.c)
+        assert model.nearest([text])[1][0] == pytest.approx(best, abs=1e-4)
+
+
+def test_memory_of_short_texts_and_repeated_grams():
+    """Ten thousand short texts, and a passage and a document that repeat one gram, stay within 300 MB."""
+    import tracemalloc
+
+    model = language.Centroids(np.ones(language.DIMS, np.float32), ["aa"], np.ones((1, language.DIMS), np.float32), np.zeros(1))
+    texts = [b"short one"] * 10_000
+    tracemalloc.start()
+    assert sum(len(model.nearest(texts[i:j])[0]) for i, j in language.slices(texts)) == len(texts)
+    assert tracemalloc.get_traced_memory()[1] < 100 << 20
+    tracemalloc.reset_peak()
+    block = decontamination.Passages([(1, b"ha " * 130 + b"x"), (2, b"ha " * 130)], 0.05)
+    found = block.find([b"ha " * 100_000])[0]
+    assert {h["item_id"] for h in found} >= {2} and tracemalloc.get_traced_memory()[1] < 300 << 20
+    tracemalloc.stop()
+
+
+def test_rules_beyond_those_compiled(spark, monkeypatch):
+    df = spark.createDataFrame([(u,) for u in ("http://a.example.com/en/7x", "http://b.com/en/1", "http://x.net/de/8", "http://example.net/de/8", "http://com/en/", "https://q.org/es", None, "http://x.com./en/")], "url string")
+    want = [(r.rule, r.verdict) for r in urls.judge_urls(df).collect()]
+    monkeypatch.setattr(urls, "COMPILED", 0)
+    assert sorted([(r.rule, r.verdict) for r in urls.judge_urls(df).collect()], key=str) == sorted(want, key=str) and ("example.com/en/7", "allow") in want
 
 
 def edit_distance(a, b):

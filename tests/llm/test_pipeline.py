@@ -1,5 +1,7 @@
 """The pipeline against brute force, and its stages on clashing columns."""
 
+import zlib
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -10,12 +12,16 @@ from trieaccess.llm import decontamination, mixing, simhash, tokens, toxicity
 D = "/root/testdata/sf0.001"
 
 
-def close_groups(fps):
+def close_groups(fps, rule=simhash.EXACT, more=None):
     """Component of each fingerprint by comparing all pairs."""
     fps = np.unique(np.array(fps, np.uint64))
+    more = np.array([more[int(f)] if more else 0 for f in fps])
     root = np.arange(len(fps))
     for i, f in enumerate(fps):
-        for j in np.flatnonzero(np.bitwise_count(fps ^ f) <= 4):
+        ok = np.bitwise_count(fps ^ f) <= rule.radius
+        if rule.check is not None:
+            ok &= np.bitwise_count(more ^ more[i]) <= rule.check
+        for j in np.flatnonzero(ok):
             a, b = root[i], root[j]
             root[root == max(a, b)] = min(a, b)
     return {int(f): int(r) for f, r in zip(fps, root)}
@@ -36,8 +42,12 @@ def test_stages(spark):
         margin = fm.bias + sum(fm.w[a] for a in at) + pairs
         assert (1 / (1 + np.exp(-margin)) < 0.3) == (i in ids)
     single = P.drop_near_copies(spark, clean, D)
-    fp = {i: simhash.simhash(simhash.shingle_hashes(seen[i].encode())) for i in ids}
-    group = close_groups(list(fp.values()))
+    h = {i: simhash.shingle_hashes(seen[i].encode(), 5) for i in ids}
+    fp, more = {i: simhash.simhash(x) for i, x in h.items()}, {}
+    for i, x in h.items():
+        second = simhash.simhash(simhash.second_hash(x)) & 0xFFFFFFFF
+        more[fp[i]] = min(more.get(fp[i], second), second)
+    group = close_groups(list(fp.values()), simhash.CORPUS, more)
     best = {}
     for i in sorted(ids):
         best.setdefault(group[fp[i]], i)
@@ -91,12 +101,61 @@ def test_store(spark):
         flat += [*tk.encode(r.text, add_special_tokens=False).ids, 2]
     assert {r.doc_id: r.ids for r in tokens.read_ids(spark, store).collect()}[0] == [*tk.encode(docs.where("doc_id = 0").first().text, add_special_tokens=False).ids, 2]
     at = [0, 1, 777, len(flat) // 2, len(flat) - 1, len(flat)]
-    got = tokens.tokens_at(spark, store, at)
-    assert got == {p: flat[p] for p in at[:-1]}
+    got = tokens.tokens_at(spark, store, spark.createDataFrame([(p,) for p in at], "pos long"))
+    assert {r.pos: r.id for r in got.collect()} == {p: flat[p] for p in at[:-1]}
+
+
+def test_token_query_by_the_library(spark):
+    """start, n_tokens and ids_crc32 of every document against the tokenizer itself."""
+    from tokenizers import Tokenizer
+
+    docs = spark.read.parquet(f"{D}/documents.parquet")
+    tk, start = Tokenizer.from_file(tokens.public_vocabulary()), 0
+    got = {r.doc_id: r for r in tokens.tokenize_and_read(docs, tokens.public_vocabulary()).collect()}
+    for r in docs.orderBy("doc_id").collect():
+        ids = [*tk.encode(r.text or "", add_special_tokens=False).ids, 2]
+        assert (got[r.doc_id].start, got[r.doc_id].n_tokens, got[r.doc_id].ids_crc32) == (start, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
+        start += len(ids)
+
 
+def test_another_vocabulary_under_the_same_name(tmp_path):
+    """The steps done here are chosen by the vocabulary's fields, not by its name."""
+    import shutil
+
+    from tokenizers import Tokenizer
 
-@pytest.mark.parametrize("wide", [2, 5, 4096])
-def test_links(spark, wide):
+    path = str(tmp_path / "word_bpe_49k.json")
+    shutil.copy(tokens.public_vocabulary("byte_bpe_50k.json"), path)
+    assert tokens.plain_pipeline(tokens.public_vocabulary()) and not tokens.plain_pipeline(path)
+    got = np.frombuffer(tokens.WordTokenizer(path, 2)([b"Word"])[0], "<u4").tolist()
+    assert got == [*Tokenizer.from_file(path).encode("Word", add_special_tokens=False).ids, 2]
+
+
+EDGE = [(1, "a b c d e f", "en", "s", 11), (1, "a b c d e f", "en", "s", 11), (None, "q w e r t", "en", None, 9), (2, None, None, "s", None), (3, "", "en", "s", 0), (4, "x " * 50_000, None, "t", 100_000)]
+
+
+@pytest.mark.parametrize("name,stage", P.STAGES)
+def test_stage_edges(spark, name, stage):
+    """Nulls, repeats, long texts, clashing names, empty tables: each stage keeps its contract."""
+    names = ["key", "row", "mark", "fp", "root", "kept", "_kept", "_row", "_keep", "src", "u", "size", "epochs", "extra", "hits", "id", "task", "salt", "s", "own"]
+    docs = spark.createDataFrame(EDGE, "doc_id long, text string, lang string, source string, n_chars long").select("*", *[F.lit(i).alias(c) for i, c in enumerate(names)])
+    out, none = stage(spark, docs, D), stage(spark, docs.where("false"), D)
+    assert none.count() == 0
+    rows = out.collect()
+    if stage is P.write_tokens:
+        assert len(rows) == len(EDGE) and set(out.columns) >= {"doc_id", "start", "n_tokens", "ids_crc32"}
+        return
+    assert out.columns == docs.columns and none.columns == docs.columns
+    assert all(r[c] == i for r in rows for i, c in enumerate(names))
+    texts = {(r.doc_id, r.text) for r in rows}
+    if stage is P.drop_near_copies:
+        assert len(rows) == 4 and texts == {(1, EDGE[0][1]), (None, EDGE[2][1]), (2, None), (4, EDGE[5][1])}
+    elif stage is not P.mix_sources:
+        assert len(rows) == len(EDGE)
+
+
+@pytest.mark.parametrize("wide,rule", [(2, simhash.EXACT), (5, simhash.EXACT), (4096, simhash.EXACT), (3, simhash.Rule(5, 3, 6, 9)), (4096, simhash.CORPUS)], ids=str)
+def test_links(spark, wide, rule):
     """Dense balls, chains and hot buckets: the links connect exactly what all close pairs would."""
     from trieaccess.llm.common import Scratch
 
@@ -104,8 +163,9 @@ def test_links(spark, wide):
     base = rng.integers(0, 2**63, 6, dtype=np.uint64)
     fps = [int(b) ^ (1 << int(i)) ^ (1 << int(j)) for b in base for i, j in rng.integers(0, 64, (60, 2))] + [int(x) for x in rng.integers(0, 2**63, 200, dtype=np.uint64)] + [0, 1, 2**63]
     fps = sorted(set(fps))
-    df = spark.createDataFrame([(int(np.uint64(f).view(np.int64)),) for f in fps], "fp long")
-    edges = [(int(np.int64(r.a).view(np.uint64)), int(np.int64(r.b).view(np.uint64))) for r in simhash.links(df, Scratch(spark, "t"), wide).collect()]
+    more = {f: int(rng.integers(0, 1 << 12)) if rule.check is not None else 0 for f in fps}
+    df = spark.createDataFrame([(int(np.uint64(f).view(np.int64)), more[f]) for f in fps], "fp long, more long")
+    edges = [(int(np.int64(r.a).view(np.uint64)), int(np.int64(r.b).view(np.uint64))) for r in simhash.links(df, Scratch(spark, "t"), wide, rule).collect()]
     root = {f: f for f in fps}
 
     def top(x):
@@ -115,7 +175,7 @@ def test_links(spark, wide):
 
     for a, b in edges:
         root[max(top(a), top(b))] = min(top(a), top(b))
-    want, mine = close_groups(fps), {}
+    want, mine = close_groups(fps, rule, more), {}
     for f in fps:
         assert mine.setdefault(top(f), want[f]) == want[f]
     assert len({top(f) for f in fps}) == len(set(want.values()))

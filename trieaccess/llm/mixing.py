@@ -113,6 +113,18 @@ def cuts(sized: DataFrame, targets: DataFrame, bins: DataFrame, n_sources: int,
         {"cut_u": SPAN, "cut_size": 0, "cut_take": 0}), "cuts")
 
 
+def first_rows(rows: DataFrame) -> DataFrame:
+    """Written rows (src, cut_take, id, ...) -> + extra: 1 for `cut_take` rows of each source. They are numbered within the task that wrote them, and
+    these numbers are moved on by the counts of the tasks before, so that equal rows of one source are never in one task."""
+    task = F.shiftright("id", 33)
+    counts = rows.groupBy("src", task.alias("task")).agg(F.count(F.lit(1)).alias("n"))
+    before = F.coalesce(F.sum("n").over(W.Window.partitionBy("src").orderBy("task").rowsBetween(W.Window.unboundedPreceding, -1)), F.lit(0))
+    counts = counts.select(F.col("src").alias("_src"), F.col("task").alias("_task"), before.alias("before"))
+    own = rows.withColumn("task", task).withColumn("no", F.row_number().over(W.Window.partitionBy("src", "task").orderBy("id")))
+    own = own.join(counts, F.col("src").eqNullSafe(F.col("_src")) & (F.col("task") == F.col("_task")))
+    return own.withColumn("extra", (F.col("no") + F.col("before") <= F.col("cut_take")).cast("long")).drop("task", "no", "before", "id", "_src", "_task")
+
+
 def mix(docs: DataFrame, max_epochs: int = 3, weights: tuple[int, ...] = (1, 2, 3), seed: int = 42,
         keep: tuple[str, ...] = (), scratch: Scratch | None = None) -> DataFrame:
     """One row per input row: doc_id, source, size, source_size, target, epochs (times taken), taken (words); with `keep`, those columns in a struct `_kept`."""
@@ -133,7 +145,7 @@ def mix(docs: DataFrame, max_epochs: int = 3, weights: tuple[int, ...] = (1, 2,
     if ends.where("cut_take > 0").isEmpty():
         out = rows.withColumn("extra", before.cast("long"))
     else:  # rows with one key and one size, some of them taken: only these are numbered
-        numbered = rows.where(at_cut).withColumn("extra", (F.row_number().over(W.Window.partitionBy("src").orderBy("doc_id")) <= F.col("cut_take")).cast("long"))
+        numbered = first_rows(scratch.save(rows.where(at_cut).withColumn("id", F.monotonically_increasing_id()), "at_cut"))
         out = rows.where(~at_cut).withColumn("extra", before.cast("long")).unionByName(numbered)
     return out.select(
         "doc_id", F.col("src").alias("source"), "size", "source_size", "target", (F.col("whole") + F.col("extra")).alias("epochs"),
