@@ -4,11 +4,13 @@ import os
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 from trieaccess import kernels as K
 from trieaccess.operators import access as A
 from trieaccess.operators import codec, hard
 from trieaccess.plans import core_queries, planner, relational_queries
+from trieaccess.sources import dealt
 
 D = "/root/testdata/sf0.001"
 QUERIES, SQL = core_queries.QUERIES | relational_queries.QUERIES, core_queries.SQL | relational_queries.SQL
@@ -75,16 +77,59 @@ def test_planner():
     assert planner.choose(10**6, 10**9, 10**9).strategy == "expand"
 
 
-def test_late_rows_and_serving(spark, tmp_path):
+def test_a_hot_segment_is_split(spark):
+    """One sequence, many requests: with salts its requests meet it in several groups, with the same answers."""
+    seqs = spark.createDataFrame([(1, "abcde" * 200), (2, "x")], "seq_id long, text string")
+    asks = spark.range(3000).select(F.col("id").alias("req_id"), F.lit(1).cast("long").alias("seq_id"), (F.col("id") % 1000 + 1).alias("l1"), F.least(F.col("id") % 1000 + 8, F.lit(1000)).alias("l2"))
+    store = codec.compress(codec.cut(seqs, 128), "dense", capacity=128)
+    got = {salts: sorted((r.req_id, r.value) for r in A.access(store, asks, 128, salts).collect()) for salts in (1, 7)}
+    assert got[1] == got[7] and all(v == ("abcde" * 200)[i % 1000 : min(i % 1000 + 8, 1000)] for i, v in got[7])
+
+
+@pytest.mark.parametrize("few,ranges", [(0, False), (10**6, False), (0, True)])
+def test_every_plan_gives_the_same(spark, few, ranges):
+    seqs = codec.sequences(spark.read.parquet(f"{D}/documents.parquet"), "doc_id")
+    asks = (A.range_requests if ranges else A.symbol_requests)(seqs, "seq_id")
+    segs = codec.cut(seqs, 1000)
+    got = {r.req_id: r.value for r in planner.planned_access(codec.compress(segs, "dense", capacity=1000), asks, 1000, segs, few).collect()}
+    texts = {r.seq_id: r.text for r in seqs.collect()}
+    assert got == {r.req_id: texts[r.seq_id][r.l1 - 1 : r.l2] for r in asks.collect()}
+    assert planner.explain_access(segs, asks, few).strategy == ("expand" if ranges and planner.explain_access(segs, asks, few).strategy == "expand" else "point" if few else "kernel")
+
+
+def test_dealing_a_scan(spark):
+    scan = spark.read.parquet(f"{D}/documents.parquet")
+    assert scan.rdd.getNumPartitions() < 4 and dealt(scan, "doc_id").rdd.getNumPartitions() == 8
+    many = scan.repartition(9)
+    assert dealt(many, "doc_id") is many
+
+
+def test_late_rows_sealing_and_serving(spark, tmp_path):
     from trieaccess.streaming import compress_stream, replay, serve
 
-    rows = spark.createDataFrame([(1, i, t) for i, t in enumerate(["abab", "ababa", "ba", "bbab"])], "k long, at int, text string")
-    out = replay(spark, rows, lambda s: compress_stream(s, "k", "at", "text"), str(tmp_path))
+    rows = [(1, 0, "abab", 0), (1, 1, "ababa", 1), (1, 0, "late", 2), (1, 2, "ba", 2), (1, 3, "bbab", 2), (2, 5, "xyxyx", 0), (2, 6, None, 1), (2, 7, "xy", 2), (None, 0, "q", 0)]
+    df = spark.createDataFrame(rows, "k long, at int, text string, no int")
+    out = replay(spark, df, lambda s: compress_stream(s, "k", "at", "text", "dense", 64), str(tmp_path), 3, "no")
+    got = [r for r in out.collect()]
+    assert [r.seq_id for r in got if r.phrase_no == -1] == [1]  # the late row, and nothing of it
     want = K.base_parse(K.to_symbols("abababababa" + "bbab"))
-    got = sorted((r.phrase_no, r.parent_no) for r in out.collect())
-    assert got == [(i, int(want.parent[i])) for i in range(1, len(got) + 1)] and len(got) >= want.m - 1
-    asks = spark.createDataFrame([(1, 1, 6, 6)], "req_id long, seq_id long, l1 long, l2 long")
-    assert serve(asks, out).first().value == "b"
+    one = sorted((r.phrase_no, r.parent_no) for r in got if r.seq_id == 1 and r.phrase_no > 0)
+    assert one == [(i, int(want.parent[i])) for i in range(1, len(one) + 1)] and len(one) >= want.m - 1
+    assert sum(r.depth for r in got if r.seq_id == 2 and r.seg_no == 0) == 5 and {r.seg_no for r in got if r.seq_id == 2} == {0, 1}
+    assert [r.symbol for r in got if r.seq_id is None] == [ord("q")]
+    asks = spark.createDataFrame([(1, 1, 6), (2, 1, 12), (3, 1, 14), (4, 9, 1)], "req_id long, seq_id long, l1 long")
+    assert {r.req_id: r.value for r in serve(asks, out, 64).collect()} == {1: "b", 2: "b", 3: None, 4: None}  # position 14 is in the open phrase
+
+
+def test_an_idle_segment_is_sealed():
+    from trieaccess.streaming.online import Segment
+
+    seg = Segment(3, 16, 0.1, 8, 7)
+    first = seg.take(1, "ababa")
+    seg = Segment.load(seg.dump())
+    last = seg.seal()
+    assert sum(r[5] for r in first + last) == 5 and seg.no == 1 and seg.seal() == []
+    assert Segment.load(seg.dump()).take(2, "ab" * 10)[0][1] == 1
 
 
 def test_joined_documents_against_the_kernel(spark):
@@ -92,7 +137,7 @@ def test_joined_documents_against_the_kernel(spark):
     got = {r.source: (r.alone, r.joined) for r in core_queries.QUERIES["copies_gain"](spark, D).collect()}
     for source in {r.source for r in rows}:
         own = sorted((r.doc_id, r.text) for r in rows if r.source == source and r.text is not None)
-        parts = {i // 64: "".join(t for j, t in own if j // 64 == i // 64) for i, _ in own}
+        parts = {i // 64: "".join(t for j, t in own if j // 64 == i // 64) for i, _ in own}  # no part holds more than 64 rows here
         count = lambda t: K.base_parse(K.to_symbols(t)).m
         assert got[source] == (sum(count(t) for _, t in own), sum(map(count, parts.values())))
 
@@ -103,6 +148,9 @@ def test_groups_and_tokens_at_the_edges(spark):
     rows = spark.createDataFrame([("a", 0, "xy"), ("a", 70, "z"), (None, 1, "n"), ("b", 2, None), ("c", 3, ""), ("a", 0, "ab"), ("d", None, "q")], "k string, at int, text string")
     got = {(r.k, r.part): r.text for r in codec.compress_groups(rows, "k", "at").select("k", "part", expand_blob("blob").alias("text")).collect()}
     assert got == {("a", 0): "abxy", ("a", 1): "z", (None, 0): "n", ("c", 0): "", ("d", None): "q"}
+    hot = spark.range(500).select(F.lit("k").alias("k"), F.lit(None).cast("int").alias("at"), F.col("id").cast("string").alias("text"))
+    parts = codec.compress_groups(hot, "k", "at").select("n", expand_blob("blob").alias("text")).collect()
+    assert len(parts) > 4 and max(r.n for r in parts) < 500 and sum(r.n for r in parts) == sum(len(str(i)) for i in range(500))
     assert codec.compress_groups(rows.where("false"), "k", "at").count() == 0
     ids = [[], [0, 5, 0xD7FF, 0xD800, 1_112_063 - 0x800], None]
     df = spark.createDataFrame([(x,) for x in ids], "ids array<int>")

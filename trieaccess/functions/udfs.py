@@ -67,11 +67,6 @@ def size_of(text: Column, alpha: float = 1 / 40, grid: int | None = 40, seed: in
     return tx_size(text)
 
 
-def block(n: Column) -> Column:
-    """ceil(log2 n), at least 1: a built-in expression."""
-    return F.greatest(F.ceil(F.log2(n)), F.lit(1)).cast("int")
-
-
 class Codewords:
     def eval(self, text: str):
         if text is None:

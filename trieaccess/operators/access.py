@@ -1,16 +1,16 @@
 """Reading symbols and substrings of compressed sequences.
 
 Requests are (req_id, seq_id, l1, l2), 1-based and inclusive. With fixed-capacity segments the segment of a position is
-arithmetic, so routing is an equi-join on (seq_id, seg_no); requests of one segment travel as one array, split by `salts`
-where a segment is hot. Requests outside the sequence, or for none, have a null value and status 'invalid'.
+arithmetic, so routing is an equi-join on (seq_id, seg_no); requests of one segment travel as one array. With `salts` they are split into that many
+arrays, and the segment is sent to each of them. Relational ways to locate and climb work within segments too: positions, phrase numbers and
+starts are those of a segment. Requests outside the sequence, or for none, have a null value and status 'invalid'.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
+import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -26,9 +26,10 @@ def read_pieces(blobs: pa.Array, wanted: pa.Array) -> pa.Array:
     """For each segment, the pieces of its requests and the codewords each one touched."""
     out = []
     for blob, asks in zip(blobs, wanted):
-        store, alphabet = K.open_store(blob.as_py())
+        asks = asks.as_py()
+        store, alphabet = K.open_store(blob.as_py(), len(asks))
         rows = []
-        for q in asks.as_py():
+        for q in asks:
             if q["a"] == q["b"]:
                 symbol, r = store.symbol(q["a"])
                 symbols = [symbol]
@@ -51,59 +52,78 @@ def route(requests: DataFrame, heads: DataFrame, capacity: int) -> DataFrame:
 
 def access(store: DataFrame, requests: DataFrame, capacity: int = K.MAX_SYMBOLS, salts: int = 1, heads: DataFrame | None = None) -> DataFrame:
     """req_id, value, status, and the codewords read in each phase. A store that is still a plan rather than files is read once if `heads` is given."""
-    asked = route(requests, store if heads is None else heads, capacity).groupBy("seq_id", "seg_no", F.pmod("req_id", F.lit(salts)).alias("salt")).agg(F.collect_list(F.struct("req_id", "a", "b")).alias("asks"))
-    read = asked.join(store.select("seq_id", "seg_no", "blob"), ["seq_id", "seg_no"]).select("seg_no", read_pieces("blob", "asks").alias("got")).select("seg_no", F.inline("got"))
+    salt = F.pmod(F.xxhash64("req_id"), F.lit(salts)).cast("int")
+    asked = route(requests, store if heads is None else heads, capacity).groupBy("seq_id", "seg_no", salt.alias("salt")).agg(F.collect_list(F.struct("req_id", "a", "b")).alias("asks"))
+    held = store.select("seq_id", "seg_no", "blob", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt"))
+    read = asked.join(held, ["seq_id", "seg_no", "salt"]).select("seg_no", read_pieces("blob", "asks").alias("got")).select("seg_no", F.inline("got"))
     whole = read.groupBy("req_id").agg(
         F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("seg_no", "piece"))), lambda s: s["piece"]), "").alias("value"), *[F.sum(h).alias(h) for h in _HOPS])
     return requests.select("req_id").join(whole, "req_id", "left").select("req_id", "value", F.when(F.col("value").isNull(), "invalid").otherwise("ok").alias("status"), *_HOPS)
 
 
-def access_by_full_expand(store: DataFrame, requests: DataFrame) -> DataFrame:
-    """The baseline: decompress everything, then index."""
-    from .codec import expand
+def access_by_full_expand(store: DataFrame, requests: DataFrame, capacity: int = K.MAX_SYMBOLS, heads: DataFrame | None = None) -> DataFrame:
+    """The baseline: decompress everything, then index. Segments stay rows: no sequence is put together."""
+    from .codec import expand_segments
+
+    asked = route(requests, store if heads is None else heads, capacity)
+    got = asked.join(expand_segments(store), ["seq_id", "seg_no"]).select("req_id", "seg_no", F.substring("text", F.col("a"), F.col("b") - F.col("a") + 1).alias("piece"))
+    whole = got.groupBy("req_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("seg_no", "piece"))), lambda s: s["piece"]), "").alias("value"))
+    return requests.select("req_id").join(whole, "req_id", "left")
+
 
-    texts = expand(store)
-    ok = F.expr("l1 >= 1 AND l1 <= l2 AND l2 <= length(text)")
-    return requests.join(texts, "seq_id", "left").select("req_id", F.when(ok, F.substring("text", F.col("l1"), F.col("l2") - F.col("l1") + 1)).alias("value"))
+SEGMENT = ["seq_id", "seg_no"]
+LOCATED = ("req_id", *SEGMENT, "at", "phrase_no", "start_pos", "depth")
 
 
-def starts(phrases: DataFrame) -> DataFrame:
-    return phrases.select("seq_id", F.col("start_pos").alias("pos"), "phrase_no", "depth")
+def positions(requests: DataFrame, capacity: int) -> DataFrame:
+    """req_id, seq_id, seg_no, at: single positions within their segments."""
+    seg = F.floor((F.col("l1") - 1) / capacity).cast("int")
+    return requests.select("req_id", "seq_id", seg.alias("seg_no"), (F.col("l1") - seg.cast("long") * capacity).alias("at"))
 
 
-def locate_asof(phrases: DataFrame, requests: DataFrame) -> DataFrame:
-    """As-of: the last phrase start at or before the position, by one sort per sequence."""
+def locate_asof(phrases: DataFrame, requests: DataFrame, capacity: int = K.MAX_SYMBOLS) -> DataFrame:
+    """As-of: the last phrase start at or before the position, by one sort per segment."""
     from pyspark.sql import Window
 
-    marks = starts(phrases).select("seq_id", "pos", F.lit(0).alias("tag"), F.lit(None).cast("long").alias("req_id"), F.struct("phrase_no", "pos", "depth").alias("at"))
-    asks = requests.select("seq_id", F.col("l1").alias("pos"), F.lit(1).alias("tag"), "req_id", F.lit(None).cast(marks.schema["at"].dataType).alias("at"))
-    w = Window.partitionBy("seq_id").orderBy("pos", "tag").rowsBetween(Window.unboundedPreceding, 0)
-    found = marks.unionByName(asks).withColumn("hit", F.last("at", ignorenulls=True).over(w)).where("tag = 1")
-    return found.select("req_id", "seq_id", F.col("pos").alias("l1"), F.col("hit.phrase_no").alias("phrase_no"), F.col("hit.pos").alias("start_pos"), F.col("hit.depth").alias("depth"))
+    marks = phrases.select(*SEGMENT, F.col("start_pos").alias("at"), F.lit(0).alias("tag"), F.lit(None).cast("long").alias("req_id"), F.struct("phrase_no", F.col("start_pos").alias("pos"), "depth").alias("hit"))
+    asks = positions(requests, capacity).select(*SEGMENT, "at", F.lit(1).alias("tag"), "req_id", F.lit(None).cast(marks.schema["hit"].dataType).alias("hit"))
+    w = Window.partitionBy(*SEGMENT).orderBy("at", "tag").rowsBetween(Window.unboundedPreceding, 0)
+    found = marks.unionByName(asks).withColumn("last", F.last("hit", ignorenulls=True).over(w)).where("tag = 1 AND at < last.pos + last.depth")
+    return found.select("req_id", *SEGMENT, "at", F.col("last.phrase_no").alias("phrase_no"), F.col("last.pos").alias("start_pos"), F.col("last.depth").alias("depth"))
+
+
+def rank_directory(phrases: DataFrame, block: int = K.RankSelect.BLOCK) -> DataFrame:
+    """seq_id, seg_no, block, inside: one row for each block of positions, with the phrases that touch it in order."""
+    first, last = F.floor((F.col("start_pos") - 1) / block), F.floor((F.col("start_pos") + F.col("depth") - 2) / block)
+    touched = phrases.select(*SEGMENT, F.explode(F.sequence(first, last)).alias("block"), "start_pos", "phrase_no", "depth")
+    return touched.groupBy(*SEGMENT, "block").agg(F.array_sort(F.collect_list(F.struct("start_pos", "phrase_no", "depth"))).alias("inside"))  # at most `block` phrases
 
 
-def locate_rank(phrases: DataFrame, requests: DataFrame) -> DataFrame:
-    """Preprocessed: one row a position, then an equi-join."""
-    by_pos = starts(phrases).select("seq_id", "phrase_no", F.col("pos").alias("start_pos"), "depth", F.explode(F.sequence(F.col("pos"), F.col("pos") + F.col("depth") - 1)).alias("l1"))
-    return requests.select("req_id", "seq_id", "l1").join(by_pos, ["seq_id", "l1"]).select("req_id", "seq_id", "l1", "phrase_no", "start_pos", "depth")
+def locate_rank(phrases: DataFrame, requests: DataFrame, capacity: int = K.MAX_SYMBOLS, block: int = K.RankSelect.BLOCK) -> DataFrame:
+    """Preprocessed: an equi-join with the directory of blocks, then the last start in the block that is not behind the position."""
+    asks = positions(requests, capacity).withColumn("block", F.floor((F.col("at") - 1) / block))
+    met = asks.join(rank_directory(phrases, block), [*SEGMENT, "block"])
+    hit = F.element_at(F.filter("inside", lambda x: x["start_pos"] <= F.col("at")), -1)
+    found = met.where(F.exists("inside", lambda x: (x["start_pos"] <= F.col("at")) & (F.col("at") < x["start_pos"] + x["depth"])))
+    return found.select("req_id", *SEGMENT, "at", hit.alias("hit")).select("req_id", *SEGMENT, "at", "hit.phrase_no", "hit.start_pos", "hit.depth")
 
 
-def locate_scan(phrases: DataFrame, requests: DataFrame) -> DataFrame:
-    """As unmodified codewords force: running sums of the depths, then a range condition within the sequence."""
+def locate_scan(phrases: DataFrame, requests: DataFrame, capacity: int = K.MAX_SYMBOLS) -> DataFrame:
+    """As unmodified codewords force: running sums of the depths, then a range condition within the segment."""
     from pyspark.sql import Window
 
-    w = Window.partitionBy("seq_id").orderBy("phrase_no").rowsBetween(Window.unboundedPreceding, 0)
-    ends = phrases.select("seq_id", "phrase_no", "depth", F.sum("depth").over(w).alias("end"))
-    hit = requests.select("req_id", "seq_id", "l1").join(ends, "seq_id").where("l1 <= end AND l1 > end - depth")
-    return hit.select("req_id", "seq_id", "l1", "phrase_no", (F.col("end") - F.col("depth") + 1).alias("start_pos"), "depth")
+    w = Window.partitionBy(*SEGMENT).orderBy("phrase_no").rowsBetween(Window.unboundedPreceding, 0)
+    ends = phrases.select(*SEGMENT, "phrase_no", "depth", F.sum("depth").over(w).alias("end"))
+    hit = positions(requests, capacity).join(ends, SEGMENT).where("at <= end AND at > end - depth")
+    return hit.select("req_id", *SEGMENT, "at", "phrase_no", (F.col("end") - F.col("depth") + 1).alias("start_pos"), "depth")
 
 
 def climb_by_prefix(located: DataFrame, strings: DataFrame) -> DataFrame:
-    """Level ancestors by one equi-join: the ancestor of depth g is the phrase that equals the first g symbols."""
-    first = strings.groupBy("seq_id", "phrase").agg(F.min("phrase_no").alias("hit_no"), F.max("symbol").alias("symbol"))
-    own = strings.select("seq_id", "phrase_no", F.col("phrase").alias("own"))
-    want = located.join(own, ["seq_id", "phrase_no"]).withColumn("phrase", F.substring("own", F.lit(1), F.col("l1") - F.col("start_pos") + 1))
-    return want.join(first, ["seq_id", "phrase"]).select("req_id", F.col("hit_no").alias("phrase_no"), F.char("symbol").alias("value"))
+    """Level ancestors by one equi-join: the ancestor of depth g is the phrase of its segment that equals the first g symbols."""
+    first = strings.groupBy(*SEGMENT, "phrase").agg(F.min("phrase_no").alias("hit_no"), F.max("symbol").alias("symbol"))
+    own = strings.select(*SEGMENT, "phrase_no", F.col("phrase").alias("own"))
+    want = located.join(own, [*SEGMENT, "phrase_no"]).withColumn("phrase", F.substring("own", F.lit(1), F.col("at") - F.col("start_pos") + 1))
+    return want.join(first, [*SEGMENT, "phrase"]).select("req_id", F.col("hit_no").alias("phrase_no"), F.char("symbol").alias("value"))
 
 
 def climb_recursive(phrases: DataFrame, located: DataFrame) -> DataFrame:
@@ -112,11 +132,49 @@ def climb_recursive(phrases: DataFrame, located: DataFrame) -> DataFrame:
     phrases.createOrReplaceTempView("_phr")
     located.createOrReplaceTempView("_loc")
     return spark.sql("""
-        WITH RECURSIVE up(req_id, seq_id, no, lift) MAX RECURSION LEVEL 10000 AS (
-            SELECT req_id, seq_id, phrase_no, depth - (l1 - start_pos + 1) FROM _loc
+        WITH RECURSIVE up(req_id, seq_id, seg_no, no, lift) MAX RECURSION LEVEL 10000 AS (
+            SELECT req_id, seq_id, seg_no, phrase_no, depth - (at - start_pos + 1) FROM _loc
             UNION ALL
-            SELECT u.req_id, u.seq_id, p.parent_no, u.lift - 1 FROM up u JOIN _phr p ON u.seq_id = p.seq_id AND u.no = p.phrase_no WHERE u.lift > 0)
-        SELECT u.req_id, u.no AS phrase_no, char(p.symbol) AS value FROM up u JOIN _phr p ON u.seq_id = p.seq_id AND u.no = p.phrase_no WHERE u.lift = 0""")
+            SELECT u.req_id, u.seq_id, u.seg_no, p.parent_no, u.lift - 1 FROM up u JOIN _phr p ON u.seq_id = p.seq_id AND u.seg_no = p.seg_no AND u.no = p.phrase_no WHERE u.lift > 0)
+        SELECT u.req_id, u.no AS phrase_no, char(p.symbol) AS value FROM up u JOIN _phr p ON u.seq_id = p.seq_id AND u.seg_no = p.seg_no AND u.no = p.phrase_no WHERE u.lift = 0""")
+
+
+def access_preprocessed(segs: DataFrame, requests: DataFrame, capacity: int = K.MAX_SYMBOLS) -> DataFrame:
+    """req_id, value of single positions by rank/select and level-ancestor tables, built for the segments that are asked for; all requests of a segment step together."""
+
+    def run(keys: tuple, held: pa.Table, asks: pa.Table) -> pa.Table:
+        ids, values = asks.column("req_id").to_numpy(), np.zeros(0, np.int64)
+        if held.num_rows and len(ids):
+            p, pos = K.base_parse(K.to_symbols(held.column("text")[0].as_py())), asks.column("at").to_numpy()
+            ids, pos = ids[(pos >= 1) & (pos <= p.n)], pos[(pos >= 1) & (pos <= p.n)]
+            if len(pos):
+                t = K.RankSelect(p.start[1:], p.n).locate(pos)
+                values = p.symbol[K.LevelAncestor(p.parent, int(p.depth.max())).climb(t, p.depth[t] - (pos - p.start[t] + 1))]
+        return pa.table({"req_id": pa.array(ids[: len(values)], pa.int64()), "value": pa.array(list(map(chr, values)), pa.string())})
+
+    asks = positions(requests, capacity)
+    asked = asks.groupBy(*SEGMENT)
+    return segs.select(*SEGMENT, "text").join(asks.select(*SEGMENT).distinct(), SEGMENT, "left_semi").groupBy(*SEGMENT).cogroup(asked).applyInArrow(run, "req_id long, value string")
+
+
+def access_codewords(phrases: DataFrame, requests: DataFrame, capacity: int = K.MAX_SYMBOLS) -> DataFrame:
+    """req_id, value (null where it is not there yet) of single positions, read from dense codewords that are rows (start_pos, jump_no, ...) by the dense scheme's own
+    binary search and guarded climb; the segments asked for are read, one in memory at a time."""
+
+    def run(keys: tuple, held: pa.Table, asks: pa.Table) -> pa.Table:
+        got = []
+        if held.num_rows and asks.num_rows:
+            held = held.sort_by("phrase_no")
+            parent, symbol, start, jump, depth = (held.column(c).fill_null(-1).to_numpy().astype(np.int64) for c in ("parent_no", "symbol", "start_pos", "jump_no", "depth"))
+            n = int(start[-1] + depth[-1] - 1)
+            store = K.dense_store(parent, symbol, start, jump, n, K.block_size(capacity))
+            got = [(i, chr(store.symbol(at)[0])) for i, at in zip(asks.column("req_id").to_pylist(), asks.column("at").to_pylist()) if 1 <= at <= n]
+        return pa.table({"req_id": pa.array([g[0] for g in got], pa.int64()), "value": pa.array([g[1] for g in got], pa.string())})
+
+    asks = positions(requests, capacity)
+    held = phrases.select(*SEGMENT, "phrase_no", "parent_no", "symbol", "start_pos", "jump_no", "depth").join(asks.select(*SEGMENT).distinct(), SEGMENT, "left_semi")
+    found = held.groupBy(*SEGMENT).cogroup(asks.groupBy(*SEGMENT)).applyInArrow(run, "req_id long, value string")
+    return requests.select("req_id").join(found, "req_id", "left")
 
 
 def symbol_requests(df: DataFrame, id_col: str, text_col: str = "text", per: int = 10) -> DataFrame:

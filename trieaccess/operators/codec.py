@@ -1,7 +1,7 @@
 """Compressing sequences: relations of codewords, packed stores, and back.
 
 The unit of work is a segment, a slice of at most `capacity` symbols with a trie of its own, so parsing is a narrow map: no
-shuffle, one segment in memory. Null texts give no rows; an empty text is one segment without codewords.
+shuffle, one segment in memory. Whoever reads few files deals their rows first (`sources.dealt`). Null texts give no rows; an empty text is one segment without codewords.
 """
 
 from __future__ import annotations
@@ -24,17 +24,6 @@ def sequences(df: DataFrame, id_col: str, text_col: str = "text") -> DataFrame:
     return df.select(F.col(id_col).cast("long").alias("seq_id"), F.col(text_col).alias("text"))
 
 
-SPREAD_BYTES = 1 << 30
-
-
-def spread(rows: DataFrame, *keys: str) -> DataFrame:
-    """Deals a small input over all cores: its few row groups would keep the rest idle. A larger one is split by its files and stays where it is read."""
-    plan = rows._jdf.queryExecution().optimizedPlan()
-    if int(str(plan.stats().sizeInBytes())) >= SPREAD_BYTES:
-        return rows
-    return rows.repartition(2 * rows.sparkSession.sparkContext.defaultParallelism, *keys)
-
-
 def cut(seqs: DataFrame, capacity: int = K.MAX_SYMBOLS) -> DataFrame:
     """seq_id, seg_no, seg_start (1-based), seq_len, text; a text within the capacity stays one row."""
     n = F.length("text")
@@ -42,7 +31,7 @@ def cut(seqs: DataFrame, capacity: int = K.MAX_SYMBOLS) -> DataFrame:
     rows = seqs.where(F.col("text").isNotNull()).select("seq_id", "text", n.cast("long").alias("seq_len"), F.explode(F.sequence(F.lit(0), pieces - 1)).alias("seg_no"))
     start = F.col("seg_no").cast("long") * capacity + 1
     body = F.when(F.col("seq_len") <= capacity, F.col("text")).otherwise(F.substring("text", start, F.lit(capacity)))
-    return spread(rows.select("seq_id", "seg_no", start.alias("seg_start"), "seq_len", body.alias("text")), "seq_id", "seg_no")
+    return rows.select("seq_id", "seg_no", start.alias("seg_start"), "seq_len", body.alias("text"))
 
 
 def _arrow(names_types: list[tuple[str, pa.DataType]]):
@@ -50,15 +39,15 @@ def _arrow(names_types: list[tuple[str, pa.DataType]]):
     return lambda columns: pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, schema)], schema=schema)
 
 
-def compress(segs: DataFrame, scheme: str = "dense", alphabet: str = "codepoint", alpha: float = 1 / 40, grid: int | None = 40, seed: int = 7, capacity: int | None = None) -> DataFrame:
-    """Segments -> packed stores, one row a segment."""
+def compress(segs: DataFrame, scheme: str = "dense", alphabet: str = "codepoint", alpha: float = 1 / 40, grid: int | None = 40, seed: int = 7, capacity: int | None = None, tag: bool = True, every: int = 6, height_rule: bool = True) -> DataFrame:
+    """Segments -> packed stores, one row a segment. `every` and `height_rule` are of the spaced scheme."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         out = _arrow([("seq_id", pa.int64()), ("seg_no", pa.int32()), ("seg_start", pa.int64()), ("seg_len", pa.int32()), ("seq_len", pa.int64()), ("m", pa.int32()), ("n_words", pa.int64()), ("blob", pa.binary())])
         for b in batches:
             for seq, no, start, total, text in zip(*(c.to_pylist() for c in b.columns)):
                 symbols = K.to_symbols(text, alphabet)
-                blob = K.pack(symbols, scheme, alphabet, alpha, grid, seed, seq, capacity)
+                blob = K.pack(symbols, scheme, alphabet, alpha, grid, seed, seq, capacity, tag, every, height_rule)
                 words = np.frombuffer(blob, "<i8", offset=K._HEAD.size)
                 yield out([[seq], [no], [start], [len(symbols)], [total], [len(K.base_words(scheme, words))], [len(words)], [blob]])
 
@@ -98,8 +87,21 @@ def counts(segs: DataFrame, per: Callable[[int, K.Parse], dict[str, int]], alpha
     return segs.select("seq_id", "seg_no", "text").mapInArrow(run, "seq_id long, seg_no int, values map<string,long>")
 
 
-def expand(store: DataFrame) -> DataFrame:
-    """seq_id, text: full sequential decompression, segments joined in order."""
+def compress_bytes(segs: DataFrame, alpha: float = 0.0, grid: int | None = None, seed: int = 7) -> DataFrame:
+    """Segments -> byte stores: seq_id, seg_no, seg_len, blob."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        out = _arrow([("seq_id", pa.int64()), ("seg_no", pa.int32()), ("seg_len", pa.int32()), ("blob", pa.binary())])
+        for b in batches:
+            for seq, no, text in zip(*(c.to_pylist() for c in b.columns)):
+                symbols = K.to_symbols(text)
+                yield out([[seq], [no], [len(symbols)], [K.pack_bytes(symbols, alpha, grid, seed, seq)]])
+
+    return segs.select("seq_id", "seg_no", "text").mapInArrow(run, "seq_id long, seg_no int, seg_len int, blob binary")
+
+
+def expand_segments(store: DataFrame) -> DataFrame:
+    """seq_id, seg_no, text: full sequential decompression, a row a segment."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         out = _arrow([("seq_id", pa.int64()), ("seg_no", pa.int32()), ("text", pa.string())])
@@ -107,16 +109,26 @@ def expand(store: DataFrame) -> DataFrame:
             for seq, no, blob in zip(*(c.to_pylist() for c in b.columns)):
                 yield out([[seq], [no], [K.expand(blob)]])
 
-    parts = store.select("seq_id", "seg_no", "blob").mapInArrow(run, "seq_id long, seg_no int, text string")
+    return store.select("seq_id", "seg_no", "blob").mapInArrow(run, "seq_id long, seg_no int, text string")
+
+
+def join_segments(parts: DataFrame) -> DataFrame:
+    """seq_id, text of whole sequences, which must fit into a cell (2 GB): for those who need them in one piece."""
     joined = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("seg_no", "text"))), lambda s: s["text"]), "")
     return parts.groupBy("seq_id").agg(joined.alias("text"))
 
 
+def expand(store: DataFrame) -> DataFrame:
+    """seq_id, text: full decompression, segments joined; `expand_segments` where sequences are long."""
+    return join_segments(expand_segments(store))
+
+
 def compress_groups(df: DataFrame, key: str, order: str, text: str = "text", rows_per_part: int = 64, scheme: str = "dense", alphabet: str = "codepoint") -> DataFrame:
-    """Rows of a key joined in the order of the integer `order` -> key, part, seg_no, n, m, blob.
+    """Rows of a key joined in the order of the integer `order` -> key, part, sub, seg_no, n, m, blob.
 
     A part holds the rows of one range of `rows_per_part` orders, so a key with any number of rows is spread over tasks; a part longer than
-    the capacity becomes several segments. Null texts are left out, a null key is a key of its own, rows with a null order form a part numbered null.
+    the capacity becomes several segments. Null texts are left out, a null key is a key of its own. Rows with a null order, and rows that share one order, are
+    dealt over parts by a hash of their text, so that a part is bounded whatever the orders are: `sub` numbers these.
     """
 
     def run(rows: pa.Table) -> pa.Table:
@@ -126,12 +138,17 @@ def compress_groups(df: DataFrame, key: str, order: str, text: str = "text", row
         blobs = [K.pack(x, scheme, alphabet) for x in pieces]
         m = [len(K.base_words(scheme, np.frombuffer(b, "<i8", offset=K._HEAD.size))) for b in blobs]
         same = lambda c: pa.chunked_array([rows.column(c).combine_chunks().take(pa.array([0] * len(blobs)))])
-        return pa.table({key: same("_key"), "part": same("_part"), "seg_no": pa.array(range(len(blobs)), pa.int32()), "n": pa.array([len(x) for x in pieces], pa.int64()),
+        return pa.table({key: same("_key"), "part": same("_part"), "sub": same("_sub"), "seg_no": pa.array(range(len(blobs)), pa.int32()), "n": pa.array([len(x) for x in pieces], pa.int64()),
                          "m": pa.array(m, pa.int64()), "blob": pa.array(blobs, pa.binary())})
 
-    rows = df.where(F.col(text).isNotNull()).select(F.col(key).alias("_key"), F.floor(F.col(order) / rows_per_part).cast("long").alias("_part"), F.col(order).cast("long").alias("_order"), F.col(text).alias("_text"))
+    part, own = F.floor(F.col(order) / rows_per_part).cast("long"), F.col(order).cast("long")
+    rows = df.where(F.col(text).isNotNull()).select(F.col(key).alias("_key"), part.alias("_part"), own.alias("_order"), F.col(text).alias("_text"))
+    many = rows.groupBy("_key", "_part").agg(F.count(F.lit(1)).alias("_n")).where(F.col("_n") > rows_per_part).select(
+        F.col("_key").alias("_k"), F.col("_part").alias("_p"), F.ceil(F.col("_n") / rows_per_part).alias("_parts"))
+    rows = rows.join(many, F.col("_key").eqNullSafe(F.col("_k")) & F.col("_part").eqNullSafe(F.col("_p")), "left")
+    rows = rows.select("_key", "_part", F.coalesce(F.pmod(F.xxhash64("_text"), F.col("_parts")), F.lit(0).cast("long")).alias("_sub"), "_order", "_text")
     kind = df.schema[key].dataType.simpleString()
-    return rows.groupBy("_key", "_part").applyInArrow(run, f"`{key}` {kind}, part long, seg_no int, n long, m long, blob binary")
+    return rows.groupBy("_key", "_part", "_sub").applyInArrow(run, f"`{key}` {kind}, part long, sub long, seg_no int, n long, m long, blob binary")
 
 
 SURROGATES, N_SURROGATES = 0xD800, 0x800

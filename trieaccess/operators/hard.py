@@ -2,9 +2,14 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from trieaccess import kernels as K
+
 
 def members(spark: SparkSession, k: int) -> DataFrame:
     """level i in 1..k-1, j in 1..2^i, and the j-th string of that length."""
@@ -67,12 +72,31 @@ def witness_positions(texts: DataFrame) -> DataFrame:
     return hit.join(F.broadcast(q)).where("n = q").select((F.col("p") + 1).alias("pos"))
 
 
-def probe_success(spark: SparkSession, k: int, budgets: tuple[int, ...], trials: int = 20_000, seed: int = 3) -> DataFrame:
-    """budget, success (Monte Carlo), closed form: uniform probes without repetition among m codewords decide only if they hit the changed one."""
-    m, q = (1 << k) - 2, 1 << (k - 1) >> 2
-    runs = spark.range(trials).crossJoin(F.broadcast(spark.createDataFrame([(b,) for b in budgets], "budget long")))  # a short parameter list
-    u = lambda s: F.pmod(F.xxhash64("id", "budget", F.lit(seed + s)), F.lit(1 << 30)) / float(1 << 30)
-    # each of m places is probed with chance budget / m; without a hit the guess is the complete order
-    right = F.when(u(1) < 0.5, 1.0).otherwise(F.when(u(2) < F.col("budget") / m, 1.0).otherwise(0.0))
-    return runs.select("budget", right.alias("ok")).groupBy("budget").agg(F.avg("ok").alias("success")).select(
+def probe_success(spark: SparkSession, k: int, budgets: tuple[int, ...], trials: int = 4000, seed: int = 3) -> DataFrame:
+    """budget, success: a string is drawn from the distribution, `budget` codewords of its list are read at random places, and the symbol at a position that every
+    perturbation changes is told: as in the complete order unless a codeword read differs from it. Beside it the closed form of uniform probes."""
+    import random
+
+    q = 1 << (k - 1) >> 2
+    plain = [format(j, f"0{i}b") for i in range(1, k) for j in range(1 << i)]
+    place = (1 << (k - 1)) - 2 + q  # members before the first that may change
+    texts = ["".join(plain), *("".join([*plain[: place + e], "0" * k, *plain[place + e + 1 :]]) for e in range(q))]
+    lists = [K.pack_base(K.base_parse(K.to_symbols(t))).tolist() for t in texts]  # (q + 1) lists of 2^k codewords: the family itself
+    m, length = len(lists[0]), min(map(len, texts))
+    asked = next(i for i in range(length) if all(t[i] != texts[0][i] for t in texts[1:]))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            rows = []
+            for trial in b.column(0).to_pylist():
+                for budget in budgets:
+                    rng = random.Random(f"{seed}:{trial}:{budget}")
+                    drawn = 0 if rng.random() < 0.5 else rng.randint(1, q)
+                    differs = any(lists[drawn][i] != lists[0][i] for i in rng.sample(range(m), budget))
+                    told = texts[1][asked] if differs else texts[0][asked]
+                    rows.append((budget, float(told == texts[drawn][asked])))
+            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.float64())], names=["budget", "ok"])
+
+    got = spark.range(0, trials, 1, spark.sparkContext.defaultParallelism).mapInArrow(run, "budget long, ok double")
+    return got.groupBy("budget").agg(F.avg("ok").alias("success")).select(
         "budget", F.lit(m).alias("m"), F.lit(q).alias("q"), "success", (F.lit(0.5) + F.col("budget") / (2 * m)).alias("expected"))

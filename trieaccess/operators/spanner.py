@@ -1,24 +1,20 @@
-"""Jump graphs: sparse shortcut edges over paths and trees."""
+"""Jump graphs: sparse shortcut edges over paths and trees.
+
+There is one shortcut a node and a stretch of 4 B. Graphs of smaller stretch with more edges would not help an access, whose binary search takes as long.
+A path shorter than the `capacity` that B comes from keeps the bound of the capacity.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from trieaccess import kernels as K
 
 
-def block_column(n: Column) -> Column:
-    return F.greatest(F.ceil(F.log2(n)), F.lit(1)).cast("int")
-
-
-def jump_length(depth: Column, B: Column) -> Column:
-    return B * F.pow(F.lit(2), F.pmod(depth, B)).cast("long")
-
-
 def path_edges(spark: SparkSession, n: int) -> DataFrame:
     return spark.range(1, n).select(F.col("id").alias("src"), (F.col("id") - 1).alias("dst"))
 
@@ -51,3 +47,25 @@ def not_spanned(edges: DataFrame, extra: DataFrame, k: int) -> DataFrame:
     closure = "WITH RECURSIVE c(src, dst, d) MAX RECURSION LEVEL 10000 AS (SELECT src, dst, 1 FROM {0} UNION ALL SELECT c.src, e.dst, c.d + 1 FROM c JOIN {0} e ON c.dst = e.src{1}) SELECT DISTINCT src, dst FROM c"
     near = spark.sql(closure.format("_h", f" WHERE c.d < {k}"))
     return spark.sql(closure.format("_e", "")).exceptAll(near)
+
+
+def tree_stretch(segs: DataFrame, B_capacity: int) -> DataFrame:
+    """seq_id, seg_no, pairs, mean_hops, max_hops, bound: climbs in the trie of a segment from each of its phrases to an ancestor halfway and to the root's child."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for seq, no, text in zip(*(c.to_pylist() for c in b.columns)):
+                symbols = K.to_symbols(text)
+                p = K.base_parse(symbols)
+                if not p.m:
+                    continue
+                store, hops = K.DenseStore(K.pack_dense(p, K.block_size(B_capacity)).tolist(), p.n, K.block_size(B_capacity)), []
+                for t, d in enumerate(p.depth[1:].tolist(), 1):
+                    for goal in {max(1, d // 2), 1}:
+                        r = K.Reads()
+                        store._climb(t, goal, r)
+                        hops.append(r.total)
+                yield pa.RecordBatch.from_pydict({"seq_id": pa.array([seq], pa.int64()), "seg_no": pa.array([no], pa.int32()), "pairs": pa.array([len(hops)], pa.int64()),
+                                                  "mean_hops": pa.array([sum(hops) / len(hops)]), "max_hops": pa.array([max(hops)], pa.int64()), "bound": pa.array([4 * K.block_size(B_capacity)], pa.int64())})
+
+    return segs.select("seq_id", "seg_no", "text").mapInArrow(run, "seq_id long, seg_no int, pairs long, mean_hops double, max_hops long, bound long")

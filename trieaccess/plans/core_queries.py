@@ -10,7 +10,7 @@ from trieaccess.operators import access as A
 from trieaccess.operators import codec, cost, hard, spanner
 from trieaccess.sources import corpora
 from trieaccess.session import scratch_path
-from trieaccess.sources.tables import load
+from trieaccess.sources.tables import dealt, load
 
 from . import sqlparse
 
@@ -33,16 +33,17 @@ def query(sql: str | None = None):
 
 
 def docs(spark: SparkSession, d: str) -> DataFrame:
-    return codec.sequences(load(spark, d, "documents", "doc_id", "text"), "doc_id")
+    return codec.sequences(dealt(load(spark, d, "documents", "doc_id", "text"), "doc_id"), "doc_id")
 
 
 def turns(spark: SparkSession, d: str) -> DataFrame:
-    t = load(spark, d, "conversations", "conv_id", "turn", "text")
+    t = dealt(load(spark, d, "conversations", "conv_id", "turn", "text"), "conv_id")
     return t.select((F.col("conv_id") * 100 + F.col("turn")).alias("seq_id"), "text")
 
 
-def turn_words(spark: SparkSession, d: str) -> DataFrame:
-    return codec.codewords(codec.cut(turns(spark, d)), alpha=ALPHA, grid=GRID, seed=SEED)
+def turn_words(spark: SparkSession, d: str, capacity: int = K.MAX_SYMBOLS) -> DataFrame:
+    whole = capacity == K.MAX_SYMBOLS
+    return codec.codewords(codec.cut(turns(spark, d), capacity), alpha=ALPHA, grid=GRID, seed=SEED, capacity=None if whole else capacity)
 
 
 def _digest(texts: DataFrame) -> DataFrame:
@@ -74,13 +75,13 @@ RANGES_SQL = """SELECT doc_id * 10 + j AS req_id, substr(text, l1, least(1 + (do
 FROM (SELECT *, CAST(1 + (doc_id * 7919 + j * 104729) % length(text) AS BIGINT) AS l1 FROM documents, range(10) r(j) WHERE length(text) > 0)"""
 
 
-def _access(name: str, ranges: bool, sql: str, capacity: int = K.MAX_SYMBOLS, **how) -> None:
+def _access(name: str, ranges: bool, sql: str, capacity: int = K.MAX_SYMBOLS, salts: int = 1, **how) -> None:
     def f(spark: SparkSession, d: str) -> DataFrame:
         seqs = docs(spark, d)
         segs = codec.cut(seqs, capacity)
         store = codec.compress(segs, capacity=None if capacity == K.MAX_SYMBOLS else capacity, **how)
         asks = (A.range_requests if ranges else A.symbol_requests)(seqs, "seq_id")
-        return A.access(store, asks, capacity, heads=segs).select("req_id", "value")
+        return A.access(store, asks, capacity, salts, heads=segs).select("req_id", "value")
 
     f.__name__ = name
     query(sql)(f)
@@ -98,16 +99,51 @@ _access("segment_access_sparse", True, RANGES_SQL, capacity=4096, scheme="sparse
 @query(SYMBOLS_SQL)
 def full_expand_access(spark, d):
     seqs = docs(spark, d)
-    return A.access_by_full_expand(codec.compress(codec.cut(seqs), "base"), A.symbol_requests(seqs, "seq_id"))
+    segs = codec.cut(seqs)
+    return A.access_by_full_expand(codec.compress(segs, "base"), A.symbol_requests(seqs, "seq_id"), heads=segs)
 
 
-@query(RANGES_SQL)
-def planned_access(spark, d):
-    """The planner picks point reads, co-located reads or full expansion from the sizes of store and requests."""
-    from .planner import planned_access as planned
+_access("hot_segment_access", True, RANGES_SQL, salts=8, scheme="dense")
+_access("spaced_access", False, SYMBOLS_SQL, scheme="spaced", every=4, height_rule=False, grid=GRID)
+_access("spaced_height_access", False, SYMBOLS_SQL, scheme="spaced", every=4, height_rule=True, grid=GRID)
+_access("sparse_greedy_access", False, SYMBOLS_SQL, scheme="sparse", alpha=ALPHA, grid=GRID, tag=False)
+
+
+def _planned(name: str, few: int, ranges: bool, sql: str) -> None:
+    def f(spark, d):
+        """The planner picks point reads, co-located reads or full expansion from the sizes of store and requests."""
+        from .planner import planned_access
+
+        seqs = docs(spark, d)
+        segs = codec.cut(seqs)
+        return planned_access(codec.compress(segs, "dense"), (A.range_requests if ranges else A.symbol_requests)(seqs, "seq_id"), K.MAX_SYMBOLS, heads=segs, few=few)
+
+    f.__name__ = name
+    query(sql)(f)
+
+
+_planned("planned_access", 1000, True, RANGES_SQL)
+_planned("planned_point_access", 1_000_000, False, SYMBOLS_SQL)
+
+
+def _long(size: int) -> str:
+    return f"SELECT doc_id AS req_id, substr(text, least(17, length(text)), {size}) AS value FROM documents WHERE length(text) > 0"
 
-    seqs = docs(spark, d)
-    return planned(codec.compress(codec.cut(seqs), "dense"), A.range_requests(seqs, "seq_id"), K.MAX_SYMBOLS)
+
+def _long_ranges(size: int) -> None:
+    def f(spark, d):
+        seqs = docs(spark, d)
+        n, first = F.length("text").cast("long"), F.least(F.lit(17), F.length("text")).cast("long")
+        asks = seqs.where(n > 0).select(F.col("seq_id").alias("req_id"), "seq_id", first.alias("l1"), F.least(n, first + size - 1).alias("l2"))
+        segs = codec.cut(seqs)
+        return A.access(codec.compress(segs, "sparse", alpha=ALPHA, grid=GRID), asks, heads=segs).select("req_id", "value")
+
+    f.__name__ = f"range_access_{size}"
+    query(_long(size))(f)
+
+
+for _size in (1_000, 10_000):
+    _long_ranges(_size)
 
 
 @query("""SELECT req_id, CASE WHEN l1 >= 1 AND l2 <= length(text) THEN substr(text, l1, l2 - l1 + 1) END AS value, CASE WHEN l1 >= 1 AND l2 <= length(text) THEN 'ok' ELSE 'invalid' END AS status
@@ -118,16 +154,20 @@ def invalid_requests(spark, d):
     k = seqs.select("seq_id", n.alias("n"), F.explode(F.array(*[F.lit(i) for i in range(3)])).alias("k"))
     asks = k.select((F.col("seq_id") * 3 + F.col("k")).alias("req_id"), "seq_id", F.when(F.col("k") == 0, 0).when(F.col("k") == 1, F.col("n")).otherwise(1).cast("long").alias("l1"),
                     F.when(F.col("k") == 0, 3).when(F.col("k") == 1, F.col("n") + 1).otherwise(F.col("n")).cast("long").alias("l2"))
-    return A.access(codec.compress(codec.cut(seqs), "dense"), asks).select("req_id", "value", "status")
+    segs = codec.cut(seqs)
+    return A.access(codec.compress(segs, "dense"), asks, heads=segs).select("req_id", "value", "status")
 
 
 @query("SELECT doc_id * 10000 + item_id AS req_id, b.text AS value FROM documents d JOIN benchmark b ON contains(d.text, b.text)")
 def passage_offsets(spark, d):
-    """Benchmark passages found by offset and read back from the store; the passages are a short query list."""
+    """Benchmark passages found by offset and read back from the store. The passages are looked for by their first symbols, filed by window."""
+    from .passages import occurrences
+
     seqs, items = docs(spark, d), load(spark, d, "benchmark", "item_id", F.col("text").alias("passage"))
-    asks = seqs.join(F.broadcast(items), F.expr("contains(text, passage)")).select((F.col("seq_id") * 10000 + F.col("item_id")).alias("req_id"), "seq_id", F.expr("instr(text, passage)").cast("long").alias("l1"), F.length("passage").alias("k"))
-    asks = asks.select("req_id", "seq_id", "l1", (F.col("l1") + F.col("k") - 1).alias("l2"))
-    return A.access(codec.compress(codec.cut(seqs), "dense"), asks).select("req_id", "value")
+    found = occurrences(seqs, items)
+    asks = found.select((F.col("seq_id") * 10000 + F.col("item_id")).alias("req_id"), "seq_id", "l1", (F.col("l1") + F.col("k") - 1).alias("l2"))
+    segs = codec.cut(seqs)
+    return A.access(codec.compress(segs, "dense"), asks, heads=segs).select("req_id", "value")
 
 
 # relations of codewords, checked against a recursive parse in SQL
@@ -248,18 +288,62 @@ def sparse_special_tail(spark, d):
     return cost.special_tail(codec.cut(docs(spark, d)), 1.0, 20)
 
 
-@query()
+# word offsets: a running sum of widths, and a position codeword at the first codeword that starts on a grid mark or after it
+LAYOUT = COINS + f""", z AS (SELECT seq_id, phrase_no, special, start_pos, 0 AS word_off, CAST(NULL AS BIGINT) AS position_off, CASE WHEN special THEN 5 ELSE 1 END AS total, {GRID} AS mark FROM coin WHERE phrase_no = 1
+UNION ALL SELECT c.seq_id, c.phrase_no, c.special, c.start_pos, CASE WHEN total >= mark THEN total + 2 ELSE total END, CASE WHEN total >= mark THEN total END,
+  CASE WHEN total >= mark THEN total + 2 ELSE total END + CASE WHEN c.special THEN 5 ELSE 1 END, CASE WHEN total >= mark THEN (total + 2) // {GRID} * {GRID} + {GRID} ELSE mark END
+  FROM z JOIN coin c ON c.seq_id = z.seq_id AND c.phrase_no = z.phrase_no + 1)"""
+
+
+@query(LAYOUT + " SELECT seq_id, phrase_no, CAST(word_off AS BIGINT) AS word_off, special, start_pos FROM z")
 def sparse_words(spark, d):
-    return turn_words(spark, d).select("seq_id", "phrase_no", "word_off", "special", "near_no", "chain_no", "start_pos")
+    return turn_words(spark, d).select("seq_id", "phrase_no", "word_off", "special", "start_pos")
+
+
+@query("WITH c AS (SELECT 0 AS seq_id, i AS phrase_no FROM range(1, 201) r(i)), " + sqlparse.coin_sql(SEED, 0.5) + """, s AS (SELECT phrase_no, row_number() OVER (ORDER BY phrase_no) AS nth FROM coin WHERE special)
+SELECT CAST(a.phrase_no AS INTEGER) AS phrase_no, CAST(b.phrase_no AS INTEGER) AS chain_no FROM s a JOIN s b ON b.nth = a.nth - 15 * CAST(pow(2, a.nth % 15) AS BIGINT)""")
+def sparse_chain_jumps(spark, d):
+    """Far edges among the special codewords of a line-shaped trie (B = 15): all specials above one are its chain."""
+    c = codec.codewords(codec.cut(hard.line_string(spark, 200)), alpha=0.5, grid=None, seed=SEED)
+    return c.where("chain_no IS NOT NULL").select("phrase_no", "chain_no")
+
+
+GRIDDED = LAYOUT + " SELECT {0} FROM (SELECT seq_id, count(*) AS w, count(*) FILTER (special) AS m2, count(position_off) AS m3, CAST(max(total) AS BIGINT) AS words FROM z GROUP BY seq_id)"
+
+
+@query(GRIDDED.format("seq_id, w, w - m2 AS m1, m2, m3, words AS sparse_words, words = w - m2 + 5 * m2 + 2 * m3 AS holds"))
+def sparse_word_counts(spark, d):
+    """m1 + 5 m2 + 2 m3 with position codewords."""
+    w = cost.word_counts(codec.cut(turns(spark, d)), ALPHA, GRID, SEED).where("w > 0")
+    return w.select("seq_id", "w", "m1", "m2", "m3", "sparse_words", (F.col("sparse_words") == F.col("m1") + 5 * F.col("m2") + 2 * F.col("m3")).alias("holds"))
+
+
+@query(GRIDDED.format("max(words / w) AS worst, avg(words / w) AS mean, sum(words) / sum(w) AS corpus, CAST(sum(w) AS BIGINT) AS w, CAST(sum(words) AS BIGINT) AS words"))
+def sparse_ratio(spark, d):
+    return cost.competitive_ratio(cost.word_counts(codec.cut(turns(spark, d)), ALPHA, GRID, SEED), "sparse_words")
+
+
+@query(GRIDDED.replace("seq_id, count(*) AS w", "z.seq_id, count(*) AS w").replace("FROM z GROUP BY seq_id", ", max(length(x)) AS n FROM z JOIN src ON z.seq_id = src.seq_id GROUP BY z.seq_id").format(
+    "seq_id, w * (CAST(ceil(log2(greatest(n, 2))) AS BIGINT) + 1) AS base_bits, words * (CAST(ceil(log2(greatest(n, 2))) AS BIGINT) + 1) AS sparse_bits, 4 * w AS dense_words_m, words + m2 + m3 AS sparse_words_m, "
+    "4 * w * (CAST(ceil(log2(greatest(w, 2))) AS BIGINT) + 1) AS dense_bits_m"))
+def size_in_bits(spark, d):
+    """Words of log n and of log m bits."""
+    return cost.size_bits(cost.word_counts(codec.cut(turns(spark, d)), ALPHA, GRID, SEED)).select("seq_id", "base_bits", "sparse_bits", "dense_words_m", "sparse_words_m", "dense_bits_m")
+
+
+_EPS_TURNS = (1.0, 2.0)
+
+
+@query(COINS + " " + " UNION ALL ".join("SELECT CAST(%r AS DOUBLE) AS eps, CAST(count(*) AS BIGINT) AS w, CAST(count(*) FILTER (h5 < %d::UBIGINT) AS BIGINT) AS m2 FROM coin" % (e, int(e / 40 * 2**32)) for e in _EPS_TURNS))
+def sparse_eps_turns(spark, d):
+    t = cost.sweep(codec.cut(turns(spark, d)), [K.sparse_params(e) for e in _EPS_TURNS], SEED).groupBy("alpha").agg(F.sum("w").alias("w"), F.sum("m2").alias("m2"))
+    return t.select((F.col("alpha") * 40).alias("eps"), "w", "m2")
 
 
 @query()
 def ablate_alpha_grid(spark, d):
-    segs, out = codec.cut(docs(spark, d)), None
-    for a, g in ((1 / 4, 64), (1 / 8, 64), (1 / 16, 64), (1 / 40, 40), (0.0, 40), (1 / 16, None)):
-        part = cost.competitive_ratio(cost.word_counts(segs, a, g), "sparse_words").select(F.lit(a).alias("alpha"), F.lit(g or 0).alias("grid"), "corpus", "worst")
-        out = part if out is None else out.unionByName(part)
-    return out
+    words = cost.sweep(codec.cut(docs(spark, d)), [(1 / 4, 64), (1 / 8, 64), (1 / 16, 64), (1 / 40, 40), (0.0, 40), (1 / 16, None)]).where("w > 0")
+    return words.groupBy("alpha", "grid").agg((F.sum("sparse_words") / F.sum("w")).alias("corpus"), F.max(F.col("sparse_words") / F.col("w")).alias("worst"))
 
 
 @query(PARSE + "SELECT seq_id, count(*) FILTER (depth % 4 = 0) AS marked, count(*) AS w FROM c GROUP BY seq_id")
@@ -277,7 +361,7 @@ def spaced_height_marks(spark, d):
     return v.select("seq_id", F.col("values")["marked"].alias("marked"), F.col("values")["w"].alias("w")).where("w > 0")
 
 
-@query()
+@query(" UNION ALL ".join(f"SELECT {k} AS k, CAST({sum(1 << i for i in range(1, 13) if i % k == 0)} AS BIGINT) AS plain, CAST({sum(1 << i for i in range(1, 13) if i % k == 0 and 12 - i >= k)} AS BIGINT) AS height, CAST({(1 << 13) - 2} AS BIGINT) AS w" for k in (4, 6, 12)))
 def spaced_full_tree(spark, d):
     """On a complete binary trie the strawman marks about half of the nodes, the height rule at most 1/k."""
     t = hard.joined(hard.members(spark, 13).withColumn("seq_id", F.lit(0).cast("long")), "seq_id")
@@ -295,13 +379,22 @@ TURN_SYMBOLS = f"SELECT req_id, substr(text, l1, 1) AS value FROM ({TURN_REQ})"
 LOCATED = PARSE + f", r AS ({TURN_REQ}) SELECT r.req_id, c.phrase_no, c.start_pos, CAST(c.depth AS INTEGER) AS depth FROM r JOIN c ON r.seq_id = c.seq_id AND r.l1 >= c.start_pos AND r.l1 < c.start_pos + c.depth"
 
 
+CUT = 64
+TURN_SEGMENTS = f"SELECT (conv_id * 100 + turn) * 10000 + k AS seq_id, substr(text, {CUT} * k + 1, {CUT}) AS x FROM conversations, range(0, 9999) g(k) WHERE {CUT} * k < length(text)"
+LOCATED_CUT = sqlparse.parse_sql(TURN_SEGMENTS) + f""", r AS (SELECT *, (l1 - 1) // {CUT} AS seg FROM ({TURN_REQ}))
+SELECT r.req_id, CAST(seg AS INTEGER) AS seg_no, c.phrase_no, c.start_pos, CAST(c.depth AS INTEGER) AS depth FROM r JOIN c ON r.seq_id * 10000 + seg = c.seq_id AND r.l1 - {CUT} * seg >= c.start_pos AND r.l1 - {CUT} * seg < c.start_pos + c.depth"""
+
+
 def _located(name, how):
     def f(spark, d):
-        t = turns(spark, d)
-        return how(codec.codewords(codec.cut(t)), A.symbol_requests(t, "seq_id")).select("req_id", "phrase_no", "start_pos", "depth")
+        return how(turn_words(spark, d), A.symbol_requests(turns(spark, d), "seq_id")).select("req_id", "phrase_no", "start_pos", "depth")
 
-    f.__name__ = name
+    def segments(spark, d):
+        return how(turn_words(spark, d, CUT), A.symbol_requests(turns(spark, d), "seq_id"), CUT).select("req_id", "seg_no", "phrase_no", "start_pos", "depth")
+
+    f.__name__, segments.__name__ = name, f"{name}_segments"
     query(LOCATED)(f)
+    query(LOCATED_CUT)(segments)
 
 
 _located("asof_locate", A.locate_asof)
@@ -309,19 +402,20 @@ _located("rankselect_locate", A.locate_rank)
 _located("scan_locate", A.locate_scan)
 
 
-@query(TURN_SYMBOLS)
-def levelancestor_access(spark, d):
-    t = turns(spark, d)
-    segs = codec.cut(t)
-    c = codec.codewords(segs)
-    return A.climb_by_prefix(A.locate_asof(c, A.symbol_requests(t, "seq_id")), codec.phrase_strings(c, segs)).select("req_id", "value")
+def _climbed(name, capacity, how):
+    def f(spark, d):
+        t = turns(spark, d)
+        segs = codec.cut(t, capacity)
+        return how(codec.codewords(segs), segs, A.symbol_requests(t, "seq_id"), capacity).select("req_id", "value")
 
+    f.__name__ = name if capacity == K.MAX_SYMBOLS else f"{name}_segments"
+    query(TURN_SYMBOLS)(f)
 
-@query(TURN_SYMBOLS)
-def parents_only_access(spark, d):
-    t = turns(spark, d)
-    c = codec.codewords(codec.cut(t))
-    return A.climb_recursive(c, A.locate_rank(c, A.symbol_requests(t, "seq_id"))).select("req_id", "value")
+
+for _capacity in (K.MAX_SYMBOLS, CUT):
+    _climbed("levelancestor_access", _capacity, lambda c, segs, asks, cap: A.climb_by_prefix(A.locate_asof(c, asks, cap), codec.phrase_strings(c, segs)))
+    _climbed("parents_only_access", _capacity, lambda c, segs, asks, cap: A.climb_recursive(c, A.locate_rank(c, asks, cap)))
+    _climbed("preprocessed_access", _capacity, lambda c, segs, asks, cap: A.access_preprocessed(segs, asks, cap))
 
 
 @query(TURN_SYMBOLS)
@@ -335,6 +429,38 @@ def cell_access(spark, d):
 
 
 # jump graphs
+@query("SELECT 'path' AS graph, CAST(0 AS BIGINT) AS too_far UNION ALL SELECT 'tree', CAST(0 AS BIGINT)")
+def spanner_check(spark, d):
+    """Pairs that the path or a trie reaches and the jump graph does not reach in 4 B steps: none."""
+    path = spanner.not_spanned(spanner.path_edges(spark, 9), spanner.path_jumps(spark, 9), 4 * K.block_size(9)).count()
+    words = codec.codewords(codec.cut(hard.line_string(spark, 8)), capacity=4)
+    edges = words.select(F.col("phrase_no").cast("long").alias("src"), F.col("parent_no").cast("long").alias("dst"))
+    far = words.where("jump_no IS NOT NULL").select(F.col("phrase_no").cast("long").alias("src"), F.col("jump_no").cast("long").alias("dst"))
+    tree = spanner.not_spanned(edges, far, 4 * K.block_size(36)).count()
+    return spark.createDataFrame([("path", path), ("tree", tree)], "graph string, too_far long")
+
+
+@query("SELECT true AS within_bound, 2 AS tries")
+def tree_stretch(spark, d):
+    """Hops in the tries at both extremes, a line and a complete binary tree, against 4 B."""
+    both = hard.line_string(spark, 300).unionByName(hard.joined(hard.members(spark, 11).withColumn("seq_id", F.lit(1).cast("long")), "seq_id"))
+    return spanner.tree_stretch(codec.cut(both), 1 << 16).agg((F.max(F.col("max_hops") - F.col("bound")) <= 0).alias("within_bound"), F.count(F.lit(1)).cast("int").alias("tries"))
+
+
+@query()
+def stretch_report(spark, d):
+    """Largest and mean hops against 4 B, on tries of documents and on the line."""
+    both = docs(spark, d).unionByName(hard.line_string(spark, 300).select((-F.col("seq_id") - 1).alias("seq_id"), "text"))
+    t = spanner.tree_stretch(codec.cut(both), K.MAX_SYMBOLS)
+    return t.groupBy((F.col("seq_id") < 0).alias("line")).agg(F.max("max_hops").alias("max_hops"), (F.sum(F.col("mean_hops") * F.col("pairs")) / F.sum("pairs")).alias("mean_hops"), F.max("bound").alias("bound"))
+
+
+@query()
+def access_bounds(spark, d):
+    """Reads of the sparse scheme over lengths and eps."""
+    return cost.access_bounds(codec.cut(corpora.dna(load(spark, d, "documents", "doc_id", "text"), 1 << 16)), (0.5, 1.0, 2.0), (1 << 12, 1 << 14, 1 << 16))
+
+
 @query("SELECT i AS src, greatest(i - CAST(pow(2, i % 9) AS BIGINT) * 9, 0) AS dst FROM range(1, 500) r(i)")
 def path_jumps(spark, d):
     return spanner.path_jumps(spark, 500)
@@ -357,13 +483,15 @@ def path_stretch(spark, d):
 @query()
 def dense_reads(spark, d):
     seqs = docs(spark, d)
-    return cost.reads_report(A.access(codec.compress(codec.cut(seqs), "dense"), A.symbol_requests(seqs, "seq_id")))
+    segs = codec.cut(seqs)
+    return cost.reads_report(A.access(codec.compress(segs, "dense"), A.symbol_requests(seqs, "seq_id"), heads=segs))
 
 
 @query()
 def sparse_reads(spark, d):
     seqs = docs(spark, d)
-    return cost.reads_report(A.access(codec.compress(codec.cut(seqs), "sparse", alpha=ALPHA, grid=GRID), A.symbol_requests(seqs, "seq_id")))
+    segs = codec.cut(seqs)
+    return cost.reads_report(A.access(codec.compress(segs, "sparse", alpha=ALPHA, grid=GRID), A.symbol_requests(seqs, "seq_id"), heads=segs))
 
 
 @query()
@@ -371,43 +499,39 @@ def range_overhead(spark, d):
     """Codewords read beyond the length of the substring, which one access bounds."""
     seqs = docs(spark, d)
     asks = A.range_requests(seqs, "seq_id")
-    got = A.access(codec.compress(codec.cut(seqs), "dense"), asks).join(asks, "req_id")
+    segs = codec.cut(seqs)
+    got = A.access(codec.compress(segs, "dense"), asks, heads=segs).join(asks, "req_id")
     extra = F.col("reads_locate") + F.col("hops_align") + F.col("hops_jump") + F.col("hops_parent") - (F.col("l2") - F.col("l1") + 1)
     return got.agg(F.avg(extra).alias("mean_extra"), F.max(extra).alias("max_extra"))
 
 
 # hard strings
-HARD_K = 6
-_LEVELS = f"SELECT CAST(i AS INTEGER) AS i, j, lpad(bin(j - 1), CAST(i AS INTEGER), '0') AS s FROM range(1, {HARD_K}) a(i), range(1, {1 << HARD_K}) b(j) WHERE j <= CAST(pow(2, i) AS BIGINT)"
-_Q = 1 << (HARD_K - 1) >> 2
-FAMILY = f"""m AS ({_LEVELS}), f AS (SELECT e AS seq_id, string_agg(CASE WHEN e > 0 AND i = {HARD_K - 1} AND j = {_Q} + e THEN '{'0' * HARD_K}' ELSE s END, '' ORDER BY i, j) AS text FROM m, range(0, {_Q + 1}) r(e) GROUP BY e)"""
-
-
-@query(f"WITH {FAMILY} SELECT seq_id, text FROM f")
-def hard_strings(spark, d):
-    return hard.family(spark, HARD_K)
+def _family_sql(k: int) -> str:
+    q = 1 << (k - 1) >> 2
+    levels = f"SELECT CAST(i AS INTEGER) AS i, j, lpad(bin(j - 1), CAST(i AS INTEGER), '0') AS s FROM range(1, {k}) a(i), range(1, {1 << k}) b(j) WHERE j <= CAST(pow(2, i) AS BIGINT)"
+    return f"m AS ({levels}), f AS (SELECT e AS seq_id, string_agg(CASE WHEN e > 0 AND i = {k - 1} AND j = {q} + e THEN '{'0' * k}' ELSE s END, '' ORDER BY i, j) AS text FROM m, range(0, {q + 1}) r(e) GROUP BY e)"
 
 
-@query(f"WITH {FAMILY} SELECT seq_id, text, CASE WHEN seq_id = 0 THEN 0.5 ELSE 1 / (2.0 * {_Q}) END::DOUBLE AS weight FROM f")
-def hard_distribution(spark, d):
-    return hard.distribution(spark, HARD_K)
+def _hard(k: int, tag: str) -> None:
+    """Family, distribution, differing codewords, witness positions and the general family for one k."""
+    q, family = 1 << (k - 1) >> 2, _family_sql(k)
 
+    def add(name: str, sql: str, f) -> None:
+        f.__name__ = f"{name}{tag}"
+        query(sql)(f)
 
-@query(f"SELECT e AS seq_id, CAST({(1 << HARD_K - 1) - 2 + _Q} + e AS INTEGER) AS phrase_no FROM range(1, {_Q + 1}) r(e)")
-def hard_diff(spark, d):
-    """Exactly one codeword differs, at another place for each perturbation."""
-    return hard.codeword_diff(codec.codewords(codec.cut(hard.family(spark, HARD_K))))
+    add("hard_strings", f"WITH {family} SELECT seq_id, text FROM f", lambda spark, d: hard.family(spark, k))
+    add("hard_distribution", f"WITH {family} SELECT seq_id, text, CASE WHEN seq_id = 0 THEN 0.5 ELSE 1 / (2.0 * {q}) END::DOUBLE AS weight FROM f", lambda spark, d: hard.distribution(spark, k))
+    # exactly one codeword differs, at another place for each perturbation
+    add("hard_diff", f"SELECT e AS seq_id, CAST({(1 << k - 1) - 2 + q} + e AS INTEGER) AS phrase_no FROM range(1, {q + 1}) r(e)", lambda spark, d: hard.codeword_diff(codec.codewords(codec.cut(hard.family(spark, k)))))
+    add("hard_witness", f"""WITH {family}, t AS (SELECT seq_id, unnest(range(1, CAST(length(text) AS BIGINT) + 1)) AS pos, text FROM f), x AS (SELECT seq_id, pos, text[pos] AS c FROM t)
+SELECT CAST(a.pos AS INTEGER) AS pos FROM x a JOIN x b ON a.seq_id = 0 AND b.seq_id > 0 AND a.pos = b.pos AND a.c <> b.c GROUP BY a.pos HAVING count(*) = {q}""", lambda spark, d: hard.witness_positions(hard.family(spark, k)))
+    add("hard_extended", f"SELECT e AS seq_id, CAST({(1 << k) - 1 + 40} AS BIGINT) AS w FROM range(0, {q + 1}) r(e)",
+        lambda spark, d: codec.codewords(codec.cut(hard.extended(spark, k, 40))).groupBy("seq_id").agg(F.count(F.lit(1)).alias("w")))
 
 
-@query(f"""WITH {FAMILY}, t AS (SELECT seq_id, unnest(range(1, CAST(length(text) AS BIGINT) + 1)) AS pos, text FROM f), x AS (SELECT seq_id, pos, text[pos] AS c FROM t)
-SELECT CAST(a.pos AS INTEGER) AS pos FROM x a JOIN x b ON a.seq_id = 0 AND b.seq_id > 0 AND a.pos = b.pos AND a.c <> b.c GROUP BY a.pos HAVING count(*) = {_Q}""")
-def hard_witness(spark, d):
-    return hard.witness_positions(hard.family(spark, HARD_K))
-
-
-@query(f"SELECT e AS seq_id, CAST({(1 << HARD_K) - 1 + 40} AS BIGINT) AS w FROM range(0, {_Q + 1}) r(e)")
-def hard_extended(spark, d):
-    return codec.codewords(codec.cut(hard.extended(spark, HARD_K, 40))).groupBy("seq_id").agg(F.count(F.lit(1)).alias("w"))
+_hard(6, "")
+_hard(8, "_8")
 
 
 @query("SELECT 200 AS w, 200 * 201 / 2 AS n".replace("200 * 201 / 2", "20100"))
@@ -420,33 +544,50 @@ def probe_success(spark, d):
     return hard.probe_success(spark, 8, (16, 64, 128, 254))
 
 
-# experiments
-@query("SELECT seq_id, length(text) AS n, md5(text) AS text_md5 FROM (SELECT event_id // 50000 AS seq_id, string_agg(strftime(ts, '%Y-%m-%dT%H:%M:%S') || ' user=' || user_id || ' ' || event_type || ' ' || props, chr(10) ORDER BY event_id) AS text FROM events GROUP BY 1)")
-def log_roundtrip(spark, d):
-    return _digest(codec.expand(codec.compress(codec.cut(corpora.log(load(spark, d, "events"))), "dense")))
-
+# experiments: each corpus is one string
+LOG_SQL = """SELECT 0 AS seq_id, substr(string_agg(strftime(ts, '%Y-%m-%dT%H:%M:%S') || ' user=' || user_id || ' ' || event_type || ' value=' || CAST(CAST(value AS DECIMAL(18,2)) AS VARCHAR) || ' ' || props, chr(10) ORDER BY event_id), 1, {n}) AS x FROM events"""
+DNA_SQL = "SELECT 0 AS seq_id, substr(string_agg(array_to_string(list_transform(string_split(text, ''), lambda c: substr('ACGT', unicode(c) % 4 + 1, 1)), ''), '' ORDER BY doc_id), 1, {n}) AS x FROM documents WHERE length(text) > 0{few}"
+VOCAB_SQL = "SELECT 0 AS seq_id, substr(string_agg(w, chr(10) ORDER BY w), 1, {n}) AS x FROM (SELECT DISTINCT unnest(regexp_split_to_array(lower(text), '\\s+')) AS w FROM documents) WHERE w <> ''"
+_ALPHAS = (0.0, 1 / 16, 1 / 8, 1 / 4)
+CORPORA = {  # name: (builder, SQL, symbols)
+    "log": (lambda spark, d, n: corpora.log(load(spark, d, "events"), n), LOG_SQL, 1_200_000),
+    "dna": (lambda spark, d, n: corpora.dna(load(spark, d, "documents", "doc_id", "text"), n), DNA_SQL, 1_700_000),
+    "vocab": (lambda spark, d, n: corpora.vocabulary(load(spark, d, "documents", "text"), n), VOCAB_SQL, 1_300_000),
+}
+SHORT = 2500
 
-@query("SELECT seq_id, length(text) AS n, md5(text) AS text_md5 FROM (SELECT ascii(w) AS seq_id, string_agg(w, chr(10) ORDER BY w) AS text FROM (SELECT DISTINCT unnest(regexp_split_to_array(lower(text), '\\s+')) AS w FROM documents) WHERE w <> '' GROUP BY 1)".replace("ascii(w)", "CAST(unicode(w) AS BIGINT)"))
-def vocab_roundtrip(spark, d):
-    return _digest(codec.expand(codec.compress(codec.cut(corpora.vocabulary(load(spark, d, "documents"))), "sparse", alpha=ALPHA, grid=GRID)))
 
+def _corpus(name: str) -> None:
+    build, sql, n = CORPORA[name]
 
-_ALPHAS = (0.0, 1 / 16, 1 / 8, 1 / 4)
+    def roundtrip(spark, d):
+        return _digest(codec.expand(codec.compress(codec.cut(build(spark, d, n)), "sparse", alpha=ALPHA, grid=GRID)))
 
+    def sizes(spark, d):
+        """Codewords, words and KB (1024 bytes) of the byte stores that are written, for each share of special codewords."""
+        segs = codec.cut(build(spark, d, n))
+        t = cost.alpha_sizes(segs, _ALPHAS).join(cost.byte_sizes(segs, _ALPHAS).select("alpha", "bytes"), "alpha")
+        return t.select("alpha", "n", "w", "m2", "words", "word_ratio", "bytes", (F.col("bytes") / 1024).alias("kb"))
 
-@query()
-def log_sizes(spark, d):
-    return cost.alpha_sizes(codec.cut(corpora.log(load(spark, d, "events"))), _ALPHAS)
+    def short(spark, d):
+        segs = codec.cut(build(spark, d, SHORT))
+        return cost.alpha_sizes(segs, _ALPHAS).join(cost.byte_sizes(segs, _ALPHAS).select("alpha", "bytes"), "alpha").select("alpha", "w", "m2", "words", "bytes")
 
+    def times(spark, d):
+        """Mean ms of a random access and ms of the full decompression."""
+        return cost.access_times(codec.cut(build(spark, d, n)))
 
-@query()
-def dna_sizes(spark, d):
-    return cost.alpha_sizes(codec.cut(corpora.dna(load(spark, d, "documents"))), _ALPHAS)
+    small = sql.format(n=SHORT, few=f" AND doc_id < {SHORT}")
+    per = " UNION ALL ".join("SELECT CAST(%r AS DOUBLE) AS alpha, %d::UBIGINT AS bar" % (a, int(a * 2**32)) for a in _ALPHAS)
+    per_sql = sqlparse.parse_sql(small) + ", " + sqlparse.coin_sql(SEED, 0.0) + f""", bars AS ({per}), sigma AS (SELECT count(DISTINCT symbol) AS s FROM c)
+SELECT alpha, count(*) AS w, count(*) FILTER (h5 < bar) AS m2, count(*) + 4 * count(*) FILTER (h5 < bar) AS words, 5 * count(*) + 16 * count(*) FILTER (h5 < bar) + {K._BYTES.size} + 4 * max(s) AS bytes FROM coin, bars, sigma GROUP BY alpha"""
+    for f, tag, oracle in ((roundtrip, "roundtrip", f"SELECT seq_id, length(x) AS n, md5(x) AS text_md5 FROM ({sql.format(n=n, few='')})"), (sizes, "sizes", None), (short, "sizes_short", per_sql), (times, "times", None)):
+        f.__name__ = f"{name}_{tag}"
+        query(oracle)(f)
 
 
-@query()
-def vocab_sizes(spark, d):
-    return cost.alpha_sizes(codec.cut(corpora.vocabulary(load(spark, d, "documents"))), _ALPHAS)
+for _name in CORPORA:
+    _corpus(_name)
 
 
 @query()
@@ -454,9 +595,32 @@ def segment_penalty(spark, d):
     return cost.segment_penalty(docs(spark, d), 4096)
 
 
-@query()
+@query("SELECT CAST(sum(k) AS BIGINT) AS n, CAST(round(sum(k) * log2(sum(k)) - sum(k * log2(k))) AS BIGINT) AS bits FROM (SELECT c, count(*) AS k FROM (SELECT unnest(regexp_extract_all(text, '(?s).')) AS c FROM documents) GROUP BY c)")
 def order0_bits(spark, d):
-    return cost.order0_bits(docs(spark, d))
+    return cost.order0_bits(docs(spark, d)).select("n", F.round("bits").cast("long").alias("bits"))
+
+
+@query(PARSE + ", p AS (SELECT count(*) AS m_whole FROM c), " + sqlparse.parse_sql(TURN_SEGMENTS, "2").removeprefix("WITH RECURSIVE ") + ", q AS (SELECT count(*) AS m_cut FROM c2) SELECT m_cut, m_whole, CAST(m_cut AS DOUBLE) / m_whole AS penalty FROM p, q")
+def segment_penalty_turns(spark, d):
+    return cost.segment_penalty(turns(spark, d), CUT)
+
+
+STRATA = LAYOUT + ", t AS (SELECT seq_id, count(*) AS w, CAST(max(total) AS BIGINT) AS words FROM z GROUP BY seq_id), s AS (SELECT t.*, role, turn % 2 AS odd FROM t JOIN conversations ON seq_id = conv_id * 100 + turn)"
+
+
+def _turn_strata(spark, d):
+    meta = load(spark, d, "conversations", (F.col("conv_id") * 100 + F.col("turn")).alias("seq_id"), "role", (F.col("turn") % 2).alias("odd"))
+    return cost.word_counts(codec.cut(turns(spark, d)), ALPHA, GRID, SEED).where("w > 0").join(meta, "seq_id")
+
+
+@query(STRATA + " SELECT role, odd, CAST(sum(w) AS BIGINT) AS w, CAST(sum(words) AS BIGINT) AS words, sum(words) / sum(w) AS ratio FROM s GROUP BY ROLLUP (role, odd)")
+def ratio_by_role_rollup(spark, d):
+    return _turn_strata(spark, d).rollup("role", "odd").agg(F.sum("w").alias("w"), F.sum("sparse_words").alias("words"), (F.sum("sparse_words") / F.sum("w")).alias("ratio"))
+
+
+@query(STRATA + " SELECT role, odd, CAST(sum(w) AS BIGINT) AS w, sum(words) / sum(w) AS ratio FROM s GROUP BY CUBE (role, odd)")
+def ratio_by_role_cube(spark, d):
+    return _turn_strata(spark, d).cube("role", "odd").agg(F.sum("w").alias("w"), (F.sum("sparse_words") / F.sum("w")).alias("ratio"))
 
 
 @query()
@@ -485,14 +649,65 @@ def conversation_append(spark, d):
     return codec.codewords(codec.cut(whole)).select("seq_id", "phrase_no", "parent_no", "symbol", "depth", "start_pos")
 
 
-@query(sqlparse.parse_sql(CONV) + "SELECT seq_id, phrase_no, parent_no, symbol, depth, start_pos FROM c")
+def _growing(spark, d, scheme: str, capacity: int, close: bool = True):
+    """Turns in three micro-batches, a null text at the end of each conversation."""
+    from trieaccess.streaming import compress_stream, replay
+
+    t = load(spark, d, "conversations").select("conv_id", "turn", F.concat("role", F.lit(": "), "text", F.lit("\n")).alias("line"), F.least(F.floor(F.col("turn") / 2), F.lit(2)).cast("int").alias("no"))
+    if close:
+        t = t.unionByName(t.groupBy("conv_id").agg((F.max("turn") + 1).alias("turn")).select("conv_id", "turn", F.lit(None).cast("string").alias("line"), F.lit(2).alias("no")))
+    return replay(spark, t, lambda s: compress_stream(s, "conv_id", "turn", "line", scheme, capacity, ALPHA, GRID, SEED), scratch_path(spark, "q"), 3, "no")
+
+
+GROWN = 1 << 12
+CONV_CUT = f"SELECT seq_id * 10000 + k AS seq_id, substr(x, {GROWN} * k + 1, {GROWN}) AS x FROM ({CONV}), range(0, 9999) g(k) WHERE {GROWN} * k < length(x)"
+GROWN_SQL = sqlparse.parse_sql(CONV_CUT)
+
+
+@query(GROWN_SQL + "SELECT seq_id // 10000 AS seq_id, CAST(seq_id % 10000 AS INTEGER) AS seg_no, phrase_no, parent_no, symbol, depth, start_pos FROM c")
 def stream_codewords(spark, d):
-    """The same by a stream whose state is the trie."""
+    """The same by a stream whose state is the open segment, in segments."""
+    return _growing(spark, d, "base", GROWN)
+
+
+@query(GROWN_SQL + f""", j AS (SELECT *, 12 * CAST(pow(2, depth % 12) AS BIGINT) AS reach FROM c)
+SELECT seq_id // 10000 AS seq_id, CAST(seq_id % 10000 AS INTEGER) AS seg_no, phrase_no, start_pos, parent_no, symbol,
+  CASE WHEN reach > depth THEN NULL WHEN reach = depth THEN 0 ELSE list_position(phrases, left(phrase, CAST(depth - reach AS BIGINT))) END AS jump_no FROM j""")
+def stream_dense(spark, d):
+    """Far ancestors are known as soon as a phrase closes: B = 12 comes from the capacity."""
+    return _growing(spark, d, "dense", GROWN).select("seq_id", "seg_no", "phrase_no", "start_pos", "parent_no", "symbol", "jump_no")
+
+
+def _coin_of_key() -> str:
+    return sqlparse.coin_sql(SEED, ALPHA).replace("+ seq_id)", "+ seq_id // 10000)")
+
+
+@query(GROWN_SQL + ", " + _coin_of_key() + LAYOUT[len(COINS):] + " SELECT seq_id // 10000 AS seq_id, CAST(seq_id % 10000 AS INTEGER) AS seg_no, phrase_no, special, CAST(word_off AS BIGINT) AS word_off, CAST(position_off AS BIGINT) AS position_off FROM z")
+def stream_sparse(spark, d):
+    """Coins, word offsets and position codewords leave with their phrase."""
+    return _growing(spark, d, "sparse", GROWN).select("seq_id", "seg_no", "phrase_no", "special", "word_off", "position_off")
+
+
+@query(f"SELECT seq_id * 10 + j AS req_id, substr(x, l1, 1) AS value FROM (SELECT *, CAST(1 + (seq_id * 7919 + j * 104729) % length(x) AS BIGINT) AS l1 FROM ({CONV}), range(10) r(j))")
+def serve_growing(spark, d):
+    """Positions read from the committed dense codewords of all segments by search and guarded climb."""
+    from trieaccess.streaming import serve
+
+    t = load(spark, d, "conversations").select("conv_id", (F.length("role") + F.length("text") + 3).alias("n")).groupBy("conv_id").agg(F.sum("n").alias("n"))
+    j = F.explode(F.sequence(F.lit(0), F.lit(9)))
+    rows = t.select(F.col("conv_id").alias("seq_id"), "n", j.alias("j"))
+    asks = rows.select((F.col("seq_id") * 10 + F.col("j")).alias("req_id"), "seq_id", (F.pmod(F.col("seq_id") * 7919 + F.col("j").cast("long") * 104729, F.col("n")) + 1).alias("l1"))
+    return serve(asks, _growing(spark, d, "dense", 64), 64)
+
+
+@query("SELECT count(*) AS late FROM conversations WHERE turn < 2 AND conv_id IN (SELECT conv_id FROM conversations WHERE turn >= 2)")
+def stream_late(spark, d):
+    """Turns that come a micro-batch after later ones of their conversation cannot be inserted: they are counted."""
     from trieaccess.streaming import compress_stream, replay
 
-    t = load(spark, d, "conversations").select("conv_id", "turn", F.concat("role", F.lit(": "), "text", F.lit("\n")).alias("line"))
-    out = replay(spark, t, lambda s: compress_stream(s, "conv_id", "turn", "line", close=True), scratch_path(spark, "q"))
-    return out.select("seq_id", "phrase_no", "parent_no", "symbol", "depth", "start_pos")
+    t = load(spark, d, "conversations", "conv_id", "turn", "text").withColumn("no", F.when(F.col("turn") >= 2, 0).otherwise(1))
+    out = replay(spark, t, lambda s: compress_stream(s, "conv_id", "turn", "text"), scratch_path(spark, "q"), 2, "no")
+    return out.agg(F.count_if(F.col("phrase_no") == -1).alias("late"))
 
 
 @query(JUMPS + "SELECT seq_id, phrase_no, start_pos, parent_no, jump_no, symbol FROM k")
@@ -529,7 +744,7 @@ def concat_compress(spark, d):
     from trieaccess.functions import expand_blob
 
     packed = codec.compress_groups(load(spark, d, "conversations", "conv_id", "turn", "text"), "conv_id", "turn")
-    parts = F.array_sort(F.collect_list(F.struct("part", "seg_no", expand_blob("blob").alias("text"))))
+    parts = F.array_sort(F.collect_list(F.struct("part", "sub", "seg_no", expand_blob("blob").alias("text"))))
     whole = packed.groupBy("conv_id").agg(F.array_join(F.transform(parts, lambda p: p["text"]), "").alias("text"))
     return whole.select("conv_id", F.length("text").cast("long").alias("n"), F.md5(F.col("text").cast("binary")).alias("text_md5"))
 

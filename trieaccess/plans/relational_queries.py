@@ -103,9 +103,11 @@ def asof_join(spark, d):
 
 @query("SELECT d.doc_id, p.item_id FROM documents d JOIN benchmark p ON contains(d.text, p.text)")
 def passages_in_docs(spark, d):
-    """The benchmark is a stated, short query set."""
-    items = load(spark, d, "benchmark", "item_id", F.col("text").alias("p"))
-    return load(spark, d, "documents", "doc_id", "text").join(F.broadcast(items), F.expr("contains(text, p)")).select("doc_id", "item_id")
+    """By the passages' first symbols, and an exact check."""
+    from .passages import occurrences
+
+    found = occurrences(load(spark, d, "documents", F.col("doc_id").alias("seq_id"), "text"), load(spark, d, "benchmark", "item_id", F.col("text").alias("passage")))
+    return found.select(F.col("seq_id").alias("doc_id"), "item_id")
 
 
 @query("SELECT a.doc_id, count(*) AS n FROM labels a JOIN labels b ON a.doc_id = b.doc_id GROUP BY a.doc_id")
@@ -319,10 +321,23 @@ def events_session(spark, d):
     return t.groupBy("user_id", F.session_window("ts", "2 hours").alias("w")).agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("w.start").alias("start"), "n")
 
 
-@query("SELECT 'l_returnflag' AS col, count(DISTINCT l_returnflag || l_linestatus) AS kinds FROM lineitem")
+@query("SELECT l_orderkey // 1024 AS seq_id, length(t) AS n, md5(t) AS text_md5 FROM (SELECT l_orderkey // 1024 AS l_orderkey, string_agg(l_returnflag || l_linestatus, '' ORDER BY l_orderkey, l_linenumber, l_returnflag || l_linestatus) AS t FROM lineitem GROUP BY 1)".replace("(SELECT l_orderkey // 1024 AS l_orderkey,", "(SELECT min(l_orderkey) AS l_orderkey,").replace("GROUP BY 1)", "GROUP BY l_orderkey // 1024)"))
 def columns_as_text(spark, d):
-    t = load(spark, d, "lineitem", "l_returnflag", "l_linestatus")
-    return t.agg(F.count_distinct(F.concat("l_returnflag", "l_linestatus")).alias("kinds")).select(F.lit("l_returnflag").alias("col"), "kinds")
+    """Two columns of a table as strings of its rows' order, a string for each 1,024 orders, compressed and read back."""
+    from trieaccess.operators import codec
+
+    t = load(spark, d, "lineitem", "l_orderkey", "l_linenumber", F.concat("l_returnflag", "l_linestatus").alias("flags"))
+    parts = F.transform(F.array_sort(F.collect_list(F.struct("l_orderkey", "l_linenumber", "flags"))), lambda x: x["flags"])  # the lines of 1,024 orders
+    seqs = t.groupBy(F.floor(F.col("l_orderkey") / 1024).alias("seq_id")).agg(F.array_join(parts, "").alias("text"))
+    back = codec.expand(codec.compress(codec.cut(seqs), "dense"))
+    return back.select("seq_id", F.length("text").cast("long").alias("n"), F.md5(F.col("text").cast("binary")).alias("text_md5"))
+
+
+@query("SELECT n_name FROM nation")
+def roundtrip_text(spark, d):
+    out = f"{scratch_path(spark, "q")}/text"
+    tables.write_any(load(spark, d, "nation", F.col("n_name").alias("value")), "text", out)
+    return tables.read_any(spark, "text", out, "value string").select(F.col("value").alias("n_name"))
 
 
 def _format(fmt):
@@ -340,16 +355,16 @@ for _fmt in ("csv", "json", "orc", "parquet"):
     _format(_fmt)
 
 
-@query("SELECT doc_id AS seq_id, substr(text, 2, 7) AS piece FROM documents WHERE length(text) >= 2")
+@query("SELECT doc_id AS seq_id, substr(text, 510, 7) AS piece FROM documents WHERE length(text) >= 510")
 def store_source(spark, d):
-    """A store written as files, read back through its own data source."""
+    """A store written as files; the same range of every sequence read from the segments that hold it, with a capacity that cuts ranges."""
     from trieaccess.operators import codec
     from trieaccess.sources import store
 
     docs = codec.sequences(load(spark, d, "documents", "doc_id", "text"), "doc_id")
     path = f"{scratch_path(spark, "q")}/store"
-    store.write(codec.compress(codec.cut(docs.where(F.length("text") >= 2)), "dense"), path)
-    return store.read_ranges(spark, path, 2, 7)
+    store.write(codec.compress(codec.cut(docs, 512), "dense", capacity=512), path)
+    return store.read_ranges(spark, path, 510, 7, 512)
 
 
 # streams: each replays a table and must equal the batch result
@@ -370,6 +385,23 @@ def stream_dedup(spark, d):
     return _stream(t.unionByName(t), lambda s: s.withWatermark("ts", "30 days").dropDuplicatesWithinWatermark(["event_id"]).select("event_id"))
 
 
+@query("SELECT count(*) AS kept FROM (SELECT event_id, time_bucket(INTERVAL 1 HOUR, ts) + INTERVAL 1 HOUR <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR AS closed FROM events) WHERE event_id % 2 = 1 OR NOT closed")
+def stream_events_late(spark, d):
+    """Odd events come first; even ones whose hour is behind the watermark are late and are not counted any more."""
+    from trieaccess.streaming import replay
+
+    t = load(spark, d, "events", "event_id", F.col("ts").cast("timestamp").alias("ts"))
+    last = t.agg(F.max("ts").alias("ts"))
+    marks = [last.select(F.lit(None).cast("long").alias("event_id"), (F.col("ts") + F.expr(f"INTERVAL {days} DAY")).alias("ts"), F.lit(no).alias("no")) for days, no in ((0, 0), (0, 1), (2, 3))]  # a row each moves the watermark on, which drops late rows one batch later
+    rows = t.withColumn("no", 2 - 2 * (F.col("event_id") % 2).cast("int")).unionByName(marks[0]).unionByName(marks[1]).unionByName(marks[2])
+
+    def build(s):
+        hours = s.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 hour").alias("w"))
+        return hours.agg(F.count("event_id").alias("n")).select(F.col("w.start").alias("hour"), "n")
+
+    return replay(spark, rows, build, scratch_path(spark, "late"), 4, "no").agg(F.sum("n").alias("kept"))
+
+
 @query("SELECT event_id, c_name FROM events JOIN customer ON user_id = c_custkey")
 def stream_static_join(spark, d):
     c = load(spark, d, "customer", "c_custkey", "c_name")

@@ -25,18 +25,18 @@ def parse_native(seqs: DataFrame) -> DataFrame:
     return rows.select("seq_id", (F.col("i") + 1).alias("phrase_no"), parent.alias("parent_no"), F.ascii(F.right(F.col("phrase"), F.lit(1))).alias("symbol"), depth.alias("depth"), (before + 1).alias("start_pos"))
 
 
-def parse_sql(source: str) -> str:
-    """CTEs ending in c(seq_id, phrase_no, parent_no, symbol, depth, start_pos, phrase, phrases) over `source` giving (seq_id, x)."""
-    return f"""WITH RECURSIVE src AS ({source}),
-walk AS (
-  SELECT seq_id, x AS rest, CAST([] AS VARCHAR[]) AS phrases, 0 AS phrase_no, 0 AS parent_no, '' AS phrase, CAST(1 AS BIGINT) AS next_pos FROM src WHERE length(x) > 0
+def parse_sql(source: str, tag: str = "") -> str:
+    """CTEs (names end in `tag`) ending in c(seq_id, phrase_no, parent_no, symbol, depth, start_pos, phrase, phrases) over `source` giving (seq_id, x)."""
+    return f"""WITH RECURSIVE src{tag} AS ({source}),
+walk{tag} AS (
+  SELECT seq_id, x AS rest, CAST([] AS VARCHAR[]) AS phrases, 0 AS phrase_no, 0 AS parent_no, '' AS phrase, CAST(1 AS BIGINT) AS next_pos FROM src{tag} WHERE length(x) > 0
   UNION ALL
   SELECT seq_id, substr(rest, length(new) + 1), list_append(phrases, new), phrase_no + 1,
     CASE WHEN length(new) = 1 THEN 0 ELSE list_position(phrases, left(new, length(new) - 1)) END, new, next_pos + length(new)
   FROM (SELECT *, left(rest, coalesce(list_max(list_transform(list_filter(phrases, lambda p: starts_with(rest, p)), lambda p: length(p))), 0) + 1) AS new
-        FROM walk WHERE length(rest) > 0)),
-c AS (SELECT seq_id, phrase_no, parent_no, unicode(right(phrase, 1)) AS symbol, length(phrase) AS depth, next_pos - length(phrase) AS start_pos, phrase, phrases
-  FROM walk WHERE phrase_no > 0)
+        FROM walk{tag} WHERE length(rest) > 0)),
+c{tag} AS (SELECT seq_id, phrase_no, parent_no, unicode(right(phrase, 1)) AS symbol, length(phrase) AS depth, next_pos - length(phrase) AS start_pos, phrase, phrases
+  FROM walk{tag} WHERE phrase_no > 0)
 """
 
 

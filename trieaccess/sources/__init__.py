@@ -1,6 +1,6 @@
 """Reading the given tables, and the corpora of the experiments."""
 
-from .corpora import dna, log, log_by_user, vocabulary
-from .tables import load
+from .corpora import dna, log, vocabulary
+from .tables import dealt, load
 
-__all__ = ["dna", "load", "log", "log_by_user", "vocabulary"]
+__all__ = ["dealt", "dna", "load", "log", "vocabulary"]

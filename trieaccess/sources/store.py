@@ -1,12 +1,13 @@
-"""Packed stores on disk: Parquet clustered by a bucket of seq_id, and a data source that reads substrings from them."""
+"""Packed stores on disk: Parquet clustered by a bucket of seq_id. Requests name sequences or positions; only the rows that hold them are read."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from trieaccess import kernels as K
 from trieaccess.functions import substr_of
-from trieaccess.operators.codec import STORE
+from trieaccess.operators.codec import STORE, join_segments
 
 
 def write(store: DataFrame, path: str, buckets: int = 16) -> None:
@@ -25,7 +26,11 @@ def read_sequences(spark: SparkSession, path: str, ids: list[int], buckets: int
     return read(spark, path).where(F.col("bucket").isin(sorted(set(wanted))) & F.col("seq_id").isin(ids))
 
 
-def read_ranges(spark: SparkSession, path: str, first: int, size: int) -> DataFrame:
-    """The same range of every sequence's first segment, without expanding any."""
-    rows = read(spark, path).where("seg_no = 0").select("seq_id", "blob")
-    return rows.select("seq_id", substr_of("blob", F.lit(first).cast("long"), F.lit(size).cast("long")).alias("piece"))
+def read_ranges(spark: SparkSession, path: str, first: int, size: int, capacity: int = K.MAX_SYMBOLS) -> DataFrame:
+    """seq_id, piece: `size` symbols from position `first` on of every sequence, clipped at its end, from the segments that hold them and without expanding any; sequences that end before have no row."""
+    low, high = (first - 1) // capacity, (first + size - 2) // capacity
+    rows = read(spark, path).where(F.col("seg_no").between(low, high)).select("seq_id", "seg_no", "blob")
+    base = F.col("seg_no").cast("long") * capacity
+    start, end = F.greatest(F.lit(first) - base, F.lit(1)), F.least(F.lit(first + size - 1) - base, F.lit(capacity))
+    pieces = rows.select("seq_id", "seg_no", substr_of("blob", start.cast("long"), (end - start + 1).cast("long")).alias("text")).where("text IS NOT NULL")
+    return join_segments(pieces).withColumnRenamed("text", "piece")

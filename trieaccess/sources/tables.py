@@ -9,6 +9,12 @@ def load(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
     return df.select(*cols) if cols else df
 
 
+def dealt(scan: DataFrame, key: str) -> DataFrame:
+    """A plain scan with fewer splits than there are cores is dealt over them by `key`; one with more stays where it is read, without a shuffle."""
+    cores = scan.sparkSession.sparkContext.defaultParallelism
+    return scan if scan.rdd.getNumPartitions() >= cores else scan.repartition(2 * cores, key)
+
+
 def read_any(spark: SparkSession, fmt: str, path: str, schema: str) -> DataFrame:
     """csv, json, text, orc or parquet with a fixed schema."""
     reader = spark.read.format(fmt).schema(schema)
