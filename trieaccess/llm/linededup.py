@@ -7,7 +7,8 @@ A chunk of two lines or more, not only white space, whose bytes occur elsewhere
 (smallest doc_id, then line). A 64-bit hash only preselects; equality is decided by grouping on the text itself.
 Each different line of a removed chunk stays at its own first place at least.
 
-Chunks travel as hash and place; texts move once, to cut the bodies of chunks whose hash repeats.
+Chunks travel as hash and place; texts move twice, to cut the bodies of chunks whose hash repeats and to meet what is lost. What repeats grows with the corpus, so
+these joins are merge joins at every size.
 
 Nulls: a null text has no lines and stays null; an empty text is one empty line. Rows with the same doc_id and
 text are one document with the same result. Null doc_ids come last as first places. Ties: places are different for different rows, else the rows are alike.
@@ -69,15 +70,15 @@ def repeated_chunks(docs: DataFrame, scratch: Scratch, modulus: int = 4, min_lin
     # a chunk may occur in a third of all documents: its occurrences are dealt over SALTS tasks, its key is sent to each
     keys = keys.select("key", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
     salted = many.withColumn("salt", F.pmod(F.xxhash64("doc_id", "tkey", "a"), F.lit(SALTS)).cast("int"))
-    twice = salted.join(keys, ["key", "salt"], "left_semi").groupBy("doc_id", "tkey").agg(F.collect_set(F.struct("a", "b")).alias("spans"))  # of one document
+    twice = salted.join(keys.hint("merge"), ["key", "salt"], "left_semi").groupBy("doc_id", "tkey").agg(F.collect_set(F.struct("a", "b")).alias("spans"))  # of one document
     twice = twice.select(F.col("doc_id").alias("doc"), F.col("tkey").alias("own"), "spans", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
     texts = docs.where(F.col("text").isNotNull()).select("doc_id", "text", F.xxhash64("text").alias("tkey"), F.pmod(F.monotonically_increasing_id(), F.lit(SALTS)).cast("int").alias("s"))
-    whole = texts.join(twice, F.col("doc_id").eqNullSafe(F.col("doc")) & (F.col("tkey") == F.col("own")) & (F.col("s") == F.col("salt")))
+    whole = texts.join(twice.hint("merge"), F.col("doc_id").eqNullSafe(F.col("doc")) & (F.col("tkey") == F.col("own")) & (F.col("s") == F.col("salt")))
     pieces = F.transform("spans", lambda x: F.struct(x["a"].alias("a"), x["b"].alias("b"), body(F.split("text", "\n", -1), x["a"], x["b"]).alias("body")))
     bodies = scratch.save(whole.select("doc_id", "tkey", F.inline(pieces)).withColumn("key", F.xxhash64("body")), "twice")
     place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tkey", "a")
     first = scratch.save(bodies.groupBy("key", "body").agg(F.min(place).alias("first")), "first")  # written: the join below can then split a hot key
-    hit = bodies.join(first, ["key", "body"])
+    hit = bodies.join(first.hint("merge"), ["key", "body"])
     return hit.where((F.col("a") != F.col("first.a")) | ~F.col("doc_id").eqNullSafe(F.col("first.doc_id")) | (F.col("tkey") != F.col("first.tkey"))).select("doc_id", "tkey", "a", "b").distinct()
 
 
@@ -87,8 +88,8 @@ def dedup_lines(docs: DataFrame, modulus: int = 4, min_lines: int = 2, scratch:
     gone = repeated_chunks(docs.select("doc_id", "text"), scratch, modulus, min_lines).groupBy("doc_id", "tkey").agg(F.collect_set(F.struct("a", "b")).alias("spans"))
     lost = F.array_distinct(F.flatten(F.transform("spans", lambda x: F.sequence(x["a"], x["b"]))))
     gone = scratch.save(gone.select(F.col("doc_id").alias("doc"), F.col("tkey").alias("own"), F.size("spans").alias("removed_chunks"), lost.alias("lost")), "gone")
-    rows = docs.select(boxed(docs), "doc_id", "text", F.xxhash64("text").alias("tkey")).join(gone, F.col("doc_id").eqNullSafe(F.col("doc")) & (F.col("tkey") == F.col("own")), "left")
-    rows = rows.withColumn("lines", F.split("text", "\n", -1)).withColumn("h", line_hashes(F.col("lines")))
+    rows = docs.select(boxed(docs), "doc_id", F.xxhash64("text").alias("tkey")).join(gone.hint("merge"), F.col("doc_id").eqNullSafe(F.col("doc")) & (F.col("tkey") == F.col("own")), "left")
+    rows = rows.withColumn("text", F.col("row")["text"]).withColumn("lines", F.split("text", "\n", -1)).withColumn("h", line_hashes(F.col("lines")))
     left = F.array_except(F.sequence(F.lit(0), F.size("lines") - 1), F.col("lost"))
     none = F.col("text").isNull()
     return unboxed(
