@@ -6,10 +6,10 @@ ratio that is quantised to two Gray-coded bits; the 32 bits are one packed integ
 equal integers vote for a time offset; the offset with the most votes is kept if the bit error rate over the
 overlap is small enough.
 
-Votes are counted by an inverted join on the integers. A run of equal integers is one row, and a pair of runs adds a
-trapezoid to the histogram of offsets, which four second differences describe: long steady tones cost as much as short ones. Frames without any energy
-in their window (silence) cast no votes, but count as frames. Recordings with equal prints form a class and are compared once.
-Query rows are repeated under `SALTS` salts, so that an integer that a third of all recordings share is spread over tasks.
+The queries are a stated set: they go in blocks of `QUERY_BLOCK` prints, each an inverted index of its integers that is sent to all tasks, and every recording
+looks up its own integers there. A run of equal integers is one entry, and a pair of runs adds a trapezoid to the histogram of offsets, which four second
+differences describe: long steady tones cost as much as short ones. Frames without any energy in their window (silence) cast no votes, but count
+as frames. Pairs of runs are expanded `EXPAND` at a time. Recordings with equal prints form a class and are compared once.
 
 The media of the given tables: each `embeddings` row is rendered as a melody of 64 notes (`melody`).
 
@@ -25,14 +25,12 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
-from pyspark.sql import window as W
 
 from .common import Scratch
 
 RATE, FRAME, HOP, SPAN, SLICE = 4096, 1024, 256, 16, 64
 NOTE, LOWEST = 512, 220.0
-SALTS = 8
+SALTS, QUERY_BLOCK, EXPAND = 8, 1024, 1 << 20
 _SMOOTH = np.array([0.25, 0.75, 1.0, 0.75, 0.25])
 _GRAY = np.array([0, 1, 3, 2], np.uint32)
 
@@ -149,33 +147,63 @@ def align(a: np.ndarray, b: np.ndarray, offset: int) -> tuple[int, float]:
     return hi - lo, float(np.bitwise_count(a[lo:hi] ^ b[lo + offset : hi + offset]).sum()) / (32 * (hi - lo))
 
 
-@F.arrow_udf(T.StructType([T.StructField("frames", T.IntegerType()), T.StructField("bit_errors", T.DoubleType())]))
-def aligned(a: pa.Array, b: pa.Array, offset: pa.Array) -> pa.Array:
-    got = [align(np.frombuffer(x, "<u4"), np.frombuffer(y, "<u4"), o) for x, y, o in zip(a.to_pylist(), b.to_pylist(), offset.to_pylist())]
-    return pa.StructArray.from_arrays([pa.array([g[0] for g in got], pa.int32()), pa.array([g[1] for g in got], pa.float64())], names=["frames", "bit_errors"])
-
-
-def votes(queries: DataFrame, recordings: DataFrame, least_votes: int) -> DataFrame:
-    """(key, runs) twice -> q, r, offset, votes: of each pair the offset at which most frames are equal, where these are `least_votes` or more."""
-    asked = queries.select(F.col("key").alias("q"), F.inline("runs")).select(
-        "q", "value", F.col("at").alias("qa"), F.col("n").alias("qn"), F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
-    held = recordings.select(F.col("key").alias("r"), F.inline("runs")).select("r", "value", F.col("at").alias("ra"), F.col("n").alias("rn"), F.pmod(F.xxhash64("r", "at"), F.lit(SALTS)).cast("int").alias("salt"))
-    low, short, long_ = F.col("ra") - F.col("qa") - F.col("qn"), F.least("qn", "rn"), F.greatest("qn", "rn")
-    corners = F.array(*[F.struct(at.alias("offset"), F.lit(d).cast("long").alias("bend")) for at, d in ((low, 1), (low + short, -1), (low + long_, -1), (low + F.col("qn") + F.col("rn"), 1))])
-    bends = held.join(asked, ["value", "salt"]).select("q", "r", F.inline(corners)).groupBy("q", "r", "offset").agg(F.sum("bend").alias("bend"))
-    before = W.Window.partitionBy("q", "r").orderBy("offset").rowsBetween(W.Window.unboundedPreceding, 0)
-    height = F.col("offset") * F.sum("bend").over(before) - F.sum(F.col("bend") * F.col("offset")).over(before)
-    best = bends.select("q", "r", "offset", height.alias("votes")).groupBy("q", "r").agg(F.max(F.struct("votes", (-F.col("offset")).alias("back"))).alias("best"))
-    return best.select("q", "r", (-F.col("best.back")).cast("int").alias("offset"), F.col("best.votes").alias("votes")).where(F.col("votes") >= least_votes)
+class QueryBlock:
+    """An inverted index of the runs of some queries: (key, print, runs)."""
+
+    def __init__(self, rows: list[tuple[int, bytes, list]]):
+        self.keys, self.prints = [r[0] for r in rows], [np.frombuffer(r[1], "<u4") for r in rows]
+        flat = np.array([(i, x["value"], x["at"], x["n"]) for i, r in enumerate(rows) for x in r[2]], np.int64).reshape(-1, 4)
+        self.owner, self.value, self.at, self.n = flat[np.argsort(flat[:, 1], kind="stable")].T
+
+    def votes(self, value: np.ndarray, at: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Runs of a recording -> (query, offset, frames that are equal there) at the corners of the histograms, by query and offset."""
+        lo, hi = np.searchsorted(self.value, value, "left"), np.searchsorted(self.value, value, "right")
+        ends, key, bend, base = np.cumsum(hi - lo), np.zeros(0, np.int64), np.zeros(0, np.int64), 1 << 31
+        for a in range(0, int(ends[-1]) if len(ends) else 0, EXPAND):
+            g = np.arange(a, min(a + EXPAND, int(ends[-1])))
+            r = np.searchsorted(ends, g, "right")
+            q = lo[r] + g - (ends[r] - (hi - lo)[r])
+            low, short, long_ = at[r] - self.at[q] - self.n[q], np.minimum(self.n[q], n[r]), np.maximum(self.n[q], n[r])
+            corner = np.concatenate([low, low + short, low + long_, low + short + long_]) + base
+            key, where = np.unique(np.r_[key, np.tile(self.owner[q] << 32, 4) | corner], return_inverse=True)
+            one = np.ones(len(g), np.int64)
+            bend = np.bincount(where, np.r_[bend, one, -one, -one, one], len(key)).astype(np.int64)
+        offset = (key & 0xFFFFFFFF) - base
+        # the differences of each query add up to nothing, so that running sums need no reset
+        return key >> 32, offset, offset * np.cumsum(bend) - np.cumsum(bend * offset)
+
+    def matches(self, rec_print: np.ndarray, rec_runs: list, least_votes: int, most_errors: float, least_frames: int) -> list[tuple]:
+        runs_ = np.array([(x["value"], x["at"], x["n"]) for x in rec_runs], np.int64).reshape(-1, 3)
+        owner, offset, n = self.votes(*runs_.T)
+        some = n >= least_votes
+        owner, offset, n = owner[some], offset[some], n[some]
+        order = np.lexsort((offset, -n, owner))
+        out = []
+        for i in order[np.diff(owner[order], prepend=-1) > 0].tolist():
+            frames, errors = align(self.prints[owner[i]], rec_print, int(offset[i]))
+            if frames >= least_frames and errors <= most_errors:
+                out.append((self.keys[owner[i]], int(offset[i]), int(n[i]), frames, errors))
+        return out
 
 
 def search(prints: DataFrame, queries: DataFrame, least_votes: int = 6, most_errors: float = 0.2, least_frames: int = 24) -> DataFrame:
-    """(key, print, runs) twice -> q, r, offset, votes, frames, bit_errors for every pair that aligns."""
-    found = votes(queries, prints, least_votes)
-    with_q = found.join(queries.select(F.col("key").alias("q"), F.col("print").alias("a")), "q")
-    both = with_q.join(prints.select(F.col("key").alias("r"), F.col("print").alias("b")), "r")
-    judged = both.select("q", "r", "offset", "votes", aligned("a", "b", "offset").alias("x")).select("q", "r", "offset", "votes", "x.*")
-    return judged.where((F.col("frames") >= least_frames) & (F.col("bit_errors") <= most_errors))
+    """(key, print, runs) twice -> q, r, offset, votes, frames, bit_errors for every pair that aligns; queries go in blocks."""
+    schema = "q long, r long, offset int, votes long, frames int, bit_errors double"
+    names, kinds = ["q", "r", "offset", "votes", "frames", "bit_errors"], (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.float64())
+    n, out = max(1, -(-queries.count() // QUERY_BLOCK)), None
+    for k in range(n):
+        own = queries.where(F.pmod(F.xxhash64("key"), F.lit(n)) == k).select("key", "print", "runs").orderBy("key").collect()  # about QUERY_BLOCK rows
+        block = QueryBlock([tuple(r) for r in own])
+
+        def run(batches: Iterator[pa.RecordBatch], block=block) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                rows = [(m[0], key, *m[1:]) for key, p, found in zip(*(c.to_pylist() for c in batch.columns))
+                        for m in block.matches(np.frombuffer(p, "<u4"), found, least_votes, most_errors, least_frames)]
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*rows)) or [[]] * 6, kinds)], names=names)
+
+        part = prints.select("key", "print", "runs").mapInArrow(run, schema)
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 def align_media(media: DataFrame, id_col: str, col: str, decode: Callable[..., np.ndarray] = pcm16, rate: int = RATE, every: int = 50, scratch: Scratch | None = None) -> DataFrame:
@@ -185,18 +213,18 @@ def align_media(media: DataFrame, id_col: str, col: str, decode: Callable[..., n
     Queries are the rows whose id is divisible by `every`. Pairs of recordings are the pairs of classes times membership; they are never listed.
     """
     scratch = scratch or Scratch(media.sparkSession, "audio")
-    marked = scratch.save(fingerprints(media, id_col, col, decode, rate).withColumn("key", F.xxhash64("print")), "prints")
+    marked = scratch.save(fingerprints(media, id_col, col, decode, rate).withColumn("hash", F.xxhash64("print")), "prints")
     asks = F.coalesce(F.col("rec_id") % every == 0, F.lit(False))
     # rows of one class meet in one partial sum a task: the print itself, not its hash, is the key
-    classes = marked.where(F.size("runs") > 0).groupBy("print").agg(F.min("rec_id").alias("class_id"), F.count(F.lit(1)).alias("members"), F.max(asks).alias("asked"), F.first("runs").alias("runs"), F.min("key").alias("hash"))
-    classes = scratch.save(classes.withColumn("key", F.struct("hash", "class_id")), "classes")
+    classes = marked.where(F.size("runs") > 0).groupBy("print").agg(F.min("rec_id").alias("class_id"), F.count(F.lit(1)).alias("members"), F.max(asks).alias("asked"), F.first("runs").alias("runs"), F.min("hash").alias("hash"))
+    classes = scratch.save(classes.withColumn("key", F.monotonically_increasing_id()), "classes")  # written: the numbers are fixed
     pairs = scratch.save(search(classes, classes.where("asked")), "pairs")
     sizes = classes.select(F.col("key").alias("r"), F.col("class_id").alias("to"), "members")
     link = F.struct(F.col("to").alias("class_id"), "members", "offset", "votes", "frames", "bit_errors")
     per = pairs.join(sizes, "r").groupBy("q").agg(F.sum("members").alias("n_links"), F.array_sort(F.collect_list(link)).alias("links"))  # as many as there are other classes alike
     known = classes.select("key", "hash", "print", "class_id", "members").join(per, F.col("key") == F.col("q"), "left").select("hash", F.col("print").alias("p"), "class_id", "members", "n_links", "links")
     known = scratch.save(known, "known")
-    rows = marked.select("rec_id", "print", F.col("key").alias("hash"), asks.alias("is_query"))
+    rows = marked.select("rec_id", "print", "hash", asks.alias("is_query"))
     # a class may hold a third of all rows: its row is repeated under salts
     salted = known.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
     rows = rows.withColumn("salt", F.pmod(F.xxhash64("rec_id"), F.lit(SALTS)).cast("int"))
