@@ -6,12 +6,14 @@ blocks - radius blocks, so each distinct fingerprint is filed under every choice
 triples) and only fingerprints filed together are compared. Inside a bucket no pairs are listed: a flood fill from its smallest
 fingerprint removes what it reaches, so a dense bucket of m members costs few scans and gives at most m - 1 links.
 
-With `check` bits allowed, links must also agree in all but that many bits of a second, independent fingerprint of 32 bits (the smallest
-among texts with one first fingerprint): a wide radius would else link strangers in a large corpus.
+With a `total`, fingerprints filed together are linked if they differ in at most `total` of 128 bits, whatever the first 64 differ by; the
+others are a second, independent fingerprint (the smallest among texts with one first fingerprint). That finds most pairs beyond the
+radius too, and keeps strangers apart in a large corpus.
 
 A bucket of more than `WIDE` distinct fingerprints is not kept in one task: its members stream out and are filed anew under
-the choices of half of the halves of the other blocks (again a pigeonhole, so no link is lost). Components come from alternating
-large-star / small-star steps; a node with very many links is salted.
+the choices of half of the halves of the other blocks (again a pigeonhole, so no link within the radius is lost; pairs beyond it, which a
+`total` allows, are found there only if they share such halves). Components come from alternating large-star / small-star steps; a
+node with very many links is salted.
 
 Nulls: null and empty texts, and those of white space only, have fingerprint zero and are linked like any other. Ties and repeated
 rows share a component; a null doc_id never names a component unless no other id does. Very long texts are whole, hashed in slices. Empty
@@ -38,12 +40,12 @@ SEED, WIDE, SALTS = 42, 4096, 16
 
 @dataclass(frozen=True)
 class Rule:
-    """What counts as near: shingles of `shingle` words, at most `radius` of 64 bits, and `check` of the second 32 where it is not None."""
+    """What counts as near: shingles of `shingle` words, at most `radius` of 64 bits; or, with a `total`, blocks - radius equal blocks and at most that many of 128 bits."""
 
     shingle: int = 4
     radius: int = 4
     blocks: int = 7
-    check: int | None = None
+    total: int | None = None
 
     @cached_property
     def spans(self) -> tuple[tuple[int, int], ...]:
@@ -63,7 +65,7 @@ class Rule:
 
 
 EXACT = Rule()  # what the fingerprint query states
-CORPUS = Rule(shingle=5, radius=6, blocks=10, check=9)  # for a corpus stage: five words, similarity of about 0.8 and more
+CORPUS = Rule(shingle=5, radius=6, blocks=10, total=19)  # for a corpus stage: five words; sets of similarity 0.8 have a cosine of 8/9, an angle of 27 degrees, 19 of 128 bits
 BATCH_SHINGLES = 1 << 17
 
 
@@ -101,7 +103,7 @@ MARK = T.StructType([T.StructField("fp", T.LongType()), T.StructField("more", T.
 
 
 def fingerprint(text: Column, rule: Rule = EXACT) -> Column:
-    """(fp, more): 64 bits, and the second 32 or 0."""
+    """(fp, more): 64 bits, and the second 64 or 0."""
 
     @F.arrow_udf(MARK)
     def marks(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
@@ -110,8 +112,8 @@ def fingerprint(text: Column, rule: Rule = EXACT) -> Column:
             for t in batch:
                 h = shingle_hashes(t.as_py(), rule.shingle)
                 fp.append(simhash(h))
-                more.append(0 if rule.check is None else simhash(second_hash(h)) & 0xFFFFFFFF)
-            yield pa.StructArray.from_arrays([pa.array(np.array(fp, np.uint64).view(np.int64)), pa.array(more, pa.int64())], names=["fp", "more"])
+                more.append(0 if rule.total is None else simhash(second_hash(h)))
+            yield pa.StructArray.from_arrays([pa.array(np.array(x, np.uint64).view(np.int64)) for x in (fp, more)], names=["fp", "more"])
 
     return marks(text)
 
@@ -136,8 +138,9 @@ def spanning_links(a: np.ndarray, more: np.ndarray, rule: Rule) -> tuple[np.ndar
 
 
 def near(a, more_a, b, more_b, rule: Rule) -> np.ndarray:
-    out = np.bitwise_count(a ^ b) <= rule.radius
-    return out if rule.check is None else out & (np.bitwise_count(more_a ^ more_b) <= rule.check)
+    """Of fingerprints (unsigned) filed together."""
+    first = np.bitwise_count(a ^ b)
+    return first <= rule.radius if rule.total is None else first + np.bitwise_count(more_a ^ more_b) <= rule.total
 
 
 def _bits(fp: np.ndarray, spans) -> np.ndarray:
@@ -185,7 +188,7 @@ def _bucket_links(wide: int, rule: Rule):
         n = len(a)
         return pa.RecordBatch.from_arrays([
             pa.array(np.full(n, key)) if key is not None else pa.nulls(n, pa.int64()), pa.array(a.view(np.int64)),
-            pa.array(b.view(np.int64)) if b is not None else pa.nulls(n, pa.int64()), pa.array(more) if more is not None else pa.nulls(n, pa.int64())], names=["key", "a", "b", "more"])
+            pa.array(b.view(np.int64)) if b is not None else pa.nulls(n, pa.int64()), pa.array(more.view(np.int64)) if more is not None else pa.nulls(n, pa.int64())], names=["key", "a", "b", "more"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple[np.ndarray, np.ndarray]] = []  # the open bucket, empty while a wide one streams out
@@ -201,7 +204,8 @@ def _bucket_links(wide: int, rule: Rule):
                     yield out(None, a, b, None)
 
         for batch in batches:
-            key, key2, fp, more = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2).to_numpy().view(np.uint64), batch.column(3).to_numpy()
+            key, key2 = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            fp, more = batch.column(2).to_numpy().view(np.uint64), batch.column(3).to_numpy().view(np.uint64)
             if not len(key):
                 continue
             cut = np.flatnonzero((key[1:] != key[:-1]) | (key2[1:] != key2[:-1])) + 1
