@@ -86,6 +86,17 @@ def test_a_hot_segment_is_split(spark):
     assert got[1] == got[7] and all(v == ("abcde" * 200)[i % 1000 : min(i % 1000 + 8, 1000)] for i, v in got[7])
 
 
+def test_only_hot_segments_are_sent_more_than_once(spark):
+    seqs = spark.range(300).select(F.col("id").alias("seq_id"), F.lit("abcde" * 20).alias("text"))
+    asks = spark.range(3300).select(F.col("id").alias("req_id"), F.when(F.col("id") < 3000, F.floor(F.col("id") / 10)).otherwise(7).alias("seq_id"), (F.col("id") % 100 + 1).alias("l1"), (F.col("id") % 100 + 1).alias("l2"))
+    store = codec.compress(codec.cut(seqs), "dense")
+    asked, held = A.spread(A.route(asks, store, K.MAX_SYMBOLS), store.select("seq_id", "seg_no", "blob"), 8)
+    sent = {r.seq_id: r["count"] for r in held.groupBy("seq_id").count().collect()}
+    assert sent.pop(7) == 5 and len(sent) == 299 and sum(sent.values()) < 310  # 310 requests of one segment; no other has more than ten
+    assert {r.salt for r in asked.where("seq_id = 7").collect()} == set(range(5))
+    assert {r.req_id: r.value for r in A.access(store, asks, salts=8).collect()} == {i: "abcde"[i % 100 % 5] for i in range(3300)}
+
+
 @pytest.mark.parametrize("few,ranges", [(0, False), (10**6, False), (0, True)])
 def test_every_plan_gives_the_same(spark, few, ranges):
     seqs = codec.sequences(spark.read.parquet(f"{D}/documents.parquet"), "doc_id")
