@@ -97,6 +97,21 @@ def test_only_hot_segments_are_sent_more_than_once(spark):
     assert {r.req_id: r.value for r in A.access(store, asks, salts=8).collect()} == {i: "abcde"[i % 100 % 5] for i in range(3300)}
 
 
+@pytest.mark.parametrize("name", [n + s for n in ("levelancestor_access", "scan_locate", "rankselect_locate", "parents_only_access") for s in ("", "_segments")])
+def test_codewords_are_not_broadcast(spark, name):
+    plan = QUERIES[name](spark, D)._jdf.queryExecution().executedPlan().toString()
+    assert "Broadcast" not in plan and "SortMergeJoin" in plan
+
+
+def test_climbing_by_parents(spark):
+    text = "".join("0" + "1" * i for i in range(40)) + "0"
+    segs = codec.cut(spark.createDataFrame([(1, text), (2, "aaaa")], "seq_id long, text string"), 500)
+    asks = spark.createDataFrame([(i, 1, i + 1) for i in range(len(text))] + [(5000, 2, 4), (5001, 2, 5), (5002, 3, 1)], "req_id long, seq_id long, l1 long")
+    c = codec.codewords(segs)
+    got = {r.req_id: r.value for r in A.climb_parents(c, A.locate_rank(c, asks, 500)).collect()}
+    assert got == dict(enumerate(text)) | {5000: "a"}
+
+
 @pytest.mark.parametrize("few,ranges", [(0, False), (10**6, False), (0, True)])
 def test_every_plan_gives_the_same(spark, few, ranges):
     seqs = codec.sequences(spark.read.parquet(f"{D}/documents.parquet"), "doc_id")
