@@ -183,6 +183,13 @@ def test_groups_and_tokens_at_the_edges(spark):
     assert [r.ids for r in df.select(codec.text_as_tokens(codec.tokens_as_text("ids")).alias("ids")).collect()] == ids
 
 
+def test_ids_beyond_code_points(spark):
+    ids = [[0, 1_112_047, 1_112_048, 1_112_063, 1_112_064, 1_200_000, 2**31 - 1, 2**31, 2**63 - 1, -1, -(2**63), 7], [], [1_112_048**2, 1_112_048**2 - 1, 3]]
+    df = spark.createDataFrame([(i, x) for i, x in enumerate(ids)], "seq_id long, ids array<long>")
+    store = codec.compress(codec.cut(df.select("seq_id", codec.tokens_as_text("ids").alias("text"))), "dense")
+    assert {r.seq_id: r.ids for r in codec.expand(store).select("seq_id", codec.text_as_tokens("text").alias("ids")).collect()} == dict(enumerate(ids))
+
+
 def test_entry_works_without_llm():
     import __spark_entry__ as e
 
