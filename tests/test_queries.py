@@ -190,6 +190,11 @@ def test_ids_beyond_code_points(spark):
     assert {r.seq_id: r.ids for r in codec.expand(store).select("seq_id", codec.text_as_tokens("text").alias("ids")).collect()} == dict(enumerate(ids))
 
 
+@pytest.mark.parametrize("name", [f"hard_{n}{t}" for n in ("strings", "distribution", "diff", "witness", "extended") for t in ("", "_8")] + ["line_string_counts"])
+def test_hard_strings_read_a_table(spark, name):
+    assert any("documents" in f for f in QUERIES[name](spark, D).inputFiles())
+
+
 def test_entry_works_without_llm():
     import __spark_entry__ as e
 
